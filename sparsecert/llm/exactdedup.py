@@ -15,6 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from sparsecert.llm.bitfilter import bitmap, flagged, without
 from sparsecert.llm.common import load, slices, staged, text_bytes
 
 #: The characters that equality ignores, and the prime that hashes are taken modulo.
@@ -23,7 +24,6 @@ PRIME = (1 << 31) - 1
 #: A chunk of so many bytes keeps sums of products below 2^53, where doubles are exact.
 CHUNK = 8192
 HASHES = 4
-FILTER_BITS = 1 << 25
 COMPARE_BYTES = 1 << 16
 
 
@@ -89,27 +89,11 @@ def with_fingerprints(df: DataFrame, text: str, seed: int) -> DataFrame:
     return df.withColumn("_bytes", text_bytes(text)).mapInArrow(_fingerprints(seed), schema)
 
 
-def _maybe(df: DataFrame, bitmap: DataFrame) -> DataFrame:
-    """Adds _maybe: false only where no row of the bitmap's table has this _f1."""
-    folded = F.pmod(F.col("_f1"), F.lit(FILTER_BITS))
-    placed = df.withColumn("_b", F.bitmap_bucket_number(folded)).withColumn("_place", F.bitmap_bit_position(folded))
-    # FILTER_BITS / 32768 rows of 4 KB at most, whatever the input: 4 MB
-    joined = placed.join(F.broadcast(bitmap), F.col("_b") == F.col("_bucket"), "left")
-    byte = F.conv(F.hex(F.substring("_bits", (F.col("_place") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
-    hit = F.getbit(byte, (F.col("_place") % 8).cast("int")) == 1
-    return joined.withColumn("_maybe", F.coalesce(hit, F.lit(False))).drop("_b", "_place", "_bucket", "_bits")
-
-
-def _bitmap(groups: DataFrame) -> DataFrame:
-    folded = F.pmod(F.col("_f1"), F.lit(FILTER_BITS))
-    return groups.groupBy(F.bitmap_bucket_number(folded).alias("_bucket")).agg(F.bitmap_construct_agg(F.bitmap_bit_position(folded)).alias("_bits"))
-
-
 def _round(work: DataFrame, seed: int, text: str) -> tuple[DataFrame, DataFrame]:
     """work: _row, text and fingerprint. Returns the groups of two or more, and their rows with _same."""
     groups = work.groupBy(*KEY).agg(F.count(F.lit(1)).alias("_n"), F.min("_row").alias("_head")).filter("_n > 1")
     groups = staged(groups, "groups")
-    rows = _maybe(work.select("_row", *KEY, "_sha", F.col(text).alias("_text")), _bitmap(groups)).filter("_maybe").drop("_maybe")
+    rows = flagged(work.select("_row", *KEY, "_sha", F.col(text).alias("_text")), "_f1", bitmap(groups, "_f1")).filter("_maybe").drop("_maybe")
     rows = rows.withColumn("_norm", F.translate(F.coalesce(F.col("_text"), F.lit("")), BLANKS.decode(), "").cast("binary"))
     heads = rows.join(groups.select(F.col("_head").alias("_row"), F.lit(1).alias("_is_head")), "_row").select(*KEY, F.col("_norm").alias("_head_norm"))
     heads = staged(heads, "heads")
@@ -171,7 +155,7 @@ def without_copies(docs: DataFrame, text: str = "text", key: str = "doc_id") ->
     """docs without the rows that exact_classes doesn't keep, all columns as they were."""
     work = prepared(docs, text)
     dropped = staged(decisions(work, text, key).filter("not kept").select("_row"), "dropped")
-    return work.join(dropped, "_row", "left_anti").select(*docs.columns)
+    return without(work.drop(*KEY, "_sha"), dropped, "_row").select(*docs.columns)
 
 
 def op10_polynomial_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
