@@ -1,5 +1,54 @@
-STAGES = []
+"""The corpus pipeline: quality, exact copies, near copies, mixing, packing.
 
+A stage takes (spark, docs, sf_dir) and returns a DataFrame, which is written and read again as the
+next stage's docs. All but the last keep the columns of documents.
+"""
 
-def run(spark, sf_dir):
-    return spark.read.parquet(f"{sf_dir}/documents.parquet")
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from sparsecert.llm.common import load, staged
+from sparsecert.llm.exactdedup import without_copies
+from sparsecert.llm.mixing import mixed_documents
+from sparsecert.llm.neardup import one_of_each
+from sparsecert.llm.packing import pack
+from sparsecert.llm.quality import accepted
+
+
+def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier rejects go."""
+    return accepted(docs, load(spark, sf_dir, "labels"))
+
+
+def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each class of equal texts stays."""
+    return without_copies(docs)
+
+
+def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class of similar texts stays."""
+    return one_of_each(docs)
+
+
+def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """A row per document and epoch that the mix takes; the last one of a source is cut to its words."""
+    return mixed_documents(docs)
+
+
+def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token sequences: a row per piece."""
+    return pack(docs)
+
+
+STAGES = [("quality", quality_stage), ("exact_copies", exact_stage), ("near_copies", near_stage), ("mixing", mixing_stage), ("packing", packing_stage)]
+
+#: SQL can express none of the classifier, the weighted sampling, the vocabulary and the packing.
+ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = staged(stage(spark, docs, sf_dir), name)
+    return STAGES[-1][1](spark, docs, sf_dir)
