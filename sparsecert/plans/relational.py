@@ -83,3 +83,83 @@ def relational_components(edges: DataFrame, max_rounds: int = 60, thin: bool = T
         return ends.select("v", F.col("v").alias("component"))
     found = labels.select(F.col("x").alias("v"), F.col("y").alias("component"))
     return ends.join(found, "v", "left").select("v", F.coalesce("component", "v").alias("component"))
+
+
+def relational_bipartite(edges: DataFrame) -> DataFrame:
+    """One row (holds): no vertex meets its own copy in the double cover."""
+    arms = edges.select(F.explode(F.array(F.struct((2 * F.col("u")).alias("u"), (2 * F.col("v") + 1).alias("v")), F.struct((2 * F.col("u") + 1).alias("u"), (2 * F.col("v")).alias("v")))).alias("e")).select("e.u", "e.v")
+    labels = relational_components(arms).withColumn("vertex", F.shiftright("v", 1))
+    return labels.groupBy("vertex").agg((F.count_distinct("component") == 2).alias("even")).agg(F.coalesce(F.bool_and("even"), F.lit(True)).alias("holds"))
+
+
+def relational_min_forest(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+    """Minimum forest by rounds: each component takes its least edge out, then what these join is contracted.
+
+    (u, v, w, eid) under the order (w, u, v, eid).
+    """
+    order = F.struct("w", F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"), "eid")
+    live = cut(edges.filter("u <> v").select(F.col("u").alias("a"), F.col("v").alias("b"), order.alias("e")))
+    taken = None
+    for _ in range(max_rounds):
+        if live.isEmpty():
+            break
+        out = live.select(F.col("a").alias("x"), "e").union(live.select(F.col("b").alias("x"), "e"))
+        least = out.groupBy("x").agg(F.min("e").alias("e"))
+        ends = live.select("e", "a", "b").join(least.select("e").distinct(), "e", "left_semi")
+        picked = cut(ends)
+        taken = picked.select("e") if taken is None else taken.union(picked.select("e"))
+        joined = relational_components(picked.select(F.col("a").alias("u"), F.col("b").alias("v")))
+        joined = cut(joined)
+        ca, cb = joined.select(F.col("v").alias("a"), F.col("component").alias("na")), joined.select(F.col("v").alias("b"), F.col("component").alias("nb"))
+        # of parallel edges between two components only the least can ever be taken
+        live = live.join(ca, "a").join(cb, "b").filter("na <> nb").groupBy(F.least("na", "nb").alias("a"), F.greatest("na", "nb").alias("b")).agg(F.min("e").alias("e"))
+        live = cut(live)
+    else:
+        raise RuntimeError(f"edges are left after {max_rounds} rounds")
+    if taken is None:
+        return edges.filter("false").select("u", "v", "w", "eid")
+    return taken.select("e.u", "e.v", "e.w", "e.eid")
+
+
+def relational_edge_cert(edges: DataFrame, k: int) -> DataFrame:
+    """k times a spanning forest of what the ones before left: keeps min(edge connectivity, k) of all pairs.
+
+    A forest is a minimum forest by edge number, so that it is the same whatever the partitioning.
+    """
+    left, kept = edges.select("u", "v", "w", "eid").filter("u <> v"), None
+    for i in range(k):
+        by_id = left.select("u", "v", F.col("eid").alias("w"), "eid")
+        ids = cut(relational_min_forest(by_id).select("eid"))
+        forest = left.join(ids, "eid", "left_semi").withColumn("forest_ix", F.lit(i + 1))
+        kept = forest if kept is None else kept.unionByName(forest)
+        if i + 1 < k:
+            left = cut(left.join(ids, "eid", "left_anti").select("u", "v", "w", "eid"))
+    return kept
+
+
+def relational_vertex_cert(edges: DataFrame, k: int, max_depth: int = 10_000) -> DataFrame:
+    """k times a breadth-first forest of what the ones before left, on distinct pairs: keeps min(vertex connectivity, k).
+
+    A layer is one join; a component's least vertex is its root.
+    """
+    pairs = edges.filter("u <> v").groupBy(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).agg(F.min(F.struct("eid", "w")).alias("m"))
+    left, kept = cut(pairs.select("u", "v", "m.w", "m.eid")), None
+    for i in range(k):
+        if left.isEmpty():
+            break
+        both = left.select("u", "v", "eid").union(left.select(F.col("v").alias("u"), F.col("u").alias("v"), "eid"))
+        front = cut(relational_components(left).select("component").distinct().select(F.col("component").alias("u")))
+        seen, tree = front, None
+        for _ in range(max_depth):
+            reached = both.join(front, "u").join(seen.select(F.col("u").alias("v")), "v", "left_anti")
+            layer = cut(reached.groupBy("v").agg(F.min(F.struct("u", "eid")).alias("by")).select(F.col("v").alias("u"), "by.eid"))
+            if layer.isEmpty():
+                break
+            tree = layer.select("eid") if tree is None else tree.union(layer.select("eid"))
+            front = layer.select("u")
+            seen = seen.union(front)
+        ids = cut(tree)
+        forest = left.join(ids, "eid", "left_semi").withColumn("forest_ix", F.lit(i + 1))
+        kept = forest if kept is None else kept.unionByName(forest)
+        left = cut(left.join(ids, "eid", "left_anti").select("u", "v", "w", "eid"))
+    return kept if kept is not None else left.withColumn("forest_ix", F.lit(0))
