@@ -7,9 +7,9 @@ with the least draw, and the shingle that it belongs to, is the text's signature
 a band are candidates; a candidate pair is a link if the weighted Jaccard similarity of the two whole
 texts reaches the threshold.
 
-No bucket emits all its pairs unless it is small. In a larger one each text meets hubs; what then
-still stands outside the bucket's main component meets every text of the bucket, so that no link
-between members of a bucket is lost.
+Texts joined by bands form groups. A small group is compared in one task. In a larger one each text
+meets hubs; what then still stands outside the group's main component meets every text of the group,
+so that no link between candidates is lost, and no group emits all its pairs.
 """
 
 from __future__ import annotations
@@ -34,6 +34,7 @@ GRID = 2.0**0.25
 DAMPING = 0.5
 SLOTS = 4096
 HUBS = 16
+CHUNK = 128
 SLICE_BYTES = 1 << 20
 
 BLANK = np.zeros(256, dtype=bool)
@@ -223,60 +224,103 @@ def similarity(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray
     return float(both / (a[1].sum() + b[1].sum() - both))
 
 
-def _verified(weights, threshold: float):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler, idf = Shingler(), weights.value
-        held: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-
-        def known(row: int, text: bytes) -> tuple[np.ndarray, np.ndarray]:
-            if row not in held:
-                if len(held) >= 512:
-                    del held[next(iter(held))]
-                _, shingles, counts = shingler.of([text])
-                held[row] = shingles, GRID ** levels(shingles, counts, idf).astype(np.float64)
-            return held[row]
-
-        for batch in batches:
-            us, vs = [], []
-            for a, b, x, y in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
-                if similarity(known(a, x), known(b, y)) >= threshold:
-                    us.append(a)
-                    vs.append(b)
-            yield pa.RecordBatch.from_arrays([pa.array(us, pa.int64()), pa.array(vs, pa.int64())], names=["u", "v"])
-
-    return run
-
-
-def _verify(pairs: DataFrame, texts: DataFrame, weights, threshold: float) -> DataFrame:
-    """pairs: a, b. The ones whose texts are similar, as u, v."""
-    first = pairs.join(texts.select(F.col("_row").alias("a"), F.col("_bytes").alias("_x")), "a")
-    both = first.join(texts.select(F.col("_row").alias("b"), F.col("_bytes").alias("_y")), "b").select("a", "b", "_x", "_y")
-    return both.mapInArrow(_verified(weights, threshold), "u bigint, v bigint")
-
-
-def _outsiders(bands: DataFrame, large: DataFrame, component: DataFrame) -> DataFrame:
-    """Pairs of a large bucket with a member that isn't in the bucket's main component."""
-    members = bands.join(large, ["band", "key"]).join(component, "rep")
-    parts = members.groupBy("band", "key", "component").agg(F.count(F.lit(1)).alias("n"))
-    main = parts.groupBy("band", "key").agg(F.max(F.struct("n", "component")).alias("m"), F.count(F.lit(1)).alias("parts")).filter("parts > 1").select("band", "key", F.col("m.component").alias("main"))
-    split = members.join(main, ["band", "key"])
-    outside = split.filter("component <> main").select("band", "key", F.col("rep").alias("a"), F.col("component").alias("_ca"))
-    pairs = outside.join(split.select("band", "key", F.col("rep").alias("b"), F.col("component").alias("_cb")), ["band", "key"]).filter("_ca <> _cb")
-    return pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-
-
-def candidate_pairs(bands: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """bands: band, key, rep. Pairs to verify first, and the buckets in which not all pairs are among them."""
-    sizes = staged(bands.groupBy("band", "key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1"), "buckets")
-    small = bands.join(sizes.filter(F.col("n") <= HUBS), ["band", "key"]).groupBy("band", "key").agg(F.array_sort(F.collect_list("rep")).alias("m"))
-    first = small.select(F.posexplode("m").alias("i", "a"), "m").select("a", F.explode(F.slice("m", F.col("i") + 2, F.size("m"))).alias("b"))
-    large = sizes.filter(F.col("n") > HUBS).select("band", "key")
-    members = bands.join(large, ["band", "key"])
-    # the least member of each hashed slot is a hub: HUBS at most, found without gathering the bucket
-    slots = members.groupBy("band", "key", F.pmod(F.xxhash64("rep", "band"), F.lit(HUBS)).alias("slot")).agg(F.min("rep").alias("hub"))
-    hubs = slots.groupBy("band", "key").agg(F.collect_list("hub").alias("hubs"))
-    hubbed = members.join(hubs, ["band", "key"]).select(F.col("rep").alias("a"), F.explode("hubs").alias("b")).filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    return first.union(hubbed).distinct(), large
+class Compared:
+    """Texts of one task with their shingles, compared pair by pair; what is already joined isn't compared again."""
+
+    def __init__(self, table: pa.Table, idf: np.ndarray, threshold: float):
+        table = table.combine_chunks()
+        self.ids = table.column("rep").to_numpy()
+        self.keys = np.array(table.column("keys").to_pylist(), dtype=np.int64).reshape(len(self.ids), BANDS)
+        self.hub = table.column("hub").to_numpy(zero_copy_only=False).astype(bool)
+        self.comp = table.column("component").to_numpy()
+        texts = table.column("_bytes").to_pylist()
+        shingler, self.sets = Shingler(), []
+        lo = 0
+        while lo < len(texts):  # slices of bounded size
+            hi, held = lo, 0
+            while hi < len(texts) and (hi == lo or held + len(texts[hi]) <= SLICE_BYTES):
+                held += len(texts[hi])
+                hi += 1
+            owner, shingles, counts = shingler.of(texts[lo:hi])
+            weight = GRID ** levels(shingles, counts, idf).astype(np.float64)
+            cut = np.searchsorted(owner, np.arange(hi - lo + 1))
+            self.sets += [(shingles[cut[i] : cut[i + 1]], weight[cut[i] : cut[i + 1]]) for i in range(hi - lo)]
+            lo = hi
+        self.threshold, self.top = threshold, {int(c): int(c) for c in self.comp}
+
+    def _root(self, c: int) -> int:
+        while self.top[c] != c:
+            self.top[c] = self.top[self.top[c]]
+            c = self.top[c]
+        return c
+
+    def links(self) -> tuple[list[int], list[int]]:
+        """Hubs against all texts that share a band with them."""
+        us, vs = [], []
+        for a in np.flatnonzero(self.hub).tolist():
+            for b in np.flatnonzero((self.keys == self.keys[a]).any(axis=1)).tolist():
+                if b == a or self.hub[b] and b < a:
+                    continue
+                x, y = self._root(int(self.comp[a])), self._root(int(self.comp[b]))
+                if x != y and similarity(self.sets[a], self.sets[b]) >= self.threshold:
+                    self.top[max(x, y)] = min(x, y)
+                    us.append(int(self.ids[a]))
+                    vs.append(int(self.ids[b]))
+        return us, vs
+
+
+def _compare(rows: DataFrame, by: list[str], weights, threshold: float) -> DataFrame:
+    """rows: the columns of by, rep, keys, hub, component, _bytes. Links found in each group, as u, v."""
+
+    def run(table: pa.Table) -> pa.Table:
+        us, vs = Compared(table, weights.value, threshold).links()
+        return pa.table({"u": pa.array(us, pa.int64()), "v": pa.array(vs, pa.int64())})
+
+    return rows.select(*by, "rep", "keys", "hub", "component", "_bytes").groupBy(*by).applyInArrow(run, "u bigint, v bigint")
+
+
+def candidate_groups(firsts: DataFrame) -> DataFrame:
+    """firsts: rep, keys. (rep, sg, members): texts joined by bands, directly or not; sg is the least of a group."""
+    bands = staged(firsts.select("rep", F.posexplode("keys").alias("band", "key")), "bands")
+    buckets = bands.groupBy("band", "key").agg(F.min("rep").alias("head"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("band", "key", "head")
+    edges = bands.join(buckets, ["band", "key"]).filter("rep <> head").select(F.col("rep").alias("u"), F.col("head").alias("v"))
+    groups = staged(relational_components(staged(edges.distinct(), "pairs")).select(F.col("v").alias("rep"), F.col("component").alias("sg")), "groups")
+    return staged(groups.join(groups.groupBy("sg").agg(F.count(F.lit(1)).alias("members")), "sg"), "sized")
+
+
+def text_links(texts: DataFrame, weights, threshold: float) -> DataFrame:
+    """texts: rep, sg, members, keys, _bytes. Links that give the same components as all links of candidates.
+
+    A group that fits a task is compared whole. In a larger one HUBS texts meet all; then each text
+    outside the group's main component meets all texts of the group: a pair that was never compared
+    is then a pair of the main component, which is joined already.
+    """
+    alone = texts.withColumn("component", F.col("rep"))
+    small = _compare(alone.filter(F.col("members") <= CHUNK).withColumn("hub", F.lit(True)), ["sg"], weights, threshold)
+
+    large = alone.filter(F.col("members") > CHUNK).withColumn("chunks", F.ceil(F.col("members") / CHUNK).cast("int"))
+    large = large.withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int"))
+    # the least text of each hashed slot is a hub: HUBS at most, found without gathering the group
+    hubs = large.groupBy("sg", F.pmod(F.xxhash64("rep", F.lit(7)), F.lit(HUBS)).alias("slot")).agg(F.min("rep").alias("rep"))
+    hubs = staged(hubs.select("rep"), "hubs")
+    met = large.join(hubs.withColumn("hub", F.lit(True)), "rep", "left").withColumn("hub", F.coalesce("hub", F.lit(False)))
+    met = met.withColumn("chunk", F.explode(F.when(F.col("hub"), F.sequence(F.lit(0), F.col("chunks") - 1)).otherwise(F.array("chunk"))))
+    first = staged(small.union(_compare(met, ["sg", "chunk"], weights, threshold)), "links")
+
+    joined = relational_components(first).select(F.col("v").alias("_v"), F.col("component").alias("_c"))
+    placed = staged(large.select("rep", "sg").join(joined, F.col("rep") == F.col("_v"), "left").select("rep", "sg", F.coalesce("_c", "rep").alias("_c")), "placed")
+    parts = placed.groupBy("sg", "_c").agg(F.count(F.lit(1)).alias("n"))
+    main = parts.groupBy("sg").agg(F.max(F.struct("n", "_c"))["_c"].alias("_main"), F.sum("n").alias("_all"), F.max("n").alias("_most")).filter("_all > _most")
+    split = staged(main.withColumn("blocks", F.ceil((F.col("_all") - F.col("_most")) / CHUNK).cast("int")), "split")
+    if split.isEmpty():
+        return first
+    state = placed.join(split, "sg").select("rep", "_c", "_main", "blocks")
+    rows = large.drop("component").join(state, "rep").withColumn("component", F.col("_c"))
+    outside = rows.filter("_c <> _main").withColumn("block", F.pmod(F.xxhash64("rep", F.lit(3)), F.col("blocks")).cast("int")).withColumn("hub", F.lit(True))
+    outside = outside.withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    every = rows.withColumn("hub", F.lit(False)).withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    columns = ["sg", "block", "chunk", "rep", "keys", "hub", "component", "_bytes"]
+    return first.union(_compare(outside.select(*columns).unionByName(every.select(*columns)), ["sg", "block", "chunk"], weights, threshold))
 
 
 def near_classes(docs: DataFrame, text: str, threshold: float = THRESHOLD) -> tuple[DataFrame, DataFrame]:
@@ -295,20 +339,11 @@ def near_classes(docs: DataFrame, text: str, threshold: float = THRESHOLD) -> tu
     shared = staged(reps.filter("n > 1").select("_sha", "rep"), "copies")
     copies = staged(solid.join(shared, "_sha").select("_row", "rep"), "copied")
     firsts = without(work.filter("_bands is not null").select("_row", "_bands"), copies.filter("_row <> rep").select("_row"), "_row")
-    bands = staged(firsts.select(F.col("_row").alias("rep"), F.posexplode("_bands").alias("band", "key")), "bands")
-
-    pairs, large = candidate_pairs(bands)
-    pairs = staged(pairs, "pairs")
-    ends = pairs.select(F.col("a").alias("_row")).union(pairs.select("b"))
-    texts = flagged(work.select("_row", body.alias("_bytes")), "_row", bitmap(ends, "_row")).filter("_maybe").select("_row", "_bytes")
-    texts = staged(texts, "texts")
-    links = staged(_verify(pairs, texts, weights, threshold), "links")
-    found = relational_components(links)
-    component = staged(bands.select("rep").distinct().join(found.select(F.col("v").alias("rep"), "component"), "rep", "left").select("rep", F.coalesce("component", "rep").alias("component")), "components")
-    rest = staged(_outsiders(bands, large, component), "outsiders")
-    if not rest.isEmpty():
-        more = _verify(rest, texts, weights, threshold)
-        found = relational_components(links.union(more))
+    firsts = firsts.select(F.col("_row").alias("rep"), F.col("_bands").alias("keys"))
+    groups = candidate_groups(firsts)
+    texts = flagged(work.select(F.col("_row").alias("rep"), F.col("_bands").alias("keys"), body.alias("_bytes")), "rep", bitmap(groups, "rep")).filter("_maybe").drop("_maybe")
+    texts = staged(texts.join(groups, "rep"), "texts")
+    found = relational_components(staged(text_links(texts, weights, threshold), "found"))
     whole = staged(found.select("v", "component").union(copies.select(F.col("_row").alias("v"), F.col("rep").alias("component"))), "joined")
     final = relational_components(whole.select(F.col("v").alias("u"), F.col("component").alias("v")))
     return work, staged(final.select(F.col("v").alias("_row"), "component"), "classes")
