@@ -11,6 +11,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from sparsecert.functions.bounds import inv_ackermann
 from sparsecert.kernels import answers
@@ -114,10 +115,10 @@ def inverse(m: pd.Series, n: pd.Series) -> pd.Series:
     return pd.Series([inv_ackermann(int(a), int(b)) for a, b in zip(m, n, strict=True)], dtype="int64")
 
 
-component_count_agg = F.pandas_udf(component_count, "bigint")
-is_bipartite_agg = F.pandas_udf(is_bipartite, "boolean")
-min_forest_weight_agg = F.pandas_udf(min_forest_weight, "bigint")
-inv_ackermann_udf = F.pandas_udf(inverse, "bigint")
+component_count_agg = F.pandas_udf(component_count, T.LongType())
+is_bipartite_agg = F.pandas_udf(is_bipartite, T.BooleanType())
+min_forest_weight_agg = F.pandas_udf(min_forest_weight, T.LongType())
+inv_ackermann_udf = F.pandas_udf(inverse, T.LongType())
 
 TABLE_FUNCTIONS = {
     "graph_components": (GraphComponents, "v bigint, component bigint"),
