@@ -449,14 +449,8 @@ def gap_row(e: DataFrame, problem: str, step: str, prop: str, k: int) -> DataFra
     return old.crossJoin(new).select(F.lit(problem).alias("problem"), F.lit(n).alias("n"), F.col("edges").alias("m"), F.col("worst_ns").alias("edge_worst_ns"), (F.col("total_ns") / F.col("edges")).alias("edge_mean_ns"), "group_gap_ns", "groups", "group_total_ns", "group_peak_edges", "cert_edges", (F.col("worst_ns") / F.col("group_gap_ns")).alias("speedup_worst"), (F.col("total_ns") / F.col("edges") / F.col("group_gap_ns")).alias("speedup_mean"))
 
 
-def _gap_graph(s: SparkSession, d: str, name: str, problem: str) -> DataFrame:
-    e = graph(s, d, name)
-    # the O(n) steps of flows take a second per few hundred edges: their stream is the first 1,500 edges
-    return e.orderBy("seq").limit(1500) if problem.startswith(("vertex", "edge_k")) else e
-
-
 for _problem, _graph, _step, _prop, _k in GAPS:
-    query(f"gap_old_vs_new_{_problem}")(lambda s, d, p=_problem, gr=_graph, st=_step, pr=_prop, k=_k: gap_row(_gap_graph(s, d, gr, p), p, st, pr, k))
+    query(f"gap_old_vs_new_{_problem}")(lambda s, d, p=_problem, gr=_graph, st=_step, pr=_prop, k=_k: gap_row(graph(s, d, gr), p, st, pr, k))
 
 TOTALS = (
     ("components", "co_purchase", lambda e, p: g.is_connected(e, policy=p, parts=1).select(F.col("connected").cast("string").alias("answer"))),
