@@ -172,17 +172,17 @@ query("min_forest_per_kind", f"SELECT 'all' AS kind, CAST(sum(w) AS BIGINT) AS w
 _ORDERED = "SELECT *, row_number() OVER (ORDER BY ts, event_id) AS seq FROM events"
 query("group_schedule", f"WITH e AS {gr('user_adjacent')}, n AS (SELECT count(*) AS m, (SELECT count(*) FROM (SELECT u FROM e UNION SELECT v FROM e)) AS r FROM e) SELECT t.gid AS group_id, CAST(least(r, m - t.gid * r) AS BIGINT) AS edges_in, m - t.gid * r < r AS is_tail FROM n, range(0, (m + r - 1) // r) t(gid)")(lambda s, d: E.group_schedule(e := graph(s, d, "user_adjacent"), g.all_vertices(e).count()))
 _PAIR = f"SELECT u, v, count(*) AS copies FROM {gr('nation_trade')} GROUP BY 1, 2"
-_by_u = Window.partitionBy("u").orderBy(F.col("copies").desc(), "v")
-_by_copies = Window.partitionBy("u").orderBy(F.col("copies").desc())
+_by_u = lambda: Window.partitionBy("u").orderBy(F.col("copies").desc(), "v")  # noqa: E731  (a window needs a session)
+_by_copies = lambda: Window.partitionBy("u").orderBy(F.col("copies").desc())  # noqa: E731  (a window needs a session)
 query("rank_partners", f"SELECT u, v, rank() OVER w AS r, dense_rank() OVER w AS dr, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd, ntile(4) OVER (PARTITION BY u ORDER BY copies DESC, v) AS q FROM ({_PAIR}) WINDOW w AS (PARTITION BY u ORDER BY copies DESC)")(
-    lambda s, d: E.multiplicity(graph(s, d, "nation_trade")).select("u", "v", F.rank().over(_by_copies).cast("long").alias("r"), F.dense_rank().over(_by_copies).cast("long").alias("dr"), F.round(F.percent_rank().over(_by_copies), 6).alias("pr"), F.round(F.cume_dist().over(_by_copies), 6).alias("cd"), F.ntile(4).over(_by_u).cast("long").alias("q"))
+    lambda s, d: E.multiplicity(graph(s, d, "nation_trade")).select("u", "v", F.rank().over(_by_copies()).cast("long").alias("r"), F.dense_rank().over(_by_copies()).cast("long").alias("dr"), F.round(F.percent_rank().over(_by_copies()), 6).alias("pr"), F.round(F.cume_dist().over(_by_copies()), 6).alias("cd"), F.ntile(4).over(_by_u()).cast("long").alias("q"))
 )
 query("adjacent_users", "SELECT event_id, lead(user_id) OVER (ORDER BY ts, event_id) AS next_user FROM events")(lambda s, d: event_order(load(s, d, "events")).select("event_id", "next_user"))
-_conv = Window.partitionBy("conv_id").orderBy("turn")
-query("turn_edges", "SELECT conv_id, turn, lag(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS before, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS after FROM conversations")(lambda s, d: load(s, d, "conversations").select("conv_id", "turn", F.lag("turn").over(_conv).alias("before"), F.lead("turn").over(_conv).alias("after")))
-_user = Window.partitionBy("user_id").orderBy("ts", "event_id")
-_whole = _user.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
-query("first_last_value", "SELECT event_id, first_value(event_type) OVER w AS f, last_value(event_type) OVER w AS l, nth_value(event_type, 2) OVER w AS n2 FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")(lambda s, d: load(s, d, "events").select("event_id", F.first("event_type").over(_whole).alias("f"), F.last("event_type").over(_whole).alias("l"), F.nth_value("event_type", 2).over(_whole).alias("n2")))
+_conv = lambda: Window.partitionBy("conv_id").orderBy("turn")  # noqa: E731  (a window needs a session)
+query("turn_edges", "SELECT conv_id, turn, lag(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS before, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS after FROM conversations")(lambda s, d: load(s, d, "conversations").select("conv_id", "turn", F.lag("turn").over(_conv()).alias("before"), F.lead("turn").over(_conv()).alias("after")))
+_user = lambda: Window.partitionBy("user_id").orderBy("ts", "event_id")  # noqa: E731  (a window needs a session)
+_whole = lambda: _user().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)  # noqa: E731  (a window needs a session)
+query("first_last_value", "SELECT event_id, first_value(event_type) OVER w AS f, last_value(event_type) OVER w AS l, nth_value(event_type, 2) OVER w AS n2 FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)")(lambda s, d: load(s, d, "events").select("event_id", F.first("event_type").over(_whole()).alias("f"), F.last("event_type").over(_whole()).alias("l"), F.nth_value("event_type", 2).over(_whole()).alias("n2")))
 
 
 @query("running_new_vertices", f"WITH o AS ({_ORDERED}), f AS (SELECT user_id, min(seq) AS seq FROM o GROUP BY 1) SELECT o.event_id, CAST((SELECT count(*) FROM f WHERE f.seq <= o.seq) AS BIGINT) AS seen FROM o")
@@ -196,9 +196,9 @@ def _(s: SparkSession, d: str) -> DataFrame:
     return marked.withColumn("local", F.sum("new").over(within)).join(days, F.col("day") == F.col("_d")).select("event_id", (F.col("before") + F.col("local")).alias("seen"))
 
 
-_hour = Window.partitionBy("user_id").orderBy(F.unix_seconds(F.col("ts").cast("timestamp"))).rangeBetween(-3600, 0)
-query("edges_last_hour", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY CAST(floor(epoch(ts)) AS BIGINT) RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: load(s, d, "events").select("event_id", F.count(F.lit(1)).over(_hour).alias("n")))
-query("moving_weight", "SELECT event_id, round(avg(CAST(round(value * 100) AS BIGINT)) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING), 4) AS mean FROM events")(lambda s, d: load(s, d, "events").select("event_id", F.round(F.avg(F.round(F.col("value") * 100).cast("long")).over(_user.rowsBetween(-2, 2)), 4).alias("mean")))
+_hour = lambda: Window.partitionBy("user_id").orderBy(F.unix_seconds(F.col("ts").cast("timestamp"))).rangeBetween(-3600, 0)  # noqa: E731  (a window needs a session)
+query("edges_last_hour", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY CAST(floor(epoch(ts)) AS BIGINT) RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: load(s, d, "events").select("event_id", F.count(F.lit(1)).over(_hour()).alias("n")))
+query("moving_weight", "SELECT event_id, round(avg(CAST(round(value * 100) AS BIGINT)) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING), 4) AS mean FROM events")(lambda s, d: load(s, d, "events").select("event_id", F.round(F.avg(F.round(F.col("value") * 100).cast("long")).over(_user().rowsBetween(-2, 2)), 4).alias("mean")))
 query("running_max_weight", f"SELECT eid, max(w) OVER (PARTITION BY u ORDER BY eid, v, w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS top, round(w / sum(w) OVER (PARTITION BY u), 8) AS share FROM {gr('supplier_part')}")(lambda s, d: graph(s, d, "supplier_part").select("eid", F.max("w").over(Window.partitionBy("u").orderBy("eid", "v", "w").rowsBetween(Window.unboundedPreceding, 0)).alias("top"), F.round(F.col("w") / F.sum("w").over(Window.partitionBy("u")), 8).alias("share")))
 
 # ---- order, limits, sets

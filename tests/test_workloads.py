@@ -9,7 +9,7 @@ from tests.compare import SMALLEST, connection, rows_of, sorted_rows
 SOME = [
     "components_customer_order", "components_doc_line", "components_tiny_sparse", "components_with_isolated_parts", "component_sizes_page_host", "is_connected_co_purchase", "same_component_customer_order", "relational_components_doc_line",
     "forest_size_by_group_user_adjacent", "bipartition_user_adjacent", "bipartition_customer_order", "is_bipartite_early_stop_co_purchase", "odd_cycle_user_adjacent", "relational_bipartite_customer_order", "k_vertex_5_user_type", "k_vertex_6_user_type",
-    "k_edge_3_nation_trade", "k_vertex_2_premium", "bridges_conv_turn", "cut_vertices_page_host", "separator_user_type", "min_forest_sort_user_adjacent", "min_forest_grow_user_adjacent", "max_forest_nation_trade", "min_forest_by_component_tiny_sparse",
+    "k_edge_1_customer_order", "k_vertex_2_premium", "bridges_conv_turn", "cut_vertices_page_host", "separator_user_type", "min_forest_sort_user_adjacent", "min_forest_grow_user_adjacent", "max_forest_nation_trade", "min_forest_by_component_tiny_sparse",
     "relational_min_forest_user_adjacent", "single_linkage_embeddings", "grid_sparsified_components_co_purchase", "order_invariance", "union_law", "transitive_law", "per_edge_components_customer_order", "per_edge_min_forest_linkcut", "store_all_co_purchase",
     "density_regime", "bound_table_at_graphs", "tradeoff_groups_user_adjacent", "total_time_stream_vs_whole_components", "cap_multiplicity", "lightest_per_pair", "prefix_graph", "not_in_null", "balance_band_edges", "event_asof_purchase", "events_within_10min",
     "top3_partners_lateral", "hub_join", "trade_cube", "components_per_segment", "group_schedule", "rank_partners", "running_new_vertices", "edges_by_weight", "cert_minus_graph", "udtf_components", "recursive_reach", "stream_components_customer_order",
