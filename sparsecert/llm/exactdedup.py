@@ -131,7 +131,8 @@ def decisions(work: DataFrame, text: str = "text", key: str = "doc_id", hasher=w
     rows = staged(rows, "classes")
     best = F.min(F.struct((-F.col("_points")).alias("p"), F.col("_id").isNull().alias("z"), F.col("_id").alias("id"), F.col("_row").alias("row")))
     classes = rows.groupBy("_round", *KEY).agg(best.alias("_best"), F.count(F.lit(1)).alias("group_size"))
-    joined = rows.join(classes, ["_round", *KEY])
+    # a table of its own, so that the join's sides are plain shuffles, whose large partitions Spark splits
+    joined = rows.join(staged(classes, "best"), ["_round", *KEY])
     return joined.select("_row", F.col("_best.id").alias("keep_id"), "group_size", (F.col("_row") == F.col("_best.row")).alias("kept"))
 
 
