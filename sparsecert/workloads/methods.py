@@ -358,7 +358,7 @@ def _sizes(s: SparkSession, d: str, names: tuple[str, ...]) -> DataFrame:
 _SIZES_SQL = " UNION ALL ".join(f"SELECT '{n}' AS graph, (SELECT count(*) FROM (SELECT u FROM ({DUCK_SQL[n]}) UNION SELECT v FROM ({DUCK_SQL[n]}))) AS n, (SELECT count(*) FROM ({DUCK_SQL[n]})) AS m" for n in REGIME_GRAPHS)
 
 
-@query("density_regime", f"SELECT graph, n, m, round(m / n, 6) AS density, CASE WHEN n = 0 THEN 'empty' WHEN m / n > log2(n) THEN 'dense' ELSE 'sparse' END AS regime FROM ({_SIZES_SQL})")
+@query("density_regime", f"SELECT graph, n, m, round(m / nullif(n, 0), 6) AS density, CASE WHEN n = 0 THEN 'empty' WHEN m / n > log2(n) THEN 'dense' ELSE 'sparse' END AS regime FROM ({_SIZES_SQL})")
 def _(s: SparkSession, d: str) -> DataFrame:
     t = _sizes(s, d, REGIME_GRAPHS)
     ratio = F.try_divide(F.col("m"), F.col("n"))

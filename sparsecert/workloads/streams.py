@@ -77,7 +77,8 @@ cc(p, v, c) USING KEY (p, v) AS (
 
 
 def _seconds(c: str):
-    return F.unix_seconds(F.col(c).cast("timestamp"))
+    """Of a day's start, whatever the session's time zone."""
+    return F.datediff(F.col(c), F.to_date(F.lit("1970-01-01"))).cast("long") * 86400
 
 
 query("tumbling_window_forests", _pane_sql(f"SELECT pane AS p, u, v FROM ({_PANES})", "pane"))(lambda s, d: pane_certs(timed_edges(s, d), of("components")).groupBy(_seconds("pane").alias("pane")).agg(F.count(F.lit(1)).alias("forest_edges")))

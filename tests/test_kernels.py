@@ -7,6 +7,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
+from sparsecert.baselines.per_edge import run_steps
 from sparsecert.functions.bounds import ackermann, inv_ackermann
 from sparsecert.kernels import answers, fold
 from sparsecert.kernels.certs import EDGE_KERNELS, FOREST_KERNELS, VERTEX_KERNELS, Edges, cascade, max_back
@@ -195,6 +196,20 @@ def test_cascade_is_not_for_vertex_connectivity():
     assert wrong > 0
 
 
+def test_per_edge_methods_answer_alike():
+    for n, pairs, k in graphs(200, 11):
+        e = edges_of(pairs, [(7 * i) % 5 for i in range(len(pairs))])
+        cert = e.take(run_steps(e, "vertex", k)[0])
+        assert answers.k_vertex_connected(cert, np.arange(n), k)[0] == brute.k_vertex(range(n), pairs, k)
+        want = min(brute.local_edge(range(n), pairs, 0, y) for y in range(1, n)) >= k
+        for step in ("edge_flow", "edge_cascade"):
+            assert answers.k_edge_connected(e.take(run_steps(e, step, k)[0]), np.arange(n), k)[0] == want
+        best = set(FOREST_KERNELS["sort"](e).tolist())
+        assert set(run_steps(e, "min_forest_walk")[0].tolist()) == best == set(run_steps(e, "min_forest_linkcut")[0].tolist())
+        assert len(run_steps(e, "components")[0]) == n - brute.parts(range(n), pairs)
+        assert bool(answers.odd_cycle(e.take(run_steps(e, "bipartition")[0]))) == bool(answers.odd_cycle(e))
+
+
 def test_inverse_ackermann():
     assert [inv_ackermann(n, n) for n in (1, 3, 4, 15, 16, 65535, 65536, 1 << 40)] == [1, 1, 2, 2, 3, 3, 4, 4]
     assert ackermann(2, 2) == 16
