@@ -360,7 +360,8 @@ def near_duplicates(docs: DataFrame, text: str = "text", key: str = "doc_id", th
     rows = work.select("_row", "_key").join(classes, "_row", "left").select("_key", "_row", F.coalesce("component", "_row").alias("_class"))
     rows = staged(rows, "rows")
     best = rows.groupBy("_class").agg(F.min(F.struct(F.col("_key").isNull().alias("z"), F.col("_key").alias("id"), F.col("_row").alias("row"))).alias("_best"), F.count(F.lit(1)).alias("class_size"))
-    return rows.join(best, "_class").select(F.col("_key").alias("doc_id"), F.col("_best.id").alias("class_id"), "class_size", (F.col("_row") == F.col("_best.row")).alias("kept"))
+    # a table of its own, so that the join's sides are plain shuffles, whose large partitions Spark splits
+    return rows.join(staged(best, "best"), "_class").select(F.col("_key").alias("doc_id"), F.col("_best.id").alias("class_id"), "class_size", (F.col("_row") == F.col("_best.row")).alias("kept"))
 
 
 def one_of_each(docs: DataFrame, text: str = "text", key: str = "doc_id", threshold: float = THRESHOLD) -> DataFrame:
@@ -369,7 +370,7 @@ def one_of_each(docs: DataFrame, text: str = "text", key: str = "doc_id", thresh
     ids = classes.join(work.select("_row", F.col(key).alias("_key")), "_row")
     ids = staged(ids, "ids")
     best = ids.groupBy("component").agg(F.min(F.struct(F.col("_key").isNull().alias("z"), F.col("_key").alias("id"), F.col("_row").alias("row"))).alias("_best"))
-    gone = staged(ids.join(best, "component").filter(F.col("_row") != F.col("_best.row")).select("_row"), "gone")
+    gone = staged(ids.join(staged(best, "best"), "component").filter(F.col("_row") != F.col("_best.row")).select("_row"), "gone")
     return without(work.drop("_sha", "_bands"), gone, "_row").select(*docs.columns)
 
 
