@@ -14,7 +14,6 @@ import codecs
 import hashlib
 import re
 import zlib
-from collections import deque
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -188,21 +187,23 @@ class _Root(Layer):
 
 
 def _opened(root: str) -> Iterator[Layer]:
-    """All layers below a text, each content at each place once."""
-    seen: set[tuple[bytes, int, int]] = set()
-    work: deque[Layer] = deque()
-
-    def push(found: Iterator[Layer]) -> Iterator[Layer]:
-        for layer in found:
-            mark = (hashlib.blake2b(layer.text.encode("utf-8", "surrogatepass"), digest_size=16).digest(), layer.low, layer.high)
-            if layer.text and mark not in seen:
-                seen.add(mark)
-                work.append(layer)
-                yield layer
+    """All layers below a text, each content at each place once.
 
-    yield from push(_first(root))
+    The worklist holds what is left to unwrap at each depth, so one layer a depth is in memory, also
+    where compressed data unfolds into many windows.
+    """
+    seen: set[tuple[bytes, int, int]] = set()
+    work = [_first(root)]
     while work:
-        yield from push(_unwrapped(work.popleft()))
+        layer = next(work[-1], None)
+        if layer is None:
+            work.pop()
+            continue
+        mark = (hashlib.blake2b(layer.text.encode("utf-8", "surrogatepass"), digest_size=16).digest(), layer.low, layer.high)
+        if layer.text and mark not in seen:
+            seen.add(mark)
+            yield layer
+            work.append(_unwrapped(layer))
 
 
 def _first(text: str) -> Iterator[Layer]:
