@@ -8,6 +8,7 @@ where they overlap no span of a pattern.
 
 from __future__ import annotations
 
+import bisect
 import hashlib
 import ipaddress
 import re
@@ -297,19 +298,34 @@ def joined(spans: list[tuple[int, int, int]]) -> str:
     return ",".join(f"{KINDS[k]}:{s}:{e}" for k, s, e in spans)
 
 
-def _overlaps(span: tuple[int, int, int], others: list[tuple[int, int, int]]) -> bool:
-    return any(s < span[2] and span[1] < e for _, s, e in others)
+class Covered:
+    """The places that spans cover, as stretches in order, for searches by bisection."""
+
+    def __init__(self, spans: list[tuple[int, int, int]]):
+        self.starts: list[int] = []
+        self.ends: list[int] = []
+        for s, e in sorted((s, e) for _, s, e in spans):
+            if self.ends and s < self.ends[-1]:
+                self.ends[-1] = max(self.ends[-1], e)
+            else:
+                self.starts.append(s)
+                self.ends.append(e)
+
+    def meets(self, start: int, end: int) -> bool:
+        i = bisect.bisect_right(self.ends, start)
+        return i < len(self.starts) and self.starts[i] < end
 
 
 def find_personal(field: Field, texts: list[str]) -> list[tuple[list[tuple[int, int, int]], list[tuple[int, int, int]]]]:
     """For each text, the patterns' spans and all spans, by kind, then start."""
     base = [plain_spans(t) for t in texts]
+    covered = [Covered(b) for b in base]
     where, windows = [], []
     for n, text in enumerate(texts):
         if "@" in text or DIGIT.search(text) or "(at)" in text or "[at]" in text:
             for window in windows_of(text):
                 # a window whose every anchor lies in a pattern's span has nothing to add
-                if any(("@" in m.group() or DIGIT.search(m.group()) or m.group().lower() in ("(at)", "[at]")) and not _overlaps((0, m.start(), m.end()), base[n]) for m in window):
+                if any(("@" in m.group() or DIGIT.search(m.group()) or m.group().lower() in ("(at)", "[at]")) and not covered[n].meets(m.start(), m.end()) for m in window):
                     where.append((n, window))
                     windows.append([m.group() for m in window])
     extra: list[list[tuple[int, int, int]]] = [[] for _ in texts]
@@ -318,7 +334,7 @@ def find_personal(field: Field, texts: list[str]) -> list[tuple[list[tuple[int,
         batch = order[i : i + 256]
         for j, path in zip(batch, field.decode([windows[j] for j in batch]), strict=True):
             n, window = where[j]
-            extra[n] += [s for s in spans_of(texts[n], window, path) if not _overlaps(s, base[n])]
+            extra[n] += [s for s in spans_of(texts[n], window, path) if not covered[n].meets(s[1], s[2])]
     return [(b, sorted({*b, *e})) for b, e in zip(base, extra, strict=True)]
 
 

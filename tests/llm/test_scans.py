@@ -1,6 +1,7 @@
 import base64
 import gzip
 import hashlib
+import random
 import re
 import urllib.parse
 import zlib
@@ -141,3 +142,25 @@ def test_secrets_of_odd_documents(spark):
     assert (r["n_assign"], r["n_access"], r["n_hex"]) == (1, 1, 0)
     assert r["base_sha256"] == hashlib.sha256(secrets.joined(slow_secrets(rows[-1][1])).encode()).hexdigest()
     assert secrets.scan_documents(documents(spark, [])).count() == 0
+
+
+def test_covered_places_equal_a_search_of_all_spans():
+    draw = random.Random(3)
+    for _ in range(300):
+        spans = [(draw.randrange(4), s := draw.randrange(60), s + draw.randrange(1, 9)) for _ in range(draw.randrange(8))]
+        covered = pii.Covered(spans)
+        for start in range(0, 70):
+            end = start + draw.randrange(1, 6)
+            assert covered.meets(start, end) == any(s < end and start < e for _, s, e in spans)
+
+
+def test_one_layer_a_depth_is_held():
+    """A layer of many windows is unwrapped one window at a time, each with what it holds."""
+    hidden = base64.b64encode(b"password = layered-value-12345 and more").decode()
+    body = ("x " * (1 << 20)) + hidden + (" y" * (1 << 20))
+    text = base64.b64encode(zlib.compress(body.encode())).decode()
+    depth = []
+    for layer in secrets._opened(text):
+        depth.append(len(layer.text))
+    assert max(depth) <= secrets.MOST_HIDDEN + secrets.OVERLAP
+    assert any(kind == 0 for _, kind, _ in secrets.find_secrets(text)[1])
