@@ -159,18 +159,20 @@ def in_fold(key: Column) -> Column:
 def train(docs: DataFrame, labels: DataFrame, most_rows: int = 20_000, text: str = "text", key: str = "doc_id") -> AdditiveModel:
     """Fits on at most most_rows labelled rows that aren't held out, the ones with the least hash of their id.
 
-    The sample's ids are most_rows rows at most, so they are sent to all tasks.
+    The sample's ids are most_rows rows at most, so they are sent to all tasks. An id that many rows
+    repeat gives one row to the fit, the one with the least features, so that the fit stays bounded.
     """
     marks = labels.select(F.col("doc_id").alias("_label_id"), F.col("quality").alias("_quality")).filter(F.col("_quality").isin(0, 1) & F.col("_label_id").isNotNull() & ~in_fold(F.col("_label_id")))
     marks = marks.orderBy(F.xxhash64("_label_id"), "_label_id", "_quality").limit(most_rows)
     sample = docs.select(F.col(key).alias("_key"), F.coalesce(F.col(text), F.lit("")).cast("binary").alias("_bytes")).join(F.broadcast(marks), F.col("_key") == F.col("_label_id")).select("_key", "_quality", "_bytes")
+    kind = sample.schema["_key"].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, "_bytes"):
             rows = [text_features(d) for d in batch.column("_bytes").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("_quality").cast(pa.float64()), pa.array(rows, pa.list_(pa.float64()))], names=["y", "x"])
+            yield pa.RecordBatch.from_arrays([batch.column("_key"), batch.column("_quality").cast(pa.float64()), pa.array(rows, pa.list_(pa.float64()))], names=["k", "y", "x"])
 
-    table = sample.mapInArrow(run, "y double, x array<double>").toArrow()
+    table = sample.mapInArrow(run, f"k {kind}, y double, x array<double>").groupBy("k", "y").agg(F.min("x").alias("x")).select("y", "x").toArrow()
     y = table.column("y").to_numpy()
     x = np.array(table.column("x").to_pylist(), dtype=np.float64).reshape(len(y), len(FEATURES))
     order = np.lexsort([*x.T[::-1], y])  # rows come in any order; the model must not depend on it

@@ -152,3 +152,13 @@ def test_pipeline_on_small_tables(spark):
     assert all(r[1] <= 2048 for r in totals)
     assert set(r.doc_id for r in packed.select("doc_id").distinct().collect()) <= set(r.doc_id for r in docs.collect())
     assert prose(1) == prose(1)
+
+
+def test_a_repeated_id_gives_the_fit_one_row(spark, monkeypatch):
+    docs = spark.range(3000).selectExpr("if(id < 2900, 1L, id) AS doc_id", "concat('text ', id) AS text")
+    labels = spark.createDataFrame([(1, 1), (1, 1), (2901, 0), (2902, 1), (2903, None)], "doc_id long, quality int")
+    seen = []
+    real = quality.fit
+    monkeypatch.setattr(quality, "fit", lambda x, y: seen.append(len(y)) or real(x, y))
+    quality.train(docs, labels)
+    assert 1 <= seen[0] <= 3
