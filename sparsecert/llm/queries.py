@@ -14,7 +14,7 @@ from sparsecert.llm.pii import op6_crf_personal_data
 from sparsecert.llm.quality import op1_additive_quality
 from sparsecert.llm.secrets import op9_layered_secret_scan
 from sparsecert.llm.sharding import op5_hash_tree_sharding
-from sparsecert.llm.vectors import op4_sorted_projection_vectors
+from sparsecert.llm.vectors import OP4_SQL, op4_sorted_projection_vectors
 from sparsecert.llm.warc import OP2_SQL, op2_warc_transactions
 
 
@@ -27,4 +27,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_warc_transactions": OP2_SQL, "op7_hash_prefix_mixing": OP7_SQL, "op10_polynomial_exact_dedup": OP10_SQL}
+    return {"op2_warc_transactions": OP2_SQL, "op4_sorted_projection_vectors": OP4_SQL, "op7_hash_prefix_mixing": OP7_SQL, "op10_polynomial_exact_dedup": OP10_SQL}

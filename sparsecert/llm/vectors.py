@@ -246,3 +246,21 @@ def link_vectors(rows: DataFrame, key: str = "vec_id", column: str = "embedding"
 
 def op4_sorted_projection_vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
     return link_vectors(load(spark, sf_dir, "embeddings"))
+
+
+#: All pairs by brute force, then components by keyed recursion.
+OP4_SQL = """
+WITH RECURSIVE f AS MATERIALIZED (
+  SELECT vec_id, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS x FROM embeddings
+  WHERE len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0
+), e AS MATERIALIZED (
+  SELECT a.vec_id AS u, b.vec_id AS v FROM f a JOIN f b ON a.vec_id <> b.vec_id AND len(a.x) = len(b.x) WHERE list_cosine_similarity(a.x, b.x) >= 0.95
+), cc(v, c) USING KEY (v) AS (
+  SELECT vec_id, vec_id FROM embeddings
+  UNION
+  (SELECT e.v, min(f.c) FROM cc f JOIN e ON e.u = f.v JOIN recurring.cc r ON r.v = e.v WHERE f.c < r.c GROUP BY e.v)
+), n AS (
+  SELECT u, count(*) AS links FROM e GROUP BY u
+)
+SELECT cc.v AS vec_id, CAST(coalesce(n.links, 0) AS BIGINT) AS n_links, cc.c AS component_id, cc.v = cc.c AS kept FROM cc LEFT JOIN n ON n.u = cc.v
+"""

@@ -1,5 +1,8 @@
 """Queries of the subpackage that have SQL, on the smallest tables."""
 
+import numpy as np
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 
 from sparsecert.llm import queries
@@ -31,3 +34,18 @@ def test_columns_of_the_contract(spark, number):
     assert out.columns[: len(CONTRACT[number])] == CONTRACT[number]
     rows = spark.read.parquet(f"{SMALLEST}/{'pages' if number == 'op2' else 'documents'}.parquet").count()
     assert out.count() == rows
+
+
+def test_vectors_with_links_equal_sql(spark, tmp_path):
+    """The given small tables hold no links; these have clusters, chains, copies, zeros, nulls and a length of their own."""
+    draw = np.random.default_rng(4)
+    centres = draw.standard_normal((12, 16))
+    rows = [(centres[i % 12] + 0.22 * draw.standard_normal(16)).tolist() for i in range(400)]
+    rows += [rows[3], rows[3], [2 * x for x in rows[4]], [0.0] * 16, None, [], [float("nan")] * 16, [None, *rows[5][1:]], rows[6][:8]]
+    pq.write_table(pa.table({"vec_id": pa.array(range(len(rows)), pa.int64()), "embedding": pa.array(rows, pa.list_(pa.float32())), "label": pa.array([0] * len(rows), pa.int32())}), tmp_path / "embeddings.parquet")
+    name = "op4_sorted_projection_vectors"
+    got = queries.queries()[name](spark, str(tmp_path)).toArrow()
+    columns, want = rows_of(connection(str(tmp_path)), queries.oracle_sql()[name])
+    assert sorted(got.column_names) == columns
+    assert sorted_rows(got) == want
+    assert sum(got.column("n_links").to_pylist()) > 1000
