@@ -314,8 +314,14 @@ def text_links(texts: DataFrame, weights, threshold: float) -> DataFrame:
     split = staged(main.withColumn("blocks", F.ceil((F.col("_all") - F.col("_most")) / CHUNK).cast("int")), "split")
     if split.isEmpty():
         return first
-    state = placed.join(split, "sg").select("rep", "_c", "_main", "blocks")
-    rows = large.drop("component").join(state, "rep").withColumn("component", F.col("_c"))
+    state = staged(placed.join(split, "sg").select("rep", "_c", "_main", "blocks"), "state")
+    rows = large.drop("component", "chunk", "chunks").join(state, "rep").withColumn("component", F.col("_c"))
+    # texts that share no band with one outside can't meet it, so they aren't dealt again
+    touched = rows.filter("_c <> _main").select("sg", F.posexplode("keys").alias("band", "key")).distinct()
+    near = rows.select("sg", "rep", F.posexplode("keys").alias("band", "key")).join(touched, ["sg", "band", "key"], "left_semi")
+    near = staged(near.select("sg", "rep").distinct(), "near")
+    dealt = near.join(near.groupBy("sg").agg(F.ceil(F.count(F.lit(1)) / CHUNK).cast("int").alias("chunks")), "sg").select("rep", "chunks")
+    rows = rows.join(dealt, "rep").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int"))
     outside = rows.filter("_c <> _main").withColumn("block", F.pmod(F.xxhash64("rep", F.lit(3)), F.col("blocks")).cast("int")).withColumn("hub", F.lit(True))
     outside = outside.withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
     every = rows.withColumn("hub", F.lit(False)).withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
