@@ -131,8 +131,18 @@ TABLE_FUNCTIONS = {
 }
 
 
+#: Functions whose body is SQL, which Catalyst puts in place of each call.
+SQL_FUNCTIONS = (
+    f"encode_vertex(kind INT, id BIGINT) RETURNS BIGINT RETURN kind * {1 << 56}L + id",
+    "dot_product(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN aggregate(zip_with(a, b, (x, y) -> x * y), 0.0D, (s, x) -> s + x)",
+    "cosine_distance(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN 1 - dot_product(a, b) / (sqrt(dot_product(a, a)) * sqrt(dot_product(b, b)))",
+)
+
+
 def register(spark: SparkSession) -> None:
     """All functions under their SQL names."""
+    for body in SQL_FUNCTIONS:
+        spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {body}")
     for name, (kind, schema) in TABLE_FUNCTIONS.items():
         spark.udtf.register(name, F.udtf(kind, returnType=schema))
     for name, f in {"component_count": component_count_agg, "is_bipartite": is_bipartite_agg, "min_forest_weight": min_forest_weight_agg, "inv_ackermann": inv_ackermann_udf}.items():

@@ -99,3 +99,33 @@ def _(s: SparkSession, d: str) -> DataFrame:
 
 query("relational_edge_cert_components", components_sql(DUCK_SQL["page_host"]))(lambda s, d: g.components(relational.relational_edge_cert(clean(graph(s, d, "page_host")), 2)))
 query("relational_vertex_cert_verdict", "SELECT 'vertex' AS property, CAST(2 AS INTEGER) AS k, count(DISTINCT event_type) >= 2 AS holds FROM events")(lambda s, d: ready(g.is_k_vertex_connected(relational.relational_vertex_cert(clean(graph(s, d, "user_type")), 2), 2)))
+
+
+def event_files(s: SparkSession, d: str) -> DataFrame:
+    """The events as a stream of one file."""
+    path = shared_path(s, "events")
+    load(s, d, "events").select("event_id", "user_id", "event_type", F.col("ts").cast("timestamp").alias("ts")).repartition(1).write.parquet(path)
+    return s.readStream.schema(s.read.parquet(path).schema).parquet(path)
+
+
+def run_to_end(stream: DataFrame, s: SparkSession) -> DataFrame:
+    """What an append stream has written when all of its input is read."""
+    out = shared_path(s, "appended")
+    stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", shared_path(s, "progress")).trigger(availableNow=True).start().awaitTermination()
+    return s.read.schema(stream.schema).parquet(out)
+
+
+@query("label_stream_edges", f"SELECT e.eid, l.component FROM ({DUCK_SQL['customer_order']}) e JOIN ({components_sql(DUCK_SQL['customer_order'])}) l ON l.v = e.u")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """A stream of edges joined with a table of labels."""
+    labels = g.components(graph(s, d, "customer_order")).withColumnRenamed("v", "u")
+    return run_to_end(edge_files(s, d, "customer_order", 2).join(labels, "u").select("eid", "component"), s)
+
+
+@query("click_then_purchase", "SELECT c.event_id AS click_id, p.event_id AS purchase_id FROM events c JOIN events p ON c.user_id = p.user_id AND c.event_type = 'click' AND p.event_type = 'purchase' AND p.ts > c.ts AND p.ts <= c.ts + INTERVAL 6 HOUR")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """Two streams joined by user and interval; watermarks let the state of both end."""
+    e = event_files(s, d)
+    clicks = e.filter("event_type = 'click'").select(F.col("user_id").alias("a"), F.col("ts").alias("clicked"), F.col("event_id").alias("click_id")).withWatermark("clicked", "1 day")
+    purchases = e.filter("event_type = 'purchase'").select(F.col("user_id").alias("b"), F.col("ts").alias("bought"), F.col("event_id").alias("purchase_id")).withWatermark("bought", "1 day")
+    return run_to_end(clicks.join(purchases, F.expr("a = b AND bought > clicked AND bought <= clicked + INTERVAL 6 HOURS")).select("click_id", "purchase_id"), s)

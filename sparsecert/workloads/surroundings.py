@@ -12,7 +12,7 @@ from sparsecert.operators import graph as g
 from sparsecert.plans.batch import CertEngine
 from sparsecert.sources.graphs import DUCK_SQL, KIND, cosine, event_order, graph, hashed_sql
 from sparsecert.sources.tables import load
-from sparsecert.workloads.methods import components_sql, min_forest_sql, query
+from sparsecert.workloads.methods import bipartition_sql, components_sql, k_edge_slice_sql, k_vertex_slice_sql, min_forest_sql, query, ready
 
 
 def t(name: str):
@@ -167,6 +167,11 @@ def _(s: SparkSession, d: str) -> DataFrame:
 query("bipartite_per_event_type", "SELECT event_type, true AS bipartite FROM events GROUP BY event_type")(lambda s, d: load(s, d, "events").groupBy("event_type").agg(table_functions.is_bipartite_agg((6 * KIND + F.col("user_id")), F.lit(7 * KIND).cast("long")).alias("bipartite")))
 query("min_forest_per_kind", f"SELECT 'all' AS kind, CAST(sum(w) AS BIGINT) AS weight FROM ({min_forest_sql(DUCK_SQL['user_adjacent'], 150)})")(lambda s, d: graph(s, d, "user_adjacent").groupBy(F.lit("all").alias("kind")).agg(table_functions.min_forest_weight_agg("u", "v", "w").alias("weight")))
 
+_IN_YEAR = f"SELECT x.* FROM {gr('nation_trade')} x JOIN lineitem ON l_orderkey * 8 + l_linenumber = x.eid WHERE year(l_shipdate) = "
+query("min_forest_per_year", " UNION ALL ".join(f"SELECT * FROM (SELECT CAST({y} AS BIGINT) AS y, CAST(sum(w) AS BIGINT) AS weight FROM ({min_forest_sql(_IN_YEAR + str(y), 25)})) WHERE weight IS NOT NULL" for y in range(1992, 2003)))(
+    lambda s, d: graph(s, d, "nation_trade").join(load(s, d, "lineitem").select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("eid"), F.year("l_shipdate").cast("long").alias("y")), "eid").groupBy("y").agg(table_functions.min_forest_weight_agg("u", "v", "w").alias("weight"))
+)
+
 # ---- windows
 
 _ORDERED = "SELECT *, row_number() OVER (ORDER BY ts, event_id) AS seq FROM events"
@@ -290,3 +295,18 @@ def _(s: SparkSession, d: str) -> DataFrame:
     graph(s, d, "tiny_sparse").createOrReplaceTempView("tiny_edges")
     return s.sql("""WITH RECURSIVE b AS (SELECT u, v FROM tiny_edges UNION SELECT v, u FROM tiny_edges), r(v, depth) AS (SELECT min(u), 0 FROM tiny_edges UNION ALL SELECT b.v, depth + 1 FROM r JOIN b ON b.u = r.v WHERE depth < 6)
     SELECT DISTINCT v FROM r WHERE v IS NOT NULL""")
+
+
+def _table_function(s: SparkSession, d: str, name: str, call: str) -> DataFrame:
+    table_functions.register(s)
+    graph(s, d, name).createOrReplaceTempView(f"{name}_edges")
+    return s.sql(f"SELECT * FROM {call.format(f'TABLE(SELECT u, v FROM {name}_edges) WITH SINGLE PARTITION')}")
+
+
+query("udtf_bipartition", f"SELECT v, component, CAST(side AS INTEGER) AS side FROM ({bipartition_sql(DUCK_SQL['user_type'])})")(lambda s, d: _table_function(s, d, "user_type", "graph_bipartition({})"))
+query("udtf_spanning_forest_components", components_sql(DUCK_SQL["page_host"]))(lambda s, d: g.components(_table_function(s, d, "page_host", "graph_spanning_forest({})")))
+query("udtf_vertex_cert_verdict", k_vertex_slice_sql(3))(lambda s, d: ready(g.is_k_vertex_connected(_table_function(s, d, "small_user_slice", "graph_vertex_cert({}, 3)"), 3)))
+query("udtf_edge_cert_verdict", k_edge_slice_sql(3))(lambda s, d: ready(g.is_k_edge_connected(_table_function(s, d, "small_user_slice", "graph_edge_cert({}, 3)"), 3)))
+query("sql_scalar_functions", f"SELECT s_suppkey, {6 * KIND} + s_suppkey AS vertex, round(1 - (s_acctbal + s_nationkey + 6) / (sqrt(s_acctbal * s_acctbal + 5) * sqrt(s_nationkey * s_nationkey + 10)), 6) AS distance FROM supplier")(
+    lambda s, d: table_functions.register(s) or load(s, d, "supplier").selectExpr("s_suppkey", "encode_vertex(6, s_suppkey) AS vertex", "round(cosine_distance(array(s_acctbal, 1.0D, 2.0D), array(1.0D, double(s_nationkey), 3.0D)), 6) AS distance")
+)
