@@ -1,7 +1,8 @@
 """Personal data: plain patterns, and a linear-chain conditional random field over word shapes.
 
-The patterns' spans always stand. The field labels words around digits and at-signs, is trained on a
-small labelled table by maximum likelihood, and is decoded by Viterbi over batches of windows; it
+The patterns' spans always stand. The field labels words around digits, at-signs and spelled-out
+marks ('at', '(dot)' and the like, in any case, also inside a word), is trained on a small labelled
+table by maximum likelihood, and is decoded by Viterbi over batches of windows; it
 adds spans that the patterns can't express (phones without a plus, spelled-out addresses, and so on)
 where they overlap no span of a pattern.
 """
@@ -32,8 +33,15 @@ PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 DIGIT = re.compile(r"[0-9]")
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
+_SPELLED = r"(?<![^\W\d_])(?:{})(?![^\W\d_])"
+AT = re.compile(_SPELLED.format("at|arroba"), re.IGNORECASE)
+#: A dot of an address; one before a blank ends a sentence.
+DOT = re.compile(r"\.(?=\w)|(?<!\S)\.(?!\S)|" + _SPELLED.format("dot|punto"), re.IGNORECASE)
+ANCHOR = re.compile(r"[0-9@]|" + _SPELLED.format("at|arroba|dot|punto"), re.IGNORECASE)
+
 LABELS = ("O", *(f"{p}-{k}" for k in KINDS for p in "BI"))
-CONTEXT = 2
+CONTEXT = 4
+CELLS = 1 << 16  # words of a batch of windows, filled up to the longest
 
 
 def luhn(digits: str) -> bool:
@@ -99,11 +107,27 @@ def shape(word: str) -> str:
 CUES = {w: "tel" for w in "tel phone call mobile cell fax telefon tél teléfono whatsapp sms dial".split()} | {w: "mail" for w in "mail email e-mail contact write correo".split()} | {w: "net" for w in "ip host server address addr ping".split()} | {w: "card" for w in "card visa mastercard amex kreditkarte carte tarjeta".split()} | {w: "other" for w in "price total version page order isbn date id invoice room year chapter section".split()}
 
 
+TOPS = tuple("com org net info edu gov io eu de es fr it uk nl ch".split())
+BRACKETED = re.compile(r"[(\[](?:at|dot)[)\]]", re.IGNORECASE)
+
+
+def mark(word: str) -> str:
+    """The spelled-out mark that a word is or holds, in either case."""
+    at, dot = AT.search(word), DOT.search(word)
+    if not (at or dot) or "@" in word:
+        return "-"
+    alone = (at or dot).group().lower() == word.lower().strip(".,;:!?()[]\"'")
+    form = "alone " if alone else "in a word "
+    form += "in brackets " if BRACKETED.search(word) else ""
+    return form + ("both" if at and dot else "at" if at else "dot" if dot.group() != "." else ".")
+
+
 @lru_cache(maxsize=65536)
 def word_features(word: str) -> tuple[str, ...]:
     low = word.lower().strip(".,;:!?()[]\"'")
     digits = sum("0" <= c <= "9" for c in word)
-    return (f"s={shape(word)}", f"t={shape(word.strip('.,;:!?'))}", f"n={min(digits, 20)}", f"a={'@' in word}", f"c={CUES.get(low, '-')}", f"w={low if low in ('at', 'dot', '(at)', '(dot)', 'arroba') or low in CUES else '-'}")
+    form = word.lower() if BRACKETED.search(word) else word
+    return (f"s={shape(form)}", f"t={shape(form.strip('.,;:!?'))}", f"n={min(digits, 20)}", f"a={'@' in word}", f"c={CUES.get(low, '-')}", f"w={low if low in CUES else 'top' if low in TOPS else mark(word)}")
 
 
 def features(words: list[str], i: int) -> list[str]:
@@ -127,10 +151,20 @@ def labelled_table(copies: int = 6, seed: int = 7) -> list[tuple[list[str], list
     d = lambda n: "".join(str(x) for x in draw.integers(0, 10, n))
     w = lambda: "".join(draw.choice(list("aeioulnrst"), int(draw.integers(3, 8))))
     pick = lambda *x: x[int(draw.integers(len(x)))]()
+    one = lambda *x: x[int(draw.integers(len(x)))]
+
+    def spelled(one_word: bool = False) -> str:
+        """A spelled-out address, as words or as one word with bracketed marks; letters may be of either case."""
+        at, dot = one(*[("(at)", "."), ("[at]", "."), ("(at)", "(dot)"), ("[at]", "[dot]")]) if one_word else one(("at", "dot"), ("at", "dot"), ("(at)", "(dot)"), ("[at]", "[dot]"), ("(at)", "."), ("[at]", "."), ("arroba", "punto"))
+        gap = "" if one_word else " "
+        join = "." if dot == "." else f"{gap}{dot}{gap}"
+        name, host = join.join(w() for _ in range(one(1, 1, 1, 2))), join.join([w() for _ in range(one(1, 1, 1, 2))] + [one("com", one(*TOPS))])
+        return one(str, str, str.upper, str.title)(f"{name}{gap}{at}{gap}{host}") if one(0, 0, 0, 1) == 0 else f"{name}{gap}{at.upper()}{gap}{host}"
+
     octet = lambda: str(int(draw.integers(1, 255)))
     values = {
         "phone": lambda: pick(lambda: f"({d(3)}) {d(3)}-{d(4)}", lambda: f"{d(3)}-{d(3)}-{d(4)}", lambda: f"{d(3)}.{d(3)}.{d(4)}", lambda: f"+1 ({d(3)}) {d(3)}-{d(4)}", lambda: f"+{d(2)} {d(3)} {d(3)} {d(3)}", lambda: f"1-{d(3)}-{d(3)}-{d(4)}"),
-        "email": lambda: pick(lambda: f"{w()}.{w()}@{w()}.com", lambda: f"{w()}@{w()}.example.org", lambda: f"{w()} at {w()} dot com", lambda: f"{w()} (at) {w()} (dot) org", lambda: f"{w()}{d(2)} [at] {w()} [dot] net"),
+        "email": lambda: pick(lambda: f"{w()}.{w()}@{w()}.com", lambda: f"{w()}@{w()}.example.org", lambda: f"{w()} at {w()} dot com", lambda: f"{w()} (at) {w()} (dot) org", lambda: f"{w()}{d(2)} [at] {w()} [dot] net", *[spelled] * 4, *[lambda: spelled(True)] * 4),
         "ip": lambda: pick(lambda: ".".join(octet() for _ in range(4)), lambda: f"2001:db8:{d(4)}::{d(2)}", lambda: f"fe80::{d(4)}:{d(4)}"),
         "card": lambda: f"{d(4)} {d(4)} {d(4)} {d(4)}",
         "num": lambda: pick(lambda: d(int(draw.integers(1, 6))), lambda: f"{d(2)}.{d(2)}", lambda: f"{d(1)},{d(3)}", lambda: f"${d(3)}.{d(2)}", lambda: f"{d(2)}%"),
@@ -142,13 +176,17 @@ def labelled_table(copies: int = 6, seed: int = 7) -> list[tuple[list[str], list
         "call me on {phone} {w} {w}", "{w} phone {phone} or {w}", "tel: {phone} , {w}", "{w} {w} {phone} {w} {w}", "fax {phone}", "{w} mail {email} {w}", "contact {email} for {w}", "{w} {w} {email} {w} {w}", "write to {email}",
         "host {ip} {w} {w}", "{w} {ip} {w}", "server address {ip} is {w}", "card {card} {w}", "visa {card}", "{w} {w} {card} {w}", "{w} {num} {w} {w}", "price {num} {w}", "the {w} of {date} was {w}", "{w} {date} {w} {num}", "order id {code} {w}",
         "{w} {w} {code} {w} {w}", "version {code} of {w}", "{w} {code} {w} {num}", "page {num} {w} {w}", "{w} {w} {w} {w}", "meet me at {w} street {num}", "{w} at {num} {w}", "isbn {code}", "{code} {w} {w}", "{w} {w} {code}", "{num} {num} {num}", "{w} at the {w} {num} {w}", "token = {code} {w}",
+        "{w} {w} at {w} {w} {w}", "{w} at {w}. {w} {w}", "{w} {w} at the {w} of {w}.", "{w} {w} dot {w} {w}", "{w} dot at the {w} {w}", "{w}, {w} at {w} and {w}", "look at {w}", "a dot on {w} {w}", "{w} {email} {w} at {w} {w}", "{w} {w} {w}. at {w} {w}", "{w} at {w}", "{w} {w} (at) {w} {w}", "{w} at {w} dot {w} {w} {w}", "{w} {w} at the dot {w} {w}",
+        "{w} {w} at {w}.com {w} {w}", "{w} at {w}.org, {w}", "{w} {w} {email} or {w} {w}", "{w} to {email} please", "{w}: {email} and {w}", "{email}", "{email} {w} {w}", "{w} {w} {w} {email}", "{w} {email}. {w}", "{w} us: {email} or {w} {w}", "({email})",
     ]
     table = []
     for template in templates * copies:
         words, labels = [], []
         for part in template.split():
-            name = part[1:-1] if part[0] == "{" else ""
-            got = (values[name]() if name else part).split()
+            # signs may stand before and after the braces
+            before, _, rest = part.partition("{")
+            name, _, after = rest.partition("}")
+            got = (before + (values[name]() if name else "") + after).split()
             words += got
             labels += [f"{'I' if i else 'B'}-{name}" if name in KINDS else "O" for i in range(len(got))]
         table.append((words, labels))
@@ -234,25 +272,22 @@ def train(table: list[tuple[list[str], list[str]]], steps: int = 120, ridge: flo
 
 
 def windows_of(text: str) -> Iterator[list[re.Match]]:
-    """Stretches of words around those with a digit or an at-sign, two words of context on each side."""
+    """Stretches of words around those with a digit, an at-sign or a spelled-out mark, CONTEXT words on each side."""
     held: list[re.Match] = []
-    before: list[re.Match] = []
-    left = 0
+    gap: list[re.Match] = []
     for m in WORD.finditer(text):
-        word = m.group()
-        if "@" in word or DIGIT.search(word) or word.lower() in ("(at)", "[at]"):
-            held += [*before, m]
-            before, left = [], CONTEXT
-        elif left:
-            held.append(m)
-            left -= 1
-        else:
-            if held:
-                yield held
-                held = []
-            before = [*before[1 - CONTEXT :], m] if CONTEXT > 1 else [m]
+        if ANCHOR.search(m.group()):
+            held += [*gap, m]
+            gap = []
+            continue
+        gap.append(m)
+        if held and len(gap) > 2 * CONTEXT:
+            yield held + gap[:CONTEXT]
+            held = []
+        if not held:
+            gap = gap[-CONTEXT:]
     if held:
-        yield held
+        yield held + gap[:CONTEXT]
 
 
 EDGES = ".,;:!?\"'|<>{}*#$%&"
@@ -271,7 +306,21 @@ def _checked(kind: str, text: str) -> bool:
         except ValueError:
             return False
         return True
-    return bool(re.search(r"@|\bat\b|arroba", text, re.I)) and bool(re.search(r"\.|\bdot\b|punto", text, re.I)) and bool(re.search(r"[A-Za-z]", text))
+    if not re.search(r"[A-Za-z]", text):
+        return False
+    if "@" in text:
+        return "." in text or bool(DOT.search(text))
+    at = AT.search(text)
+    return bool(at and DOT.search(text, at.end()))
+
+
+def _may_add(text: str, window: list[re.Match], covered: Covered) -> bool:
+    """Whether a span of the field can come of a window: of a digit or an at-sign outside the patterns' spans, or of both spelled-out marks."""
+    if any(("@" in m.group() or DIGIT.search(m.group())) and not covered.meets(m.start(), m.end()) for m in window):
+        return True
+    end = window[-1].end()
+    at = AT.search(text, window[0].start(), end)
+    return bool(at and DOT.search(text, at.end(), end))
 
 
 def spans_of(text: str, matches: list[re.Match], path: np.ndarray) -> Iterator[tuple[int, int, int]]:
@@ -322,16 +371,19 @@ def find_personal(field: Field, texts: list[str]) -> list[tuple[list[tuple[int,
     covered = [Covered(b) for b in base]
     where, windows = [], []
     for n, text in enumerate(texts):
-        if "@" in text or DIGIT.search(text) or "(at)" in text or "[at]" in text:
+        if ANCHOR.search(text):
             for window in windows_of(text):
-                # a window whose every anchor lies in a pattern's span has nothing to add
-                if any(("@" in m.group() or DIGIT.search(m.group()) or m.group().lower() in ("(at)", "[at]")) and not covered[n].meets(m.start(), m.end()) for m in window):
+                if _may_add(text, window, covered[n]):
                     where.append((n, window))
                     windows.append([m.group() for m in window])
     extra: list[list[tuple[int, int, int]]] = [[] for _ in texts]
     order = sorted(range(len(windows)), key=lambda i: len(windows[i]))  # windows of like length share a batch
-    for i in range(0, len(order), 256):
-        batch = order[i : i + 256]
+    i = 0
+    while i < len(order):
+        j = i + 1
+        while j < len(order) and j - i < 256 and (j - i + 1) * len(windows[order[j]]) <= CELLS:
+            j += 1
+        batch, i = order[i:j], j
         for j, path in zip(batch, field.decode([windows[j] for j in batch]), strict=True):
             n, window = where[j]
             extra[n] += [s for s in spans_of(texts[n], window, path) if not covered[n].meets(s[1], s[2])]

@@ -57,6 +57,33 @@ def test_the_field_adds_spans_and_leaves_numbers_alone(field):
     assert spans[2:] == [[], [], []]
 
 
+SPELLED = [
+    ("write to anna at example dot com please", "anna at example dot com"), ("mail anna (at) example (dot) org today", "anna (at) example (dot) org"), ("ANNA (AT) EXAMPLE (DOT) ORG", "ANNA (AT) EXAMPLE (DOT) ORG"), ("reach us: john(at)example.com or come by", "john(at)example.com"),
+    ("reach us: john(AT)example.com or come by", "john(AT)example.com"), ("john dot smith at example dot co dot uk here", "john dot smith at example dot co dot uk"), ("contacto ana arroba ejemplo punto com gracias", "ana arroba ejemplo punto com"),
+]
+
+
+@pytest.mark.parametrize(("text", "span"), SPELLED)
+def test_spelled_out_addresses_are_found_to_their_end(field, text, span):
+    start = text.index(span)
+    assert find_personal(field, [text]) == [([], [(0, start, start + len(span))])]
+
+
+@pytest.mark.parametrize("text", ["we met at noon. Then we left for home", "the dot at the end. See you at school", "look at this dot on the page at home", "Anna works at example.com since spring"])
+def test_prose_with_such_words_is_left_alone(field, text):
+    assert find_personal(field, [text]) == [([], [])]
+
+
+def test_windows_hold_each_anchor_with_its_context():
+    words = ["w"] * 40
+    for at in (0, 3, 12, 20, 39):
+        words[at] = "at"
+    text = " ".join(words)
+    places = [[m.start() // 2 for m in window] for window in pii.windows_of(text.replace("at", "1"))]
+    near = sorted({i for at in (0, 3, 12, 20, 39) for i in range(at - pii.CONTEXT, at + pii.CONTEXT + 1) if 0 <= i < 40})
+    assert sorted(i for window in places for i in window) == near
+
+
 def test_viterbi_is_the_best_of_all_paths(field):
     import itertools
 
