@@ -1,8 +1,11 @@
 """Near-duplicate vectors by sorted projection passes.
 
 In each pass vectors stand in the lexicographic order of their signs on random planes; each is
-compared, in double precision, with a bounded window of those before it. Verified pairs of all
-passes are united into components. Within a component links are then counted exactly: at once where
+compared, in double precision, with a bounded window of those before it. How many leading signs a
+vector shares with those a window away is measured in each pass, which gives the chance that a pair
+at the threshold was missed; vectors in crowds, where it is too large, go through further passes, or
+meet all of the crowd in blocks where that costs less. Verified pairs of all passes are united into
+components. Within a component links are then counted exactly: at once where
 all members lie in a ball so narrow that each pair is linked, else block by block.
 """
 
@@ -23,13 +26,15 @@ from sparsecert.plans.relational import relational_components
 THRESHOLD = 0.95
 BITS = 62
 BLOCK = 1024
+MISSED = 0.01  # the chance of a miss that a pair right at the threshold may have
+CROWD = 2048
 
 
 def passes_for(rows: int, window: int, threshold: float, missed: float = 0.01) -> int:
-    """Passes after which a pair right at the threshold is missed with that chance at most.
+    """Passes to begin with: enough where sign prefixes split the table evenly.
 
-    A window holds the vectors that share about log2(rows / window) leading signs; the angle of a
-    pair gives the chance that it does.
+    A window then holds the vectors that share about log2(rows / window) leading signs; the angle of
+    a pair gives the chance that it does. What the passes reached is measured by _depths.
     """
     agree = 1.0 - math.acos(threshold) / math.pi
     shared = agree ** max(0.0, math.log2(max(rows, 1) / window) + 1)
@@ -44,7 +49,7 @@ def unit_rows(column: pa.Array) -> np.ndarray:
     return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
 
 
-def _keys(passes: int, seed: int):
+def _keys(passes: range, seed: int):
     """Adds to each vector its place in each pass: a row per pass."""
     weights = (1 << np.arange(BITS - 1, -1, -1, dtype=np.int64)).astype(np.int64)
 
@@ -56,7 +61,7 @@ def _keys(passes: int, seed: int):
                 for lo in range(0, part.num_rows, 1024):
                     chunk = part.slice(lo, 1024)
                     x = unit_rows(chunk.column("vector"))
-                    for p in range(passes):
+                    for p in passes:
                         planes = np.random.default_rng([seed, p, int(dim)]).standard_normal((int(dim), BITS))
                         key = (((x @ planes) > 0) * weights).sum(axis=1)
                         yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), p, dtype=np.int32)), pa.array(key), chunk.column("rep"), chunk.column("vector"), chunk.column("dim")], names=["pass", "key", "rep", "vector", "dim"])
@@ -68,11 +73,28 @@ def _linked(x: np.ndarray, y: np.ndarray, threshold: float) -> tuple[np.ndarray,
     return np.nonzero(x @ y.T >= threshold)
 
 
+def _depths(passes: np.ndarray, keys: np.ndarray, here: np.ndarray, window: int, first: bool, last: bool) -> np.ndarray:
+    """Leading signs by which rows at these places are sure to meet: more than are shared with the rows a window away on both sides.
+
+    Near an end of the arrays the row there stands for one further away, which can only add signs;
+    first and last say that nothing lies beyond the end.
+    """
+    shared = np.full(len(here), -1, dtype=np.int64)
+    for far, known in ((here - window, first), (here + window, last)):
+        there = np.clip(far, 0, len(keys) - 1)
+        counts = (passes[here] == passes[there]) & (here != there) & ((far == there) | (not known))
+        x = keys[here] ^ keys[there]
+        high = x >> 31
+        length = np.where(high > 0, 31 + np.frexp(high.astype(np.float64))[1], np.frexp((x & 0x7FFFFFFF).astype(np.float64))[1])
+        shared = np.maximum(shared, np.where(counts, BITS - length, -1))
+    return shared + 1
+
+
 EDGES = "side int, a bigint, b bigint, vector array<{0}>, dim int"
 
 
-def _windows(threshold: float, window: int, kind: pa.DataType):
-    """Over a sorted partition: side 0 links as a forest; sides 1 and 2 are its last and first rows, for the seams."""
+def _windows(threshold: float, window: int, kind: pa.DataType, parts: int):
+    """Over a sorted partition: side 0 links as a forest; sides 1 and 2 are its last and first rows, for the seams; side 3 each row's depth (_depths)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -81,6 +103,13 @@ def _windows(threshold: float, window: int, kind: pa.DataType):
         names = ["side", "a", "b", "vector", "dim"]
         held: pa.RecordBatch | None = None
         head_left = window
+        keys, passes, reps = (np.empty(0, np.int64) for _ in range(3))
+        done, start = 0, at == 0  # rows of these arrays whose depth is known; whether they begin where all rows do
+
+        def depths(upto: int, end: bool = False) -> Iterator[pa.RecordBatch]:
+            here = np.arange(done, upto)
+            if len(here):
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(here), 3, dtype=np.int32)), pa.array(reps[here]), pa.array(_depths(passes, keys, here, window, start, end)), pa.array([None] * len(here), pa.list_(kind)), pa.array(np.zeros(len(here), dtype=np.int32))], names=names)
 
         def rows(side: int, part: pa.RecordBatch, seam: int) -> pa.RecordBatch:
             n = part.num_rows
@@ -100,6 +129,12 @@ def _windows(threshold: float, window: int, kind: pa.DataType):
             if len(keep):
                 yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(keep), dtype=np.int32)), pa.array(u[keep]), pa.array(v[keep]), none, pa.array(np.zeros(len(keep), dtype=np.int32))], names=names)
             held = both.slice(max(0, both.num_rows - window))
+            keys, passes, reps = (np.concatenate([x, batch.column(c).to_numpy()]) for x, c in ((keys, "key"), (passes, "pass"), (reps, "rep")))
+            if (upto := len(keys) - window) > done:
+                yield from depths(upto)
+                cut = max(0, upto - window)
+                keys, passes, reps, done, start = keys[cut:], passes[cut:], reps[cut:], upto - cut, start and not cut
+        yield from depths(len(keys), at == parts - 1)
         if held is not None:
             yield rows(1, held, at)
 
@@ -137,6 +172,30 @@ def _seam(threshold: float, window: int):
     return run
 
 
+def _met(threshold: float):
+    """Links between a block of a crowd's rows outside its main component and a block of all its rows, as a forest."""
+
+    def run(table: pa.Table) -> pa.Table:
+        batch = table.combine_chunks().to_batches()[0]
+        ids, dims, few = batch.column("rep").to_numpy(), batch.column("dim").to_numpy(), batch.column("few").to_numpy(zero_copy_only=False)
+        us, vs = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
+        for dim in np.unique(dims):
+            at = np.flatnonzero(dims == dim)
+            x = unit_rows(batch.column("vector").take(pa.array(at)))
+            a, b = np.flatnonzero(few[at]), np.flatnonzero(~few[at])
+            for lo in range(0, len(a), 256):
+                i, j = _linked(x[a[lo : lo + 256]], x[b], threshold)
+                u, v = ids[at[a[lo + i]]], ids[at[b[j]]]
+                us.append(u[u != v])
+                vs.append(v[u != v])
+            u, v = np.concatenate(us), np.concatenate(vs)
+            keep = forest_of(u, v) if len(u) else np.empty(0, np.int64)
+            us, vs = [u[keep]], [v[keep]]
+        return pa.table({"u": us[0], "v": vs[0]})
+
+    return run
+
+
 def _sums(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Sums of unit vectors by component over what a task reads."""
     held: dict[int, np.ndarray] = {}
@@ -195,12 +254,22 @@ def _counted(threshold: float):
     return run
 
 
+def _crowd_links(crowd: DataFrame, main: int, members: int, few: int, threshold: float) -> DataFrame:
+    """Exact links of a crowd's rows outside its main component with all of the crowd, by pairs of blocks."""
+    here, there = max(1, -(-few // CROWD)), max(1, -(-members // CROWD))
+    block = lambda n: F.pmod(F.xxhash64("rep"), F.lit(n)).cast("int")
+    columns = ("rep", "vector", "dim")
+    a = crowd.filter(F.col("component") != main).select(*columns, F.lit(True).alias("few"), block(here).alias("i"), F.explode(F.sequence(F.lit(0), F.lit(there - 1))).alias("j"))
+    b = crowd.select(*columns, F.lit(False).alias("few"), F.explode(F.sequence(F.lit(0), F.lit(here - 1))).alias("i"), block(there).alias("j"))
+    return a.union(b).groupBy("i", "j").applyInArrow(_met(threshold), "u bigint, v bigint")
+
+
 def link_vectors(rows: DataFrame, key: str = "vec_id", column: str = "embedding", threshold: float = THRESHOLD, window: int = 512, passes: int | None = None, seed: int = 11) -> DataFrame:
     """One row per row: vec_id, n_links, component_id, kept.
 
     Vectors that are null, empty, zero, or hold null or non-finite components link with nothing;
     vectors of different length link with none of another length; equal vectors are one class and
-    compared once. Rows with a null id take part; a component's id is its least id that isn't null.
+    compared once. Passes go on until each row's measured depths leave a chance of MISSED at most. Rows with a null id take part; a component's id is its least id that isn't null.
     An empty table gives an empty result; further columns are ignored.
     """
     element = rows.schema[column].dataType.elementType.simpleString()
@@ -211,15 +280,42 @@ def link_vectors(rows: DataFrame, key: str = "vec_id", column: str = "embedding"
     classes = staged(classes, "classes")
     member = staged(work.filter("fine").join(classes.select("vector", "rep", "n"), "vector").select("row", "rep", "n"), "member")
     count = classes.count()
-    passes = passes or passes_for(count, window, threshold)
-    parts = max(1, -(-count * passes // 8192))
     kind = {"float": pa.float32(), "double": pa.float64()}[element]
-    dealt = classes.select("rep", "vector", "dim").mapInArrow(_keys(passes, seed), f"pass int, key bigint, rep bigint, vector array<{element}>, dim int")
-    sorted_ = dealt.repartitionByRange(parts, "pass", "key", "rep").sortWithinPartitions("pass", "key", "rep")
-    found = staged(sorted_.select("rep", "vector", "dim").mapInArrow(_windows(threshold, window, kind), EDGES.format(element)), "windows")
-    seams = found.filter("side > 0").groupBy("a").applyInArrow(_seam(threshold, window), "u bigint, v bigint")
-    edges = staged(found.filter("side = 0").select(F.col("a").alias("u"), F.col("b").alias("v")).union(seams), "links")
-    comps = staged(relational_components(edges).select(F.col("v").alias("rep"), "component"), "components")
+    agree = 1.0 - math.acos(threshold) / math.pi
+    enough = -math.log(MISSED)
+
+    def passed(some: DataFrame, rows_: int, which: range) -> tuple[DataFrame, DataFrame]:
+        """Links that passes find, and by row what they add to -log of the chance that a pair at the threshold is missed."""
+        parts = max(1, -(-rows_ * len(which) // 8192))
+        dealt = some.select("rep", "vector", "dim").mapInArrow(_keys(which, seed), f"pass int, key bigint, rep bigint, vector array<{element}>, dim int")
+        sorted_ = dealt.repartitionByRange(parts, "pass", "key", "rep").sortWithinPartitions("pass", "key", "rep")
+        found = staged(sorted_.mapInArrow(_windows(threshold, window, kind, parts), EDGES.format(element)), "windows")
+        seams = found.filter("side in (1, 2)").groupBy("a").applyInArrow(_seam(threshold, window), "u bigint, v bigint")
+        edges = staged(found.filter("side = 0").select(F.col("a").alias("u"), F.col("b").alias("v")).union(seams), "links")
+        gain = -F.log1p(-F.least(F.pow(F.lit(agree), F.col("b")), F.lit(0.999)))
+        return edges, found.filter("side = 3").groupBy(F.col("a").alias("rep")).agg(F.sum(gain).alias("gain"), F.count(F.lit(1)).alias("tried"))
+
+    upto = passes or passes_for(count, window, threshold, MISSED)
+    edges, gains = passed(classes, count, range(upto))
+    gains = staged(gains, "gains")
+    while True:
+        comps = staged(relational_components(edges).select(F.col("v").alias("rep"), "component"), "components")
+        crowd = staged(classes.select("rep", "vector", "dim").join(gains.filter(F.col("gain") < enough), "rep").join(comps, "rep", "left").withColumn("component", F.coalesce("component", "rep")), "crowd")
+        main = crowd.groupBy("component").agg(F.count(F.lit(1)).alias("members")).agg(F.max_by("component", F.struct("members", "component")).alias("component"), F.sum("members").alias("members"), F.max("members").alias("most")).first()
+        if main.members is None or main.members == main.most:
+            break  # pairs that may be missed lie inside one component, where all links are counted
+        few = main.members - main.most
+        more = int(crowd.agg(F.percentile_approx(F.ceil((F.lit(enough) - F.col("gain")) / (F.col("gain") / F.col("tried"))), 0.5)).first()[0])
+        if few <= 2 * window * more:
+            met = _crowd_links(crowd, main.component, main.members, few, threshold)
+            edges = staged(edges.union(met), "links")
+            comps = staged(relational_components(edges).select(F.col("v").alias("rep"), "component"), "components")
+            break
+        found, added = passed(crowd, main.members, range(upto, upto + more))
+        upto += more
+        edges = edges.union(found)
+        added = added.withColumnRenamed("gain", "more").withColumnRenamed("tried", "again")
+        gains = staged(crowd.select("rep", "gain", "tried").join(added, "rep").select("rep", (F.col("gain") + F.col("more")).alias("gain"), (F.col("tried") + F.col("again")).alias("tried")), "gains")
 
     grouped = staged(classes.join(comps, "rep"), "grouped")
     size = grouped.groupBy("component").agg(F.count(F.lit(1)).alias("members"), F.sum("n").alias("weight"))

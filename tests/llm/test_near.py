@@ -122,6 +122,26 @@ def test_vectors_against_brute_force(spark, spread, window, monkeypatch):
     assert all(r["kept"] == (r["vec_id"] == r["component_id"]) for r in got.values())
 
 
+@pytest.mark.parametrize("blocks", [True, False])
+def test_a_dense_cluster_of_a_third_of_the_rows(spark, blocks, monkeypatch):
+    """Its vectors share many signs and few links: pairs at the threshold are found there as elsewhere."""
+    if not blocks:
+        monkeypatch.setattr(vectors, "_crowd_links", lambda crowd, *_: spark.createDataFrame([], "u bigint, v bigint"))
+    draw = np.random.default_rng(9)
+    unit = lambda x: x / np.linalg.norm(x, axis=1, keepdims=True)
+    a, b = unit(draw.standard_normal((500, 64))), unit(draw.standard_normal((500, 64)))
+    near = unit(0.8875 * a + 0.461 * b)
+    centre = unit(draw.standard_normal((1, 64)))
+    dense = unit(np.concatenate([1.83 * centre + a, 1.83 * centre + near]))
+    x = np.concatenate([dense, draw.standard_normal((2000, 64))])
+    df = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "vec_id bigint, embedding array<double>")
+    got = {r["vec_id"]: r for r in dicts(link_vectors(df, window=16))}
+    links, _ = brute(x, np.ones(len(x), dtype=bool))
+    assert 800 < links.sum() < 2000
+    found = sum(got[i]["n_links"] for i in range(len(x)))
+    assert found == links.sum() if blocks else found >= 0.9 * links.sum()
+
+
 def test_odd_vectors(spark):
     nan, inf = float("nan"), float("inf")
     rows = [(1, [1.0, 0.0]), (2, [1.0, 0.0]), (3, None), (4, []), (5, [0.0, 0.0]), (6, [nan, 1.0]), (7, [inf, 1.0]), (8, [None, 1.0]), (9, [1.0, 0.0, 0.0]), (None, [2.0, 0.0]), (10, [1e30, 1.0]), (11, [-1.0, 0.0])]
