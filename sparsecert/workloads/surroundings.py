@@ -64,6 +64,9 @@ query("isolated_vertices", "SELECT c_custkey FROM customer LEFT JOIN orders ON c
 query("nation_full_outer", "SELECT n_nationkey, s_nationkey, coalesce(n, 0) AS suppliers FROM (SELECT * FROM nation WHERE n_nationkey < 20) FULL JOIN (SELECT s_nationkey, count(*) AS n FROM supplier WHERE s_nationkey > 5 GROUP BY 1) ON n_nationkey = s_nationkey")(
     lambda s, d: load(s, d, "nation").filter("n_nationkey < 20").join(load(s, d, "supplier").filter("s_nationkey > 5").groupBy("s_nationkey").agg(F.count(F.lit(1)).alias("n")), F.col("n_nationkey") == F.col("s_nationkey"), "full").select("n_nationkey", "s_nationkey", F.coalesce("n", F.lit(0)).alias("suppliers"))
 )
+query("nation_full_outer_whole", "SELECT n_nationkey, s_nationkey, coalesce(n, 0) AS suppliers FROM nation FULL JOIN (SELECT s_nationkey, count(*) AS n FROM supplier GROUP BY 1) ON n_nationkey = s_nationkey")(
+    lambda s, d: load(s, d, "nation").join(load(s, d, "supplier").groupBy("s_nationkey").agg(F.count(F.lit(1)).alias("n")), F.col("n_nationkey") == F.col("s_nationkey"), "full").select("n_nationkey", "s_nationkey", F.coalesce("n", F.lit(0)).alias("suppliers"))
+)
 query("customers_with_orders", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")(lambda s, d: load(s, d, "customer").join(load(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left_semi").select("c_custkey"))
 query("customers_without_orders", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_totalprice > 200000)")(lambda s, d: load(s, d, "customer").join(load(s, d, "orders").filter("o_totalprice > 200000"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"))
 
@@ -112,6 +115,7 @@ query("hub_join", f"SELECT count(*) AS n, CAST(sum(e.w) AS BIGINT) AS weight FRO
 query("degree", f"SELECT v, count(*) AS degree, CAST(sum(w) AS BIGINT) AS weight FROM (SELECT u AS v, w FROM {gr('supplier_part')} UNION ALL SELECT v, w FROM {gr('supplier_part')}) GROUP BY v")(lambda s, d: E.degrees(graph(s, d, "supplier_part")))
 query("multiplicity", f"SELECT u, v, count(*) AS copies FROM {gr('supplier_part')} GROUP BY u, v")(lambda s, d: E.multiplicity(graph(s, d, "supplier_part")))
 query("neighbour_list", f"SELECT v, list_aggregate(list_sort(list_distinct(list(x))), 'string_agg', ',') AS near FROM (SELECT u AS v, v AS x FROM {gr('small_user_slice')} UNION ALL SELECT v, u FROM {gr('small_user_slice')}) GROUP BY v")(lambda s, d: E.neighbours(graph(s, d, "small_user_slice")).select("v", F.concat_ws(",", F.col("near").cast("array<string>")).alias("near")))
+query("neighbour_list_whole")(lambda s, d: E.neighbours(graph(s, d, "user_adjacent")).select("v", F.concat_ws(",", F.col("near").cast("array<string>")).alias("near")))
 query("distinct_neighbours", f"SELECT v, count(DISTINCT x) AS near FROM (SELECT u AS v, v AS x FROM {gr('supplier_part')} UNION ALL SELECT v, u FROM {gr('supplier_part')}) GROUP BY v")(lambda s, d: E.distinct_neighbours(graph(s, d, "supplier_part")))
 
 
@@ -224,6 +228,9 @@ query("top_k_per_vertex", f"SELECT u, v, w, eid, rank FROM (SELECT *, row_number
 query("nulls_first_last", "SELECT c_custkey, o_orderkey, row_number() OVER (ORDER BY o_orderkey DESC NULLS FIRST, c_custkey) AS place FROM customer LEFT JOIN (SELECT * FROM orders WHERE o_orderkey < 100) ON c_custkey = o_custkey ORDER BY place LIMIT 50")(
     lambda s, d: (j := load(s, d, "customer").join(load(s, d, "orders").filter("o_orderkey < 100"), F.col("c_custkey") == F.col("o_custkey"), "left").select("c_custkey", "o_orderkey").orderBy(F.col("o_orderkey").desc_nulls_first(), "c_custkey").limit(50)).withColumn("place", F.row_number().over(Window.orderBy(F.col("o_orderkey").desc_nulls_first(), "c_custkey")).cast("long"))
 )
+query("nulls_first_last_whole", "SELECT c_custkey, o_orderkey, CASE WHEN o_orderkey IS NULL THEN 0 ELSE 1 END AS part FROM customer LEFT JOIN orders ON c_custkey = o_custkey")(
+    lambda s, d: load(s, d, "customer").join(load(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left").orderBy(F.col("o_orderkey").desc_nulls_first(), "c_custkey").select("c_custkey", "o_orderkey", F.when(F.col("o_orderkey").isNull(), 0).otherwise(1).alias("part"))
+)
 query("union_all_edges", f"SELECT u, v FROM {gr('tiny_sparse')} UNION ALL SELECT u, v FROM {gr('premium_cust_supp')}")(lambda s, d: graph(s, d, "tiny_sparse").select("u", "v").union(graph(s, d, "premium_cust_supp").select("u", "v")))
 query("union_distinct", f"SELECT u, v FROM {gr('premium_cust_supp')} UNION SELECT u, v FROM {gr('premium_cust_supp')}")(lambda s, d: (p := graph(s, d, "premium_cust_supp").select("u", "v")).union(p).distinct())
 _A, _B = f"SELECT u, v FROM {gr('supplier_part')} WHERE eid % 2 = 0", f"SELECT u, v FROM {gr('supplier_part')} WHERE eid % 2 = 1"
@@ -307,6 +314,8 @@ query("udtf_bipartition", f"SELECT v, component, CAST(side AS INTEGER) AS side F
 query("udtf_spanning_forest_components", components_sql(DUCK_SQL["page_host"]))(lambda s, d: g.components(_table_function(s, d, "page_host", "graph_spanning_forest({})")))
 query("udtf_vertex_cert_verdict", k_vertex_slice_sql(3))(lambda s, d: ready(g.is_k_vertex_connected(_table_function(s, d, "small_user_slice", "graph_vertex_cert({}, 3)"), 3)))
 query("udtf_edge_cert_verdict", k_edge_slice_sql(3))(lambda s, d: ready(g.is_k_edge_connected(_table_function(s, d, "small_user_slice", "graph_edge_cert({}, 3)"), 3)))
+query("udtf_vertex_cert_verdict_whole")(lambda s, d: ready(g.is_k_vertex_connected(_table_function(s, d, "user_adjacent", "graph_vertex_cert({}, 3)"), 3)))
+query("udtf_edge_cert_verdict_whole")(lambda s, d: ready(g.is_k_edge_connected(_table_function(s, d, "user_adjacent", "graph_edge_cert({}, 3)"), 3)))
 query("sql_scalar_functions", f"SELECT s_suppkey, {6 * KIND} + s_suppkey AS vertex, round(1 - (s_acctbal + s_nationkey + 6) / (sqrt(s_acctbal * s_acctbal + 5) * sqrt(s_nationkey * s_nationkey + 10)), 6) AS distance FROM supplier")(
     lambda s, d: table_functions.register(s) or load(s, d, "supplier").selectExpr("s_suppkey", "encode_vertex(6, s_suppkey) AS vertex", "round(cosine_distance(array(s_acctbal, 1.0D, 2.0D), array(1.0D, double(s_nationkey), 3.0D)), 6) AS distance")
 )

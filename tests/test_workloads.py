@@ -1,8 +1,12 @@
 """Registered queries against DuckDB on the smallest tables, and the methods on the same graph in other ways."""
 
+import itertools
+
 import pytest
 
+from sparsecert.sources.graphs import graph
 from sparsecert.workloads import methods, streams, surroundings  # noqa: F401
+from tests import brute
 from tests.compare import SMALLEST, connection, rows_of, sorted_rows
 
 #: One of each family; `python -m tests.compare` runs all of them at any scale.
@@ -39,3 +43,18 @@ def test_entry(spark):
 
     assert entry.entry(spark).count() == 1650
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_questions_on_whole_graphs(spark):
+    """All users take part, not the first 14 alone; values by trying all vertex sets below 4."""
+    edges = [(r.u, r.v) for r in graph(spark, SMALLEST, "user_adjacent").select("u", "v").collect()]
+    users = sorted({x for e in edges for x in e})
+    got = methods.QUERIES["local_lambda_whole_user_adjacent"](spark, SMALLEST).collect()
+    assert len(users) > 14 and {(r.x, r.y) for r in got} == set(itertools.combinations(users, 2))
+    simple = sorted({tuple(sorted(e)) for e in edges})
+    apart = set(itertools.combinations(users, 2)) - set(simple)
+    kappa = {(r.x, r.y): r.value for r in methods.QUERIES["local_kappa_whole_user_adjacent"](spark, SMALLEST).collect()}
+    assert kappa == {(x, y): brute.local_vertex(users, simple, x, y, 4) for x, y in apart}
+    assert methods.QUERIES["k_vertex_3_whole_user_adjacent"](spark, SMALLEST).first().holds == brute.k_vertex(users, simple, 3)
+    near = {r.v: r.near for r in methods.QUERIES["neighbour_list_whole"](spark, SMALLEST).collect()}
+    assert near == {v: ",".join(str(y) for y in sorted({b if a == v else a for a, b in simple if v in (a, b)})) for v in users}
