@@ -300,6 +300,7 @@ query("min_forest_padded_user_adjacent", min_forest_sql(DUCK_SQL["user_adjacent"
 query("min_forest_linear_groups_user_adjacent", min_forest_sql(DUCK_SQL["user_adjacent"], 150))(lambda s, d: g.min_forest(graph(s, d, "user_adjacent"), policy=GroupPolicy.linear()))
 query("min_forest_budget_user_adjacent", min_forest_sql(DUCK_SQL["user_adjacent"], 150))(lambda s, d: g.min_forest(graph(s, d, "user_adjacent"), policy=GroupPolicy.budget(1 << 14)))
 query("min_forest_embedding_200", min_forest_sql(VECTORS, 200))(lambda s, d: g.min_forest(vector_slice(s, d)))
+query("min_forest_embedding_whole")(lambda s, d: g.min_forest(graph(s, d, "embedding_pairs")))
 query("min_forest_nation_trade", min_forest_sql(DUCK_SQL["nation_trade"], 25))(lambda s, d: g.min_forest(g.lightest_per_pair(graph(s, d, "nation_trade"))))
 query("min_forest_weight_nation_trade", min_forest_sql(DUCK_SQL["nation_trade"], 25, "CAST(count(*) AS BIGINT) AS edges, CAST(sum(w) AS BIGINT) AS weight"))(lambda s, d: g.min_forest(graph(s, d, "nation_trade")).agg(F.count(F.lit(1)).alias("edges"), F.sum("w").alias("weight")))
 query("min_forest_weight_embedding_all")(lambda s, d: g.min_forest(graph(s, d, "embedding_pairs")).agg(F.count(F.lit(1)).alias("edges"), F.sum("w").alias("weight")))

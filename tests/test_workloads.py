@@ -2,6 +2,8 @@
 
 import itertools
 
+import numpy as np
+import pyarrow.parquet as pq
 import pytest
 
 from sparsecert.sources.graphs import graph
@@ -45,6 +47,27 @@ def test_entry(spark):
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
+def _prim(x):
+    """Weight and size of a minimum forest of all pairs of vectors, by growing one tree."""
+    x = x / np.linalg.norm(x, axis=1, keepdims=True)
+    w = np.round((1 - x @ x.T) * 1_000_000).astype(np.int64)
+    best, inside, total = w[0].copy(), np.arange(len(x)) == 0, 0
+    for _ in range(len(x) - 1):
+        i = int(np.where(inside, np.iinfo(np.int64).max, best).argmin())
+        total, inside[i] = total + int(best[i]), True
+        best = np.minimum(best, w[i])
+    return total
+
+
+def test_the_forest_of_all_vectors_is_returned(spark):
+    table = pq.read_table(f"{SMALLEST}/embeddings.parquet").sort_by("vec_id")
+    got = methods.QUERIES["min_forest_embedding_whole"](spark, SMALLEST).toArrow()
+    x = np.array(table.column("embedding").to_pylist(), dtype=np.float64)
+    ends = set(got.column("u").to_pylist()) | set(got.column("v").to_pylist())
+    assert got.num_rows == len(x) - 1 and len(ends) == len(x) > 200
+    assert sum(got.column("w").to_pylist()) == _prim(x)
+
+
 def test_questions_on_whole_graphs(spark):
     """All users take part, not the first 14 alone; values by trying all vertex sets below 4."""
     edges = [(r.u, r.v) for r in graph(spark, SMALLEST, "user_adjacent").select("u", "v").collect()]
