@@ -10,6 +10,7 @@ from sparsecert.kernels.fold import of
 from sparsecert.operators import edges as E
 from sparsecert.operators import graph as g
 from sparsecert.plans.batch import CertEngine
+from sparsecert.plans.relational import cut
 from sparsecert.sources.graphs import DUCK_SQL, KIND, cosine, event_order, graph, hashed_sql
 from sparsecert.sources.tables import load
 from sparsecert.workloads.methods import bipartition_sql, components_sql, k_edge_slice_sql, k_vertex_slice_sql, min_forest_sql, query, ready
@@ -298,10 +299,14 @@ def _(s: SparkSession, d: str) -> DataFrame:
 
 @query("recursive_reach", f"WITH RECURSIVE e AS (SELECT u, v FROM {gr('tiny_sparse')}), b AS (SELECT u, v FROM e UNION SELECT v, u FROM e), r(v) AS (SELECT min(u) FROM e UNION SELECT b.v FROM r JOIN b ON b.u = r.v) SELECT v FROM r WHERE v IS NOT NULL")
 def _(s: SparkSession, d: str) -> DataFrame:
-    """A small closure by Spark's own recursion."""
-    graph(s, d, "tiny_sparse").createOrReplaceTempView("tiny_edges")
-    return s.sql("""WITH RECURSIVE b AS (SELECT u, v FROM tiny_edges UNION SELECT v, u FROM tiny_edges), r(v, depth) AS (SELECT min(u), 0 FROM tiny_edges UNION ALL SELECT b.v, depth + 1 FROM r JOIN b ON b.u = r.v WHERE depth < 6)
-    SELECT DISTINCT v FROM r WHERE v IS NOT NULL""")
+    """The component of the least end of an edge, by rounds over the vertices that the last round reached first."""
+    e = graph(s, d, "tiny_sparse").select("u", "v")
+    both = cut(e.union(e.select("v", "u")).distinct())
+    seen = fresh = cut(e.agg(F.min("u").alias("v")).filter("v is not null"))
+    while not fresh.isEmpty():
+        fresh = cut(fresh.join(both.select(F.col("u").alias("_u"), F.col("v").alias("_v")), F.col("v") == F.col("_u")).select(F.col("_v").alias("v")).distinct().join(seen, "v", "left_anti"))
+        seen = cut(seen.union(fresh))
+    return seen
 
 
 def _table_function(s: SparkSession, d: str, name: str, call: str) -> DataFrame:

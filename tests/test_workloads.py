@@ -3,10 +3,11 @@
 import itertools
 
 import numpy as np
+import pyarrow as pa
 import pyarrow.parquet as pq
 import pytest
 
-from sparsecert.sources.graphs import graph
+from sparsecert.sources.graphs import KIND, graph
 from sparsecert.workloads import methods, streams, surroundings  # noqa: F401
 from tests import brute
 from tests.compare import SMALLEST, connection, rows_of, sorted_rows
@@ -81,3 +82,14 @@ def test_questions_on_whole_graphs(spark):
     assert methods.QUERIES["k_vertex_3_whole_user_adjacent"](spark, SMALLEST).first().holds == brute.k_vertex(users, simple, 3)
     near = {r.v: r.near for r in methods.QUERIES["neighbour_list_whole"](spark, SMALLEST).collect()}
     assert near == {v: ",".join(str(y) for y in sorted({b if a == v else a for a, b in simple if v in (a, b)})) for v in users}
+
+
+def test_reach_has_no_bound_of_depth(spark, tmp_path):
+    """A path of 18 vertices, and an edge apart from it."""
+    rows = [(i // 2, (i + 1) // 2) for i in range(17)] + [(100, 100)]
+    columns = {"l_suppkey": [a for a, _ in rows], "l_partkey": [b for _, b in rows], "l_orderkey": list(range(len(rows))), "l_linenumber": [1] * len(rows)}
+    table = pa.table({**columns, "l_discount": [0.0] * len(rows), "l_tax": [0.0] * len(rows), "l_quantity": [50.0] * len(rows), "l_extendedprice": [1.0] * len(rows)})
+    pq.write_table(table, tmp_path / "lineitem.parquet")
+    got = sorted(r.v for r in methods.QUERIES["recursive_reach"](spark, str(tmp_path)).collect())
+    assert got == sorted({KIND + a for a, _ in rows[:-1]} | {2 * KIND + b for _, b in rows[:-1]})
+    assert len(got) == 18
