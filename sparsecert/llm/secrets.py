@@ -133,16 +133,19 @@ def _readable(data: bytes) -> str | None:
 
 
 def _inflated(data: bytes) -> Iterator[str]:
-    """Windows of what gzip or zlib data holds, each with the end of the one before."""
+    """Windows of what gzip or zlib data holds, all members of it, each with the end of the one before."""
     kind = 31 if data[:2] == b"\x1f\x8b" else 15
     engine, decode, tail = zlib.decompressobj(kind), codecs.getincrementaldecoder("utf-8")("replace"), ""
     try:
-        while data and not engine.eof:
+        while data:
             part = decode.decode(engine.decompress(data, MOST_HIDDEN))
             data = engine.unconsumed_tail
+            if engine.eof:
+                data = engine.unused_data.lstrip(b"\0")  # members may be padded
+                engine = zlib.decompressobj(kind)
             if part:
                 yield tail + part
-                tail = part[-OVERLAP:]
+                tail = (tail + part)[-OVERLAP:]
     except zlib.error:
         return
 

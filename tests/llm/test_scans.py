@@ -191,3 +191,10 @@ def test_one_layer_a_depth_is_held():
         depth.append(len(layer.text))
     assert max(depth) <= secrets.MOST_HIDDEN + secrets.OVERLAP
     assert any(kind == 0 for _, kind, _ in secrets.find_secrets(text)[1])
+
+
+def test_all_members_of_a_gzip_are_scanned():
+    members = [gzip.compress(f"part {i} {word} end ".encode()) for i, word in enumerate(("none", "AKIAAB", "CDEFGHIJKLMNOPQRS", "password=layered-value-12345"))]
+    members[1:3] = [gzip.compress(b"key AKIAAB"), gzip.compress(b"CDEFGHIJKLMNOPQRS and ") + bytes(16)]
+    text = base64.b64encode(b"".join(members)).decode()
+    assert {kind for _, kind, _ in find_secrets(text)[1]} >= {0, 1}
