@@ -7,8 +7,9 @@ final, and the others go on, as items, to a round with fewer partitions.
 
 from __future__ import annotations
 
-import base64
 import bisect
+import json
+import re
 import zlib
 from array import array
 from collections.abc import Iterator
@@ -25,31 +26,57 @@ CAPACITY = 2048
 FAN_IN = 8
 
 
+#: What the vocabulary's split pattern takes for white space; a run of so many blanks is cut out, as the pattern's engine can't hold millions.
+BLANK_RUN = re.compile(r"[\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]{10000,}")
+
+
 def default_vocabulary() -> str:
     import public_tokenizers
 
-    return public_tokenizers.path("byte_bpe_50k.tiktoken")
+    return public_tokenizers.path("byte_bpe_50k.json")
+
+
+def byte_of_sign() -> dict[str, int]:
+    """The signs that stand for bytes in a byte-level vocabulary: printable Latin-1 for itself, the others from 256 on."""
+    plain = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+    signs = {chr(b): b for b in plain}
+    return signs | {chr(256 + i): b for i, b in enumerate(b for b in range(256) if b not in plain)}
 
 
 class Encoder:
-    """The ids that the byte-level BPE vocabulary gives, special string included."""
+    """The ids that `tokenizers` gives for a byte-level BPE file, special string included."""
 
-    def __init__(self, ranks_path: str):
+    def __init__(self, path: str):
         import public_tokenizers
         import tiktoken
 
-        with open(ranks_path, "rb") as f:
-            ranks = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
+        with open(path, encoding="utf-8") as f:
+            vocabulary = json.load(f)["model"]["vocab"]
+        signs = byte_of_sign()
+        ranks = {bytes(signs[c] for c in token): i for token, i in vocabulary.items() if i != SPECIAL_ID}
         self.plain = tiktoken.Encoding("byte_bpe_50k", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
 
     def ids(self, text: str) -> list[int]:
         if SPECIAL not in text:
-            return self.plain.encode_ordinary(text)
+            return self._ordinary(text)
         out: list[int] = []
         for i, part in enumerate(text.split(SPECIAL)):
             if i:
                 out.append(SPECIAL_ID)
-            out += self.plain.encode_ordinary(part)
+            out += self._ordinary(part)
+        return out
+
+    def _ordinary(self, text: str) -> list[int]:
+        """Without the special string. The pattern parts a text where a run of blanks begins, and before the
+        run's last blank if more follows; so a long run is a piece that can be encoded by itself."""
+        out: list[int] = []
+        at = 0
+        for m in BLANK_RUN.finditer(text) if len(text) >= 10_000 else ():
+            stop = m.end() if m.end() == len(text) else m.end() - 1
+            out += self.plain.encode_ordinary(text[at : m.start()])
+            out += self.plain._encode_single_piece(text[m.start() : stop])
+            at = stop
+        out += self.plain.encode_ordinary(text[at:] if at else text)
         return out
 
 

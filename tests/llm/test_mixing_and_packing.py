@@ -94,6 +94,31 @@ def reference_ids(text):
     return Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json")).encode(text or "", add_special_tokens=False).ids + [0]
 
 
+def test_ids_are_those_of_tokenizers_on_any_text():
+    """Runs of millions too, on which the split pattern's engine fails when it meets them whole."""
+    encoder = packing.Encoder(packing.default_vocabulary())
+    blanks = " \t\n\x85\xa0\u2003\u3000"
+    for text in ("", " ", "a" * 1_000_000, " " * 1_500_000, "x" + " " * 1_200_000 + "y z", "\n" * 1_100_000 + "\u00a0end", (blanks * 20_000)[:-1] + "q" + blanks * 20_000, "7" * 300_000 + "#" * 300_000, "\x1c" * 20_000, "ab<|endoftext|>" + " " * 700_000 + "<|endoftext|>c", "\u6f22" * 100_000):
+        assert [*encoder.ids(text), 0] == reference_ids(text), text[:20]
+    import random
+
+    draw = random.Random(8)
+    for _ in range(400):
+        text = "".join(draw.choice(["a", "Z", "9", " ", "  ", "\n", "'s", "'ll", ".", "\u00fc", "\u6f22", "\x00", "\x1f", "<|endoftext|>", "\ud7ff", "\U0001f600"]) for _ in range(draw.randrange(60)))
+        assert [*encoder.ids(text), 0] == reference_ids(text)
+
+
+def test_cutting_at_long_blanks_keeps_ids(monkeypatch):
+    """With runs of two blanks cut, every text is cut somewhere."""
+    import random
+
+    encoder, draw = packing.Encoder(packing.default_vocabulary()), random.Random(9)
+    monkeypatch.setattr(packing, "BLANK_RUN", re.compile(packing.BLANK_RUN.pattern.replace("10000", "2")))
+    for _ in range(300):
+        text = "".join(draw.choice(["word", "9", " ", "   ", "\n\n", "\t ", "'s", ".", "\xa0", "\u3000 "]) for _ in range(40))
+        assert [*encoder._ordinary(text * 100), 0] == reference_ids(text * 100)
+
+
 def check_packing(got, rows, capacity):
     whole = {}
     for r in got:
