@@ -13,8 +13,10 @@ import bisect
 import hashlib
 import ipaddress
 import re
-from collections.abc import Iterator
-from functools import lru_cache
+from array import array
+from collections.abc import Callable, Iterator, Sequence
+from dataclasses import dataclass
+from functools import lru_cache, partial
 
 import numpy as np
 import pyarrow as pa
@@ -31,6 +33,7 @@ IP = re.compile(r"(?<![0-9])[0-9]+(?:\.[0-9]+){3}")
 CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 DIGIT = re.compile(r"[0-9]")
+SIGN = re.compile(r"[0-9@]")
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 
 _SPELLED = r"(?<![^\W\d_])(?:{})(?![^\W\d_])"
@@ -92,16 +95,25 @@ def plain_spans(text: str) -> list[tuple[int, int, int]]:
 # ---- the field
 
 
+_SIGNS = "@.+-()[]:/_,#%$€=|"
+
+
+class _Kinds(dict):
+    """The kind of each sign, found once."""
+
+    def __missing__(self, c: int) -> str:
+        sign = chr(c)
+        self[c] = k = "d" if "0" <= sign <= "9" else "X" if sign.isupper() else "x" if sign.isalpha() else sign if sign in _SIGNS else "?"
+        return k
+
+
+_KINDS = _Kinds()
+REPEATED = re.compile(r"([^d])\1+|(d{5})d+")
+
+
 def shape(word: str) -> str:
     """Letters, digits and other signs of a word; runs of letters shrink, runs of digits keep their length up to 5."""
-    out, last, run = [], "", 0
-    for c in word[:80]:
-        k = "d" if "0" <= c <= "9" else "X" if c.isupper() else "x" if c.isalpha() else c if c in "@.+-()[]:/_,#%$€=|" else "?"
-        run = run + 1 if k == last else 1
-        if run <= (5 if k == "d" else 1):
-            out.append(k)
-        last = k
-    return "".join(out)
+    return REPEATED.sub(lambda m: m[1] or m[2], word.translate(_KINDS))
 
 
 CUES = {w: "tel" for w in "tel phone call mobile cell fax telefon tél teléfono whatsapp sms dial".split()} | {w: "mail" for w in "mail email e-mail contact write correo".split()} | {w: "net" for w in "ip host server address addr ping".split()} | {w: "card" for w in "card visa mastercard amex kreditkarte carte tarjeta".split()} | {w: "other" for w in "price total version page order isbn date id invoice room year chapter section".split()}
@@ -122,10 +134,18 @@ def mark(word: str) -> str:
     return form + ("both" if at and dot else "at" if at else "dot" if dot.group() != "." else ".")
 
 
-@lru_cache(maxsize=65536)
 def word_features(word: str) -> tuple[str, ...]:
+    return _short_features(word) if len(word) <= 64 else _features(word)
+
+
+@lru_cache(maxsize=65536)
+def _short_features(word: str) -> tuple[str, ...]:
+    return _features(word)
+
+
+def _features(word: str) -> tuple[str, ...]:
     low = word.lower().strip(".,;:!?()[]\"'")
-    digits = sum("0" <= c <= "9" for c in word)
+    digits = len(DIGIT.findall(word))
     form = word.lower() if BRACKETED.search(word) else word
     return (f"s={shape(form)}", f"t={shape(form.strip('.,;:!?'))}", f"n={min(digits, 20)}", f"a={'@' in word}", f"c={CUES.get(low, '-')}", f"w={low if low in CUES else 'top' if low in TOPS else mark(word)}")
 
@@ -204,16 +224,19 @@ class Field:
         out, mask = np.zeros((len(windows), length, len(LABELS))), np.zeros((len(windows), length), dtype=bool)
         for n, words in enumerate(windows):
             for i in range(len(words)):
-                at = [self.names[f] for f in features(words, i) if f in self.names]
-                out[n, i] = self.emit[at].sum(axis=0)
+                out[n, i] = self.score(words, i)
             mask[n, : len(words)] = True
         return out, mask
 
+    def score(self, words: list[str], i: int) -> np.ndarray:
+        at = [self.names[f] for f in features(words, i) if f in self.names]
+        return self.emit[at].sum(axis=0)
+
     def decode(self, windows: list[list[str]]) -> list[np.ndarray]:
         """Viterbi over a batch of windows, all of its steps on arrays of (window, label, label)."""
         scores, mask = self.scores(windows)
         count, length, width = scores.shape
-        best, back = scores[:, 0].copy(), np.zeros((count, length, width), dtype=np.int64)
+        best, back = scores[:, 0].copy(), np.zeros((count, length, width), dtype=np.uint8)
         for t in range(1, length):
             paths = best[:, :, None] + self.step[None]
             back[:, t] = paths.argmax(axis=1)
@@ -226,6 +249,32 @@ class Field:
             out.append(np.array(path[::-1]))
         return out
 
+    def decode_long(self, word: Callable[[int], str], length: int, stretch: int = 1 << 14) -> np.ndarray:
+        """The best path of one window of any length, the same that decode finds.
+
+        Scores are made stretch by stretch and words are read where they are needed, so that one byte
+        a word and label is all that is held.
+        """
+        width = len(LABELS)
+        back, best = np.zeros((length, width), dtype=np.uint8), None
+        for low in range(0, length, stretch):
+            first, stop = max(0, low - 2), min(length, low + stretch)
+            words = [word(i) for i in range(first, min(length, stop + 2))]  # two words on each side have a say in a word's score
+            for i in range(low, stop):
+                at = i - first
+                mine = self.score(words, at)
+                if best is None:
+                    best = mine
+                    continue
+                paths = best[:, None] + self.step
+                back[i] = paths.argmax(axis=0)
+                best = paths.max(axis=0) + mine
+        path = np.zeros(length, dtype=np.uint8)
+        path[-1] = best.argmax()
+        for t in range(length - 1, 0, -1):
+            path[t - 1] = back[t, path[t]]
+        return path
+
 
 #: A label I-k follows only B-k or I-k.
 FORBIDDEN = np.array([[-1e4 if b[0] == "I" and a[1:] != b[1:] else 0.0 for b in LABELS] for a in LABELS])
@@ -271,23 +320,61 @@ def train(table: list[tuple[list[str], list[str]]], steps: int = 120, ridge: flo
     return Field(names, emit, step + FORBIDDEN)
 
 
-def windows_of(text: str) -> Iterator[list[re.Match]]:
+@dataclass(frozen=True, slots=True)
+class Place:
+    """Where a word stands in its text."""
+
+    low: int
+    high: int
+
+    def start(self) -> int:
+        return self.low
+
+    def end(self) -> int:
+        return self.high
+
+
+class Window(Sequence):
+    """Words in a row, held as starts and ends in turn: 16 bytes a word, so that long ones stay small."""
+
+    __slots__ = ("ends",)
+
+    def __init__(self, ends: array):
+        self.ends = ends
+
+    def __len__(self) -> int:
+        return len(self.ends) // 2
+
+    def __getitem__(self, i: int) -> Place:
+        if not -len(self) <= i < len(self):
+            raise IndexError(i)
+        i %= len(self)
+        return Place(self.ends[2 * i], self.ends[2 * i + 1])
+
+    def word(self, text: str, i: int) -> str:
+        return text[self.ends[2 * i] : self.ends[2 * i + 1]]
+
+    def words(self, text: str) -> list[str]:
+        return [self.word(text, i) for i in range(len(self))]
+
+
+def windows_of(text: str) -> Iterator[Window]:
     """Stretches of words around those with a digit, an at-sign or a spelled-out mark, CONTEXT words on each side."""
-    held: list[re.Match] = []
-    gap: list[re.Match] = []
+    held, gap = array("q"), array("q")
     for m in WORD.finditer(text):
-        if ANCHOR.search(m.group()):
-            held += [*gap, m]
-            gap = []
+        if ANCHOR.search(text, m.start(), m.end()):
+            held += gap
+            held.extend(m.span())
+            gap = array("q")
             continue
-        gap.append(m)
-        if held and len(gap) > 2 * CONTEXT:
-            yield held + gap[:CONTEXT]
-            held = []
+        gap.extend(m.span())
+        if held and len(gap) > 4 * CONTEXT:
+            yield Window(held + gap[: 2 * CONTEXT])
+            held = array("q")
         if not held:
-            gap = gap[-CONTEXT:]
+            gap = gap[-2 * CONTEXT :]
     if held:
-        yield held + gap[:CONTEXT]
+        yield Window(held + gap[: 2 * CONTEXT])
 
 
 EDGES = ".,;:!?\"'|<>{}*#$%&"
@@ -314,16 +401,17 @@ def _checked(kind: str, text: str) -> bool:
     return bool(at and DOT.search(text, at.end()))
 
 
-def _may_add(text: str, window: list[re.Match], covered: Covered) -> bool:
+def _may_add(text: str, window: Window, covered: Covered) -> bool:
     """Whether a span of the field can come of a window: of a digit or an at-sign outside the patterns' spans, or of both spelled-out marks."""
-    if any(("@" in m.group() or DIGIT.search(m.group())) and not covered.meets(m.start(), m.end()) for m in window):
-        return True
-    end = window[-1].end()
-    at = AT.search(text, window[0].start(), end)
+    for w in window:
+        if SIGN.search(text, w.low, w.high) and not covered.meets(w.low, w.high):
+            return True
+    end = window[-1].high
+    at = AT.search(text, window[0].low, end)
     return bool(at and DOT.search(text, at.end(), end))
 
 
-def spans_of(text: str, matches: list[re.Match], path: np.ndarray) -> Iterator[tuple[int, int, int]]:
+def spans_of(text: str, window: Window, path: np.ndarray) -> Iterator[tuple[int, int, int]]:
     i = 0
     while i < len(path):
         label = LABELS[path[i]]
@@ -333,7 +421,7 @@ def spans_of(text: str, matches: list[re.Match], path: np.ndarray) -> Iterator[t
         j = i + 1
         while j < len(path) and LABELS[path[j]] == f"I{label[1:]}":
             j += 1
-        start, end = matches[i].start(), matches[j - 1].end()
+        start, end = window[i].low, window[j - 1].high
         while start < end and text[start] in EDGES:
             start += 1
         while end > start and text[end - 1] in EDGES:
@@ -369,24 +457,39 @@ def find_personal(field: Field, texts: list[str]) -> list[tuple[list[tuple[int,
     """For each text, the patterns' spans and all spans, by kind, then start."""
     base = [plain_spans(t) for t in texts]
     covered = [Covered(b) for b in base]
-    where, windows = [], []
-    for n, text in enumerate(texts):
-        if ANCHOR.search(text):
-            for window in windows_of(text):
-                if _may_add(text, window, covered[n]):
-                    where.append((n, window))
-                    windows.append([m.group() for m in window])
     extra: list[list[tuple[int, int, int]]] = [[] for _ in texts]
-    order = sorted(range(len(windows)), key=lambda i: len(windows[i]))  # windows of like length share a batch
-    i = 0
-    while i < len(order):
-        j = i + 1
-        while j < len(order) and j - i < 256 and (j - i + 1) * len(windows[order[j]]) <= CELLS:
-            j += 1
-        batch, i = order[i:j], j
-        for j, path in zip(batch, field.decode([windows[j] for j in batch]), strict=True):
-            n, window = where[j]
-            extra[n] += [s for s in spans_of(texts[n], window, path) if not covered[n].meets(s[1], s[2])]
+
+    def told(n: int, window: Window, path: np.ndarray) -> None:
+        extra[n].extend(s for s in spans_of(texts[n], window, path) if not covered[n].meets(s[1], s[2]))
+
+    def solve(held: list[tuple[int, Window]]) -> None:
+        """Windows of like length share a batch of at most CELLS words, filled up to its longest."""
+        held.sort(key=lambda x: len(x[1]))
+        i = 0
+        while i < len(held):
+            j = i + 1
+            while j < len(held) and j - i < 256 and (j - i + 1) * len(held[j][1]) <= CELLS:
+                j += 1
+            for (n, window), path in zip(held[i:j], field.decode([w.words(texts[n]) for n, w in held[i:j]]), strict=True):
+                told(n, window, path)
+            i = j
+
+    held, words = [], 0
+    for n, text in enumerate(texts):
+        if not ANCHOR.search(text):
+            continue
+        for window in windows_of(text):
+            if not _may_add(text, window, covered[n]):
+                continue
+            if len(window) > CELLS // 4:
+                told(n, window, field.decode_long(partial(window.word, text), len(window)))
+                continue
+            held.append((n, window))
+            words += len(window)
+            if words > CELLS:  # what is held at a time has a bound, whatever the texts hold
+                solve(held)
+                held, words = [], 0
+    solve(held)
     return [(b, sorted({*b, *e})) for b, e in zip(base, extra, strict=True)]
 
 

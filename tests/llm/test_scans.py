@@ -95,6 +95,41 @@ def test_viterbi_is_the_best_of_all_paths(field):
     assert np.array_equal(field.decode([words])[0], best)
 
 
+def test_long_windows_are_decoded_like_short_ones(field):
+    """A text of numbers is one window; in stretches its best path is the same."""
+    import numpy as np
+
+    draw = random.Random(4)
+    words = [draw.choice(["call", "555-123-4567", "12", "x", "a@b", "at", "4111", "tel", "10.0.0.300", "(212)", "555-1234"]) for _ in range(700)]
+    whole = field.decode([words])[0]
+    for stretch in (1, 2, 7, 64, 1000):
+        assert np.array_equal(field.decode_long(words.__getitem__, len(words), stretch), whole)
+
+
+def test_memory_of_a_text_of_numbers_is_bounded(field):
+    """One long window among short texts, words of millions of signs, and numbers without end."""
+    import tracemalloc
+
+    long = " ".join(str(i % 97) for i in range(150_000)) + " phone 212-555-0187 now"
+    texts = [f"call 555-123-{i:04d} today" for i in range(255)] + [long]
+    tracemalloc.start()
+    found = find_personal(field, texts)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 150 << 20
+    assert all(len(every) == 1 for _, every in found[:255])
+    start = long.index("212-555")
+    assert (3, start, start + 12) in found[255][1]
+    word = "x1" * 1_000_000
+    assert find_personal(field, [word + " " + "9" * 2_000_000 + "@" * 100_000, " " * 2_000_000]) == [([], []), ([], [])]
+
+
+def test_shapes_use_whole_words():
+    assert pii.shape("Ab12345678-xyz(..)") == "Xxddddd-x(.)"
+    assert pii.shape("a" * 200 + "7" * 9 + "é!") == "xddddd" + "x?"
+    assert pii.shape("") == ""
+
+
 def test_personal_data_of_odd_documents(spark):
     rows = DOCUMENTS + [(50, "mail a.b@c.de and 10.0.0.1, card 4111 1111 1111 1111, tel +49 30 1234567", "en", "s", 1)]
     got = dicts(pii.scan_documents(documents(spark, rows)))
