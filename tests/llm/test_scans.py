@@ -233,3 +233,105 @@ def test_all_members_of_a_gzip_are_scanned():
     members[1:3] = [gzip.compress(b"key AKIAAB"), gzip.compress(b"CDEFGHIJKLMNOPQRS and ") + bytes(16)]
     text = base64.b64encode(b"".join(members)).decode()
     assert {kind for _, kind, _ in find_secrets(text)[1]} >= {0, 1}
+
+
+def slow_layers(data, depth=0):
+    """Every layer below some bytes, by plain library calls on whole layers."""
+    if depth > 6:
+        return
+    out = [urllib.parse.unquote_to_bytes(data), re.sub(rb"\\u00([0-9a-f]{2})", lambda m: bytes([int(m[1], 16)]), data)]
+    flat = re.sub(rb"\r?\n[ \t]*", b"", data)
+    for run in {*re.findall(rb"[A-Za-z0-9+/_-]{20,}", data), *re.findall(rb"[A-Za-z0-9+/_-]{20,}", flat)}:
+        for skip in range(4):
+            part = run[skip:].replace(b"-", b"+").replace(b"_", b"/")
+            part = part[: len(part) // 4 * 4 if len(part) % 4 == 1 else len(part)]
+            out.append(base64.b64decode(part + b"=" * (-len(part) % 4)))
+    for m in re.finditer(rb"\x1f\x8b\x08|\x78[\x01\x5e\x9c\xda]", data):
+        whole, rest = b"", data[m.start() :]
+        try:
+            while rest[:1] in (b"\x1f", b"\x78"):
+                engine = zlib.decompressobj(47)
+                whole += engine.decompress(rest)
+                rest = engine.unused_data
+        except zlib.error:
+            pass
+        out.append(whole)
+    for layer in out:
+        if layer and layer != data:
+            yield layer
+            yield from slow_layers(layer, depth + 1)
+
+
+def nested(draw, secret, depth):
+    """A secret below some layers, each with words, glued signs or line ends around what it holds."""
+    data = secret.encode()
+    for _ in range(depth):
+        kind = draw.choice(["percent", "unicode", "base64", "glued", "wrapped", "gzip", "zlib", "members"])
+        before, after = (" ".join(draw.choice(["so", "it", "ü", "go on", "x" * draw.randrange(1, 40)]) for _ in range(draw.randrange(4))).encode() for _ in range(2))
+        pack = lambda x: base64.b64encode(x)
+        if kind == "percent":
+            data = b"".join(b"%%%02X" % b for b in data)
+        elif kind == "unicode":
+            data = b"".join(b"\\u%04x" % b for b in data)
+        elif kind == "base64":
+            data = pack(before + b" " + data + b" " + after)
+        elif kind == "glued":
+            data = draw.choice([b"x/", b"key_", b"a-b-", b"//host/path/", b"z"]) + pack(data + b" end")
+        elif kind == "wrapped":
+            whole = pack(before + b" " + data + b" " + bytes(draw.choice(b"abc \n") for _ in range(120)))
+            width = draw.choice([20, 60, 64, 75, 76])
+            data = draw.choice([b"\n", b"\r\n", b"\n  "]).join(whole[i : i + width] for i in range(0, len(whole), width))
+        elif kind == "gzip":
+            data = pack(gzip.compress(before + b" " + data + b" " + after))
+        elif kind == "zlib":
+            data = pack(b"\x00\xffhead" * draw.randrange(2) + zlib.compress(before + b" " + data + b" " + after))
+        else:
+            cut = draw.randrange(len(data) + 1)
+            data = pack(gzip.compress(before + b" " + data[:cut]) + bytes(draw.randrange(3)) + gzip.compress(data[cut:] + b" " + after))
+        data = draw.choice([b"", b"say "]) + data + draw.choice([b"", b" and", b"\n"])
+    return data.decode("latin-1")
+
+
+@pytest.mark.parametrize("size", [64, 100, 1 << 20])
+def test_nested_layers_against_a_slow_decoder(monkeypatch, size):
+    """Windows of any size give the same spans; what a slow decoder finds is found."""
+    draw = random.Random(21)
+    for i in range(120):
+        secret = draw.choice([KEY, "password = layered-value-12345", "token:  'abcdefghijklmnop'", "0123456789abcdef" * 2])
+        text = f"Words {nested(draw, secret, draw.randrange(1, 4))} more"
+        whole = find_secrets(text)
+        with monkeypatch.context() as m:
+            m.setattr(secrets, "MOST_HIDDEN", size)
+            m.setattr(secrets, "OVERLAP", 64)
+            assert find_secrets(text) == whole, (i, text)
+        want = {kind for layer in [text.encode("latin-1", "replace"), *slow_layers(text.encode("latin-1", "replace"))] for _, kind, _ in slow_secrets(layer.decode("latin-1"))}
+        assert {kind for _, kind, _ in whole[1]} >= want, (i, text)
+        assert {kind for _, kind, _ in slow_secrets(secret)} <= {kind for _, kind, _ in whole[1]}, (i, text)
+
+
+def test_blobs_across_every_window_border():
+    """An encoded run longer than any overlap is opened whole, wherever it stands in a large layer."""
+    blob = base64.b64encode(gzip.compress(bytes(random.Random(1).randrange(256) for _ in range(9000)) + b" password = layered-value-12345 ")).decode()
+    for place in (101, (1 << 20) - 6001, (1 << 20) - 6002, (1 << 20) - 5, (2 << 20) - 3000):
+        body = "x y " * (place // 4) + "." * (place % 4) + blob + " z" * 300_000
+        text = base64.b64encode(zlib.compress(body.encode())).decode()
+        assert find_secrets(text)[1] == [(0, 0, len(text))], place
+    for cut in range((1 << 20) - 40, (1 << 20) + 4, 3):
+        body = " " * (cut // 2) + "," * (cut - cut // 2) + f"token = {'q' * 30} " + "." * 50
+        text = base64.b64encode(zlib.compress(body.encode())).decode()
+        assert find_secrets(text)[1] == [(0, 0, len(text))], cut
+
+
+def test_names_and_values_parted_by_escapes():
+    quote = "\\" + "u0022"
+    for text in (f"say {quote}password{quote}: {quote}abcdefghijklmn{quote}", "password %3A abcdefghijklmn", r"{\"token\" : \"abcdefghijklmn\"}", "%2525252541%4BIAABCDEFGHIJKLMNOPQ"):
+        assert find_secrets(text)[1], text
+        (start, _, end), *rest = find_secrets(text)[1]
+        assert not rest
+        assert "abcdefghijklmn" in text[start:end] or "ABCDEFGHIJKLMNOPQ" in text[start:end]
+
+
+@pytest.mark.parametrize("text", ["%" + "25" * 200_000 + "41", "\\" * 300_000, "A" * 1_000_000, "%78%5e" * 20_000, ("A" * 30 + "\n") * 5_000, "+" * 500_000 + "=" * 500_000])
+def test_hostile_texts_hide_nothing(text):
+    base, every = find_secrets(text)
+    assert every == base == slow_secrets(text)
