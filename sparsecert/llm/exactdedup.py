@@ -1,7 +1,8 @@
 """Exact deduplication by composable polynomial fingerprints.
 
 A text without its white space is hashed in chunks; the hash of a whole follows from the hashes of
-its parts, each shifted by the length of what follows. Texts with equal fingerprints are compared
+its parts, each shifted by the length of what follows. The pieces of a huge text are hashed by many
+tasks, and their hashes combined. Texts with equal fingerprints are compared
 with one of their group, chunk by chunk; those that differ go through another round with other bases.
 """
 
@@ -25,6 +26,8 @@ PRIME = (1 << 31) - 1
 CHUNK = 8192
 HASHES = 4
 COMPARE_BYTES = 1 << 16
+LONG = 4 << 20  # bytes of a text whose pieces are dealt to many tasks
+PIECE = 1 << 20
 
 
 class Fingerprint:
@@ -60,12 +63,18 @@ def normalised(data: bytes) -> bytes:
     return data.translate(None, BLANKS)
 
 
-def _fingerprints(seed: int):
+def _fingerprints(seed: int, longest: int):
+    """Adds _f1, _f2, _len, _sha; they are null for texts of more bytes than longest."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Fingerprint(seed)
         for batch in slices(batches, "_bytes"):
             low, high, length, sha = [], [], [], []
             for data in batch.column("_bytes").to_pylist():
+                if len(data) > longest:
+                    for column in (low, high, length, sha):
+                        column.append(None)
+                    continue
                 data = normalised(data)
                 a, b, c, d = hasher.of(data)
                 low.append(a << 31 | b)
@@ -80,13 +89,62 @@ def _fingerprints(seed: int):
     return run
 
 
+def _piece_hashes(seed: int):
+    """The hashes of pieces as four longs, and their lengths."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hasher = Fingerprint(seed)
+        for batch in batches:
+            pieces = batch.column("_piece").to_pylist()
+            yield pa.RecordBatch.from_arrays([batch.column("_row"), batch.column("_at"), pa.array([len(p) for p in pieces], pa.int64()), pa.array([list(hasher.of(p)) for p in pieces], pa.list_(pa.int64()))], names=["_row", "_at", "_bytes", "_hashes"])
+
+    return run
+
+
+def _combined(seed: int):
+    """Joins the hashes of a text's pieces, in order, each shifted by the length of what follows."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        hasher = Fingerprint(seed)
+        for batch in batches:
+            low, high, length = [], [], []
+            for parts in batch.column("_parts").to_pylist():
+                whole, size = (0,) * HASHES, 0
+                for part in parts:
+                    whole = hasher.join(whole, tuple(part["_hashes"]), part["_bytes"])
+                    size += part["_bytes"]
+                a, b, c, d = whole
+                low.append(a << 31 | b)
+                high.append(c << 31 | d)
+                length.append(size)
+            yield pa.RecordBatch.from_arrays([batch.column("_row"), *[pa.array(x, pa.int64()) for x in (low, high, length)]], names=["_row", "_f1", "_f2", "_len"])
+
+    return run
+
+
 KEY = ["_f1", "_f2", "_len"]
 
 
-def with_fingerprints(df: DataFrame, text: str, seed: int) -> DataFrame:
-    """Adds the fingerprint columns, _sha among them, to df."""
+def with_fingerprints(df: DataFrame, text: str, seed: int, longest: int = LONG, piece: int = PIECE) -> DataFrame:
+    """df (with _row) as a written table with the fingerprint columns, _sha among them.
+
+    Texts of more than longest bytes are cut into pieces without their white space, which tasks hash
+    apart; a text's fingerprint is the same either way.
+    """
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields) + ", _f1 bigint, _f2 bigint, _len bigint, _sha string"
-    return df.withColumn("_bytes", text_bytes(text)).mapInArrow(_fingerprints(seed), schema)
+    work = staged(df.withColumn("_bytes", text_bytes(text)).mapInArrow(_fingerprints(seed, longest), schema), "prints")
+    long = work.filter("_sha is null")
+    if long.isEmpty():
+        return work
+    norm = F.translate(F.col(text), BLANKS.decode(), "").cast("binary")
+    solid = long.select("_row", norm.alias("_norm")).withColumn("_sha", F.sha2("_norm", 256))
+    last = F.greatest(F.floor((F.octet_length("_norm") - 1) / piece).cast("int"), F.lit(0))
+    pieces = solid.select("_row", "_sha", "_norm", F.explode(F.sequence(F.lit(0), last)).alias("_at")).select("_row", "_at", F.expr(f"substring(_norm, _at * {piece} + 1, {piece})").alias("_piece"))
+    hashed = pieces.repartition("_row", "_at").mapInArrow(_piece_hashes(seed), "_row bigint, _at int, _bytes bigint, _hashes array<bigint>")
+    parts = hashed.groupBy("_row").agg(F.array_sort(F.collect_list(F.struct("_at", "_bytes", "_hashes"))).alias("_parts"))
+    prints = parts.mapInArrow(_combined(seed), "_row bigint, _f1 bigint, _f2 bigint, _len bigint").join(solid.select("_row", "_sha"), "_row")
+    prints = staged(prints, "longprints")
+    return work.filter("_sha is not null").unionByName(long.drop(*KEY, "_sha").join(prints, "_row"))
 
 
 def _round(work: DataFrame, seed: int, text: str) -> tuple[DataFrame, DataFrame]:
@@ -116,12 +174,12 @@ def equal_classes(work: DataFrame, text: str = "text", first_seed: int = 0, hash
         if rest.isEmpty():
             return settled
         seed += 1
-        work, text = staged(hasher(rest.select("_row", "_text"), "_text", seed), "again"), "_text"
+        work, text = hasher(rest.select("_row", "_text"), "_text", seed), "_text"
 
 
 def prepared(docs: DataFrame, text: str = "text", hasher=with_fingerprints) -> DataFrame:
     """docs as a written table with a row number and fingerprints."""
-    return staged(hasher(docs.withColumn("_row", F.monotonically_increasing_id()), text, 0), "prints")
+    return hasher(docs.withColumn("_row", F.monotonically_increasing_id()), text, 0)
 
 
 def decisions(work: DataFrame, text: str = "text", key: str = "doc_id", hasher=with_fingerprints) -> DataFrame:

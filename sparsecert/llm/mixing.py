@@ -49,25 +49,28 @@ def mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = 1.5,
 
     Null texts have size 0, a null source is a source of its own and stands last, rows that repeat
     an id are rows like others, an empty table gives an empty result. Reruns agree: the order is
-    that of a hash of the id, then id and size.
+    that of a hash of the id, then id, size and a hash of the text; rows that agree in all of these
+    are alike.
     """
-    narrow = docs.select(F.col("doc_id"), F.col("source"), word_count(F.col("text")).alias("size"))
-    return _mixed(staged(narrow, "mix"), weights, share, most_epochs)
+    return _mixed(staged(_narrow(docs.withColumn("_row", F.monotonically_increasing_id())), "mix"), weights, share, most_epochs).drop("_row")
+
+
+def _narrow(docs: DataFrame) -> DataFrame:
+    return docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), F.xxhash64(F.col("text")).alias("_tie"), "_row")
 
 
 def _mixed(narrow: DataFrame, weights: tuple[int, ...], share: float, most_epochs: int) -> DataFrame:
     keyed = narrow.withColumn("_source", F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n"))).withColumn("_key", F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")).cast("binary")))
     targets = source_targets(keyed.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, most_epochs)
     targets = targets.select(F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n")).alias("_of"), "source_size", "target")
-    unit = F.conv(F.substring("_key", 1, 12), 16, 10).cast("double") / F.lit(2.0**48)
-    placed = prefix_before(keyed, "_source", unit, ["_key", "doc_id", "size"], F.col("size"), "_before", narrow.count())
+    placed = prefix_before(keyed, "_source", ["_key", "doc_id", "size", "_tie", "_row"], F.col("size"), "_before", narrow.count())
     joined = placed.join(targets, F.col("_source") == F.col("_of"))
     goal = F.floor(F.col("target") + 0.5)
     epochs = F.when(F.col("source_size") > 0, F.floor(goal / F.greatest(F.col("source_size"), F.lit(1)))).otherwise(F.lit(0))
     rest = goal - epochs * F.col("source_size")
     part = F.greatest(F.lit(0), F.least(F.col("size"), rest - F.col("_before")))
     taken = (epochs * F.col("size") + part).cast("long")
-    return joined.select(*narrow.columns[:1], "size", "source_size", "target", taken.alias("taken"), *[c for c in narrow.columns[1:] if c not in ("source", "size")])
+    return joined.select("doc_id", "size", "source_size", "target", taken.alias("taken"), "_row")
 
 
 def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = 1.5, most_epochs: int = 2) -> DataFrame:
@@ -76,8 +79,7 @@ def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share:
     A document whose last epoch is taken in part appears with its first words, parted by a space.
     """
     work = staged(docs.withColumn("_row", F.monotonically_increasing_id()), "mixdocs")
-    narrow = work.select("doc_id", "source", word_count(F.col("text")).alias("size"), "_row")
-    decided = _mixed(staged(narrow, "mix"), weights, share, most_epochs).select(F.col("_row").alias("_r"), F.col("size").alias("_size"), F.col("taken").alias("_taken")).filter("_taken > 0")
+    decided = _mixed(staged(_narrow(work), "mix"), weights, share, most_epochs).select(F.col("_row").alias("_r"), F.col("size").alias("_size"), F.col("taken").alias("_taken")).filter("_taken > 0")
     joined = work.join(decided, F.col("_row") == F.col("_r"))
     copies = joined.withColumn("_epoch", F.explode(F.sequence(F.lit(0), F.floor((F.col("_taken") - 1) / F.col("_size")).cast("int"))))
     words = F.least(F.col("_size"), F.col("_taken") - F.col("_epoch") * F.col("_size")).cast("int")

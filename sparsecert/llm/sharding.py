@@ -96,10 +96,9 @@ def assign_shards(docs: DataFrame, tree: HashTree, key: str = "doc_id", text: st
         F.col(key).alias("doc_id"), (F.octet_length(content).cast("long") + 1).alias("size"), F.crc32(content.cast("binary")).alias("text_crc32"),
     )
     narrow = narrow.withColumn("shard", shard_of(F.col("doc_id"), tree)).withColumn("grown_shard", shard_of(F.col("doc_id"), grown) if grown else F.lit(None).cast("int"))
-    narrow = staged(narrow.withColumn("_h", F.xxhash64(F.col("doc_id"), F.col("text_crc32"), F.col("size"))), "shards")
-    unit = F.col("_h") / F.lit(2.0**64) + F.lit(0.5)
-    unit = F.least(F.greatest(unit, F.lit(0.0)), F.lit(1.0 - 2.0**-53))
-    slots = prefix_before(narrow, "shard", unit, ["_h", "doc_id"], F.lit(1), "slot", narrow.count())
+    narrow = narrow.withColumn("_h", F.xxhash64(F.col("doc_id"), F.col("text_crc32"), F.col("size"))).withColumn("_row", F.monotonically_increasing_id())
+    narrow = staged(narrow, "shards")
+    slots = prefix_before(narrow, "shard", ["_h", "doc_id", "_row"], F.lit(1), "slot", narrow.count())
     return slots.select("doc_id", "size", "text_crc32", "shard", F.col("slot").cast("long").alias("slot"), "grown_shard")
 
 

@@ -3,7 +3,7 @@ import random
 import zlib
 
 import pytest
-import xxhash  # noqa: F401
+import xxhash
 
 from sparsecert.llm import exactdedup, sharding
 from sparsecert.llm.common import load
@@ -57,6 +57,62 @@ def test_equal_fingerprints_of_unequal_texts_part_in_the_next_round(spark):
     check_classes(dicts(exact_classes(documents(spark, rows), hasher=weak)), rows)
 
 
+def test_pieces_of_long_texts_are_hashed_apart(spark):
+    """Dealt in pieces or whole, a text has one fingerprint; classes are those of brute force."""
+    rows = [(i, t, "en", "s", 1) for i, t in enumerate(["ab " * 5000, "ab" * 5000, "ab" * 4999 + "ac", "c" * 2560, "c" * 2561, " " * 9000, "é" * 3000 + "\t", "é" * 3000, None, "x"])]
+    dealt = lambda df, text, seed: exactdedup.with_fingerprints(df, text, seed, longest=500, piece=256)
+    check_classes(dicts(exact_classes(documents(spark, rows), hasher=dealt)), rows)
+    docs = documents(spark, rows).coalesce(1).withColumn("_row", exactdedup.F.monotonically_increasing_id())
+    prints = [sorted((r["_row"], r["_f1"], r["_f2"], r["_len"], r["_sha"]) for r in dicts(f)) for f in (dealt(docs, "text", 3), exactdedup.with_fingerprints(docs, "text", 3))]
+    assert prints[0] == prints[1]
+
+
+def hot_rows(n=30_000):
+    """A third of all rows share one id, another third has none."""
+    return [(None if i % 3 == 0 else 7 if i % 3 == 1 else i, f"w{i % 11} " * (i % 5), "en", f"s{min(i % 4, 1)}", 1) for i in range(n)]
+
+
+def test_slots_of_hot_ids_are_gapless_and_spread(spark):
+    rows = hot_rows()
+    out = assign_shards(documents(spark, rows), HashTree.of(8))
+    got = dicts(out)
+    for shard in range(8):
+        assert sorted(r["slot"] for r in got if r["shard"] == shard) == list(range(sum(r["shard"] == shard for r in got)))
+
+
+def test_prefix_stretches_are_even_whatever_the_keys(spark):
+    from sparsecert.llm import prefix
+    from sparsecert.llm.common import staged
+
+    df = staged(spark.range(20_000).selectExpr("id", "case when id % 3 = 0 then 'hot' else 'cold' end as g", "int(id % 3 = 0) as k", "id % 7 as x"), "prefix")
+    got = prefix.prefix_before(df, "g", ["k", "id"], prefix.F.col("x"), "before", 20_000, rows_per_stretch=1000).collect()
+    for g in ("hot", "cold"):
+        total = 0
+        for r in sorted((r for r in got if r["g"] == g), key=lambda r: r["id"]):
+            assert r["before"] == total
+            total += r["x"]
+    parts = df.repartitionByRange(20, "g", "k", "id").groupBy(prefix.F.spark_partition_id()).count().collect()
+    assert max(r["count"] for r in parts) < 2000
+
+
+def test_shards_against_a_plain_walk_of_the_tree(spark):
+    """The draws, recomputed outside Spark with an xxhash of the key and the child's name."""
+    import math
+
+    def draw(seed, name, weight):
+        h = xxhash.xxh64(name.encode(), seed=xxhash.xxh64(seed.encode(), seed=42).intdigest()).intdigest()
+        return math.log(((h >> 11) + 0.5) / float(1 << 53)) / weight
+
+    tree = HashTree.of(8).reweighted(3, 2.5).grown(8)
+    got = spark.range(500).select("id", sharding.shard_of(sharding.F.col("id"), tree).alias("s")).collect()
+    for r in got:
+        key = f"k{r['id']}"
+        i = max(range(len(tree.regions)), key=lambda i: draw(key, f"r{i}", sum(sum(rack.values()) for rack in tree.regions[i])))
+        j = max(range(len(tree.regions[i])), key=lambda j: draw(key, f"r{i}/k{j}", sum(tree.regions[i][j].values())))
+        want = max(tree.regions[i][j], key=lambda s: draw(key, f"r{i}/k{j}/s{s}", tree.regions[i][j][s]))
+        assert r["s"] == want
+
+
 def test_without_copies_keeps_columns(spark):
     docs = documents(spark)
     out = without_copies(docs)
