@@ -2,6 +2,11 @@
 
 A stage takes (spark, docs, sf_dir) and returns a DataFrame, which is written and read again as the
 next stage's docs. All but the last keep the columns of documents.
+
+Null texts count as empty and are scored, grouped and packed like empty ones (mixing takes none of
+them, as they have no words); null ids, sources and languages are values of their own; rows that
+repeat an id are rows of their own; further columns go through unchanged; an empty table gives an
+empty table at every stage.
 """
 
 from __future__ import annotations
@@ -17,27 +22,27 @@ from sparsecert.llm.quality import accepted
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier rejects go."""
+    """Documents that the classifier rejects go, null and empty texts by their score like others."""
     return accepted(docs, load(spark, sf_dir, "labels"))
 
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row of each class of equal texts stays."""
+    """One row of each class of equal texts stays; null and blank texts are one class."""
     return without_copies(docs)
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class of similar texts stays."""
+    """One document of each class of similar texts stays; texts without a word stand alone."""
     return one_of_each(docs)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """A row per document and epoch that the mix takes; the last one of a source is cut to its words."""
+    """A row per document and epoch that the mix takes; the last one of a source is cut to its words. Documents without a word aren't taken."""
     return mixed_documents(docs)
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token sequences: a row per piece."""
+    """Token sequences: a row per piece; a null or empty text is a piece of one end id."""
     return pack(docs)
 
 
