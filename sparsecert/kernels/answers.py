@@ -6,6 +6,7 @@ All run in space linear in the certificate. Flows are unit flows that stop at k.
 from __future__ import annotations
 
 from collections import deque
+from collections.abc import Callable, Iterable
 
 import numpy as np
 
@@ -137,18 +138,89 @@ class VertexFlow:
         return flow, []
 
 
-def local_vertex(e: Edges, x: int, y: int, k: int) -> tuple[int, list[int]]:
-    """min(vertex connectivity of x and y, k), and a separator if it is below k.
+class VertexAsked:
+    """Vertex connectivities of pairs in one graph, which is laid out once for all of them.
 
     An edge between the two counts once, as a path that no vertex can cut.
     """
-    e = e.take(first_copies(e))
-    ids, a, b = with_vertices(e, np.array([x, y]))
-    s, t = int(np.searchsorted(ids, x)), int(np.searchsorted(ids, y))
-    joined = ((a == s) & (b == t)) | ((a == t) & (b == s))
-    extra = 1 if joined.any() else 0
-    found, cut = VertexFlow(len(ids), a[~joined], b[~joined]).paths([s], t, k - extra)
-    return min(k, found + extra), [int(ids[i]) for i in cut]
+
+    def __init__(self, e: Edges, more: np.ndarray | None = None):
+        e = e.take(first_copies(e))
+        self.ids, a, b = with_vertices(e, more)
+        self.flow = VertexFlow(len(self.ids), a, b)
+        self.place = {int(x): i for i, x in enumerate(self.ids.tolist())}
+
+    def value(self, x: int, y: int, k: int) -> tuple[int, list[int]]:
+        """min(connectivity, k), and a separator if it is below k."""
+        s, t = self.place.get(x), self.place.get(y)
+        if s is None or t is None:
+            return 0, []
+        near = self.flow.near
+        joined = t in near[s]
+        if joined:
+            near[s].remove(t)
+            near[t].remove(s)
+        found, cut = self.flow.paths([s], t, k - joined)
+        if joined:
+            near[s].append(t)
+            near[t].append(s)
+        return min(k, found + joined), [int(self.ids[i]) for i in cut]
+
+
+class EdgeAsked:
+    """Edge connectivities of pairs in one graph: its capacities are laid out once, and a flow is undone after its pair."""
+
+    def __init__(self, e: Edges, more: np.ndarray | None = None):
+        self.ids, a, b = with_vertices(e, more)
+        self.place = {int(x): i for i, x in enumerate(self.ids.tolist())}
+        self.near: list[dict[int, int]] = [{} for _ in range(len(self.ids))]
+        for p, q in zip(a.tolist(), b.tolist(), strict=True):
+            if p != q:
+                self.near[p][q] = self.near[p].get(q, 0) + 1
+                self.near[q][p] = self.near[q].get(p, 0) + 1
+
+    def value(self, x: int, y: int, k: int) -> tuple[int, np.ndarray]:
+        """min(connectivity, k), and the side of x as ids if it is below k."""
+        s, t, near, flow = self.place.get(x), self.place.get(y), self.near, 0
+        none = np.empty(0, dtype=np.int64)
+        if s is None or t is None:
+            return 0, none
+        used: list[tuple[int, int]] = []
+        while True:
+            came: dict[int, int] = {s: s}
+            line = deque([s])
+            while line and t not in came:
+                p = line.popleft()
+                for q, room in near[p].items():
+                    if room > 0 and q not in came:
+                        came[q] = p
+                        line.append(q)
+            if t not in came:
+                side = self.ids[np.array(sorted(came))]
+                break
+            if flow + 1 >= k:
+                flow, side = k, none
+                break
+            q = t
+            while q != s:
+                p = came[q]
+                near[p][q] -= 1
+                near[q][p] = near[q].get(p, 0) + 1
+                used.append((p, q))
+                q = p
+            flow += 1
+        for p, q in used:
+            near[p][q] += 1
+            near[q][p] -= 1
+        return flow, side
+
+
+def local_vertex(e: Edges, x: int, y: int, k: int) -> tuple[int, list[int]]:
+    return VertexAsked(e, np.array([x, y])).value(x, y, k)
+
+
+def local_edge(e: Edges, x: int, y: int, k: int) -> tuple[int, np.ndarray]:
+    return EdgeAsked(e, np.array([x, y])).value(x, y, k)
 
 
 def k_vertex_connected(e: Edges, vertices: np.ndarray | None, k: int, strict: bool = False) -> tuple[bool, list[int]]:
@@ -191,38 +263,6 @@ def k_vertex_connected(e: Edges, vertices: np.ndarray | None, k: int, strict: bo
     return True, []
 
 
-def local_edge(e: Edges, x: int, y: int, k: int) -> tuple[int, np.ndarray]:
-    """min(edge connectivity of x and y, k), and the side of x as ids if it is below k."""
-    ids, a, b = with_vertices(e, np.array([x, y]))
-    s, t = int(np.searchsorted(ids, x)), int(np.searchsorted(ids, y))
-    near: list[dict[int, int]] = [{} for _ in range(len(ids))]
-    for p, q in zip(a.tolist(), b.tolist(), strict=True):
-        if p != q:
-            near[p][q] = near[p].get(q, 0) + 1
-            near[q][p] = near[q].get(p, 0) + 1
-    flow = 0
-    while True:
-        came: dict[int, int] = {s: s}
-        line = deque([s])
-        while line and t not in came:
-            p = line.popleft()
-            for q, room in near[p].items():
-                if room > 0 and q not in came:
-                    came[q] = p
-                    line.append(q)
-        if t not in came:
-            return flow, ids[np.array(sorted(came))]
-        if flow + 1 >= k:
-            return k, np.empty(0, dtype=np.int64)
-        q = t
-        while q != s:
-            p = came[q]
-            near[p][q] -= 1
-            near[q][p] = near[q].get(p, 0) + 1
-            q = p
-        flow += 1
-
-
 def k_edge_connected(e: Edges, vertices: np.ndarray | None, k: int) -> tuple[bool, np.ndarray]:
     """Whether deleting any k - 1 edges leaves the graph connected, and one side of a smaller cut if not.
 
@@ -294,7 +334,8 @@ def edge_classes(e: Edges, vertices: np.ndarray | None, k: int) -> tuple[np.ndar
     A class is split by a cut below k between its least vertex and a member, or grows by a member
     that reaches k: one flow per vertex and class.
     """
-    ids, _, _ = with_vertices(e, vertices)
+    asked = EdgeAsked(e, vertices)
+    ids = asked.ids
     label = ids.copy()
     open_ = [ids]
     while open_:
@@ -302,7 +343,7 @@ def edge_classes(e: Edges, vertices: np.ndarray | None, k: int) -> tuple[np.ndar
         head, rest = part[0], part[1:]
         same = [head]
         while len(rest):
-            got, side = local_edge(e, int(head), int(rest[0]), k)
+            got, side = asked.value(int(head), int(rest[0]), k)
             if got >= k:
                 same.append(rest[0])
                 rest = rest[1:]
@@ -319,3 +360,13 @@ def weighted_forest_clusters(e: Edges, most: int) -> tuple[np.ndarray, np.ndarra
     ids, a, b = compact(e.u, e.v)
     keep = e.w <= most
     return ids, ids[forest(len(ids), a[keep], b[keep])[1]]
+
+
+def is_cert(g: Edges, c: Edges, answer: Callable[[Edges], object]) -> bool:
+    """Whether c answers like g."""
+    return answer(g) == answer(c)
+
+
+def is_strong_cert(g: Edges, c: Edges, answer: Callable[[Edges], object], others: Iterable[Edges]) -> bool:
+    """Whether c answers like g also together with each of the other graphs on the same vertices."""
+    return all(answer(Edges.join(g, h)) == answer(Edges.join(c, h)) for h in others)

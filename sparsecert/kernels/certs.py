@@ -30,6 +30,10 @@ class Edges:
     def take(self, at: np.ndarray) -> Edges:
         return Edges(self.u[at], self.v[at], self.w[at], self.eid[at])
 
+    def slice(self, low: int, high: int) -> Edges:
+        """Views, not copies."""
+        return Edges(self.u[low:high], self.v[low:high], self.w[low:high], self.eid[low:high])
+
     @staticmethod
     def join(*parts: Edges) -> Edges:
         return Edges(*(np.concatenate([getattr(p, c) for p in parts]) for c in ("u", "v", "w", "eid")))
@@ -235,6 +239,69 @@ def round_forest(e: Edges) -> np.ndarray:
     return np.sort(np.concatenate(kept)) if kept else np.empty(0, np.int64)
 
 
+class _Compared:
+    """A place in weight order that counts how often it is compared."""
+
+    __slots__ = ("at", "tally")
+
+    def __init__(self, at: tuple, tally: list[int]):
+        self.at, self.tally = at, tally
+
+    def __lt__(self, other: _Compared) -> bool:
+        self.tally[0] += 1
+        return self.at < other.at
+
+
+def weight_comparisons(e: Edges, kernel: str) -> int:
+    """How many comparisons of weights a kernel's method needs on these edges: by sorting, by a heap, or by rounds of least edges."""
+    tally = [0]
+    keys = [_Compared(k, tally) for k in zip(e.w.tolist(), np.minimum(e.u, e.v).tolist(), np.maximum(e.u, e.v).tolist(), e.eid.tolist(), strict=True)]
+    ids, a, b = compact(e.u, e.v)
+    if kernel == "sort":
+        sorted(keys)
+    elif kernel == "grow":
+        offsets, others, place = adjacency(len(ids), a, b)
+        seen = [False] * len(ids)
+        for root in range(len(ids)):
+            if seen[root]:
+                continue
+            seen[root] = True
+            line = [_Step(keys[place[i]], others[i]) for i in range(offsets[root], offsets[root + 1])]
+            heapify(line)
+            while line:
+                y = heappop(line).to
+                if seen[y]:
+                    continue
+                seen[y] = True
+                for i in range(offsets[y], offsets[y + 1]):
+                    if not seen[others[i]]:
+                        heappush(line, _Step(keys[place[i]], others[i]))
+    else:
+        comp, live = np.arange(len(ids)), np.flatnonzero(a != b)
+        rank = np.empty(len(e), dtype=np.int64)
+        rank[weight_order(e)] = np.arange(len(e))
+        while len(live):
+            ends, at = np.concatenate([comp[a[live]], comp[b[live]]]), np.tile(live, 2)
+            tally[0] += len(ends) - len(np.unique(ends))  # a least of c values takes c - 1 comparisons
+            order = np.lexsort((rank[at], ends))
+            picked = np.unique(at[order[np.flatnonzero(np.concatenate([[True], ends[order][1:] != ends[order][:-1]]))]])
+            comp = forest(len(ids), comp[a[picked]], comp[b[picked]])[1][comp]
+            live = live[comp[a[live]] != comp[b[live]]]
+    return tally[0]
+
+
+class _Step:
+    """A heap's entry: only the weight is compared."""
+
+    __slots__ = ("key", "to")
+
+    def __init__(self, key: _Compared, to: int):
+        self.key, self.to = key, to
+
+    def __lt__(self, other: _Step) -> bool:
+        return self.key < other.key
+
+
 FOREST_KERNELS: dict[str, Callable[[Edges], np.ndarray]] = {"sort": sorted_forest, "grow": grown_forest, "rounds": round_forest}
 
 

@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 import time
 from collections.abc import Callable, Iterator
+from concurrent.futures import Future, ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -48,7 +49,7 @@ class GroupPolicy:
 
     @staticmethod
     def adaptive(least: int = 1024) -> GroupPolicy:
-        """As many as vertices were seen so far, but no fewer than `least`."""
+        """As many as vertices were known when the last group closed, but no fewer than `least`."""
         return GroupPolicy("adaptive", least)
 
     def size(self, n: int) -> int:
@@ -93,71 +94,111 @@ def of(name: str, k: int = 1, **options) -> Property:
     return Property(name, k, options.pop("kernel", "sort" if forests else "maxback"), options.pop("tail", "resolve" if forests else "append"), **options)
 
 
+#: Vertices that are assumed until the first group has told how many there are.
+START = 1024
+
+
 @dataclass
 class Fold:
-    """The state of one pass: certificate, buffer and a row of counters per group."""
+    """The state of one pass: certificate, buffer and a row of counters per group.
+
+    Taking edges costs a view of what arrives; all else is done when a group closes. With overlap a
+    closed group is solved by a second thread while the next one fills; `wait_ns` is what arrivals
+    then had to wait for.
+    """
 
     prop: Property
     policy: GroupPolicy
     n: int | None = None
+    overlap: bool = False
     cert: Edges = field(default_factory=Edges.empty)
     buffer: list[Edges] = field(default_factory=list)
     held: int = 0
     groups: list[dict] = field(default_factory=list)
-    seen: np.ndarray = field(default_factory=lambda: np.empty(0, dtype=np.int64))
+    known: int = START
     peak: int = 0
     edges_read: int = 0
+    wait_ns: int = 0
+    in_flight: int = 0
+    pool: ThreadPoolExecutor | None = None
+    pending: Future | None = None
 
     def _size(self) -> int:
-        return self.policy.size(self.n if self.n is not None else len(self.seen))
+        return self.policy.size(self.n if self.n is not None else self.known)
 
     def add(self, e: Edges) -> None:
         """Takes edges as they arrive; whole groups are folded in on the way."""
         self.edges_read += len(e)
-        while len(e):
-            if self.n is None:
-                # n is unknown: what was seen so far stands for it, which only moves the groups' borders
-                self.seen = np.union1d(self.seen, np.concatenate([e.u, e.v]))
-            room = self._size() - self.held
-            part, e = e.take(np.arange(min(room, len(e)))), e.take(np.arange(min(room, len(e)), len(e)))
+        at, size = 0, self._size()
+        while at < len(e):
+            part = e.slice(at, min(len(e), at + max(1, size - self.held)))
+            at += len(part)
             self.buffer.append(part)
             self.held += len(part)
-            self.peak = max(self.peak, len(self.cert) + self.held)
-            if self.held >= self._size():
-                self._solve()
-
-    def _solve(self, tail: bool = False) -> None:
+            self.peak = max(self.peak, len(self.cert) + self.held + self.in_flight)
+            if self.held >= size:
+                self._close()
+                size = self._size()
+
+    def _close(self, tail: bool = False) -> None:
+        group, self.buffer, self.held = self.buffer, [], 0
+        if not self.overlap:
+            self._take(self._solved(self.cert, group, tail))
+            return
+        self.settle()
+        self.pool = self.pool or ThreadPoolExecutor(1)
+        self.in_flight = sum(map(len, group))
+        self.pending = self.pool.submit(self._solved, self.cert, group, tail)
+
+    def settle(self) -> None:
+        """Waits for the group that is being solved, if any."""
+        if self.pending is not None:
+            began = time.perf_counter_ns()
+            found = self.pending.result()
+            self.wait_ns += time.perf_counter_ns() - began
+            self.pending, self.in_flight = None, 0
+            self._take(found)
+
+    def _take(self, found: tuple[Edges, dict, int]) -> None:
+        self.cert, row, self.known = found
+        self.groups.append(row)
+
+    def _solved(self, cert: Edges, buffer: list[Edges], tail: bool) -> tuple[Edges, dict, int]:
         began = time.perf_counter_ns()
-        group = Edges.join(*self.buffer)
-        before, arrived = len(self.cert), len(group)
+        group = Edges.join(*buffer)
+        before, arrived = len(cert), len(group)
         if self.prop.prefilter:
-            group = group.take(lighter_than_path(self.cert, group))
-        merged = Edges.join(self.cert, group)
+            group = group.take(lighter_than_path(cert, group))
+        merged = Edges.join(cert, group)
         if tail and self.prop.pad_tail and len(merged):
             merged, real = _padded(merged, self._size() - arrived), len(merged)
             kept = self.prop.keep(merged)
             kept = kept[kept < real]
         else:
             kept = self.prop.keep(merged)
-        self.cert = merged.take(kept)
-        self.buffer, self.held = [], 0
-        self.groups.append({"edges_in": arrived, "cert_before": before, "merged": len(merged), "cert_after": len(kept), "update_ns": time.perf_counter_ns() - began})
+        out = merged.take(kept)
+        # every vertex seen is an end of the certificate, as that spans all components
+        known = max(START, len(np.unique(np.concatenate([out.u, out.v])))) if self.n is None else 0
+        return out, {"edges_in": arrived, "cert_before": before, "merged": len(merged), "cert_after": len(kept), "update_ns": time.perf_counter_ns() - began}, known
 
     def finish(self, resolve: bool | None = None) -> Edges:
         """The last group is appended, or solved if the property asks for it."""
+        if self.held and (self.prop.tail == "resolve" if resolve is None else resolve):
+            self._close(tail=True)
+        self.settle()
         if self.held:
-            if self.prop.tail == "resolve" if resolve is None else resolve:
-                self._solve(tail=True)
-            else:
-                group = Edges.join(*self.buffer)
-                self.groups.append({"edges_in": len(group), "cert_before": len(self.cert), "merged": len(self.cert) + len(group), "cert_after": len(self.cert) + len(group), "update_ns": 0})
-                self.cert, self.buffer, self.held = Edges.join(self.cert, group), [], 0
+            group = Edges.join(*self.buffer)
+            self.groups.append({"edges_in": len(group), "cert_before": len(self.cert), "merged": len(self.cert) + len(group), "cert_after": len(self.cert) + len(group), "update_ns": 0})
+            self.cert, self.buffer, self.held = Edges.join(self.cert, group), [], 0
+        if self.pool is not None:
+            self.pool.shutdown()
+            self.pool = None
         return self.cert
 
 
 def _padded(e: Edges, count: int) -> Edges:
-    """With dummy edges heavier than all real ones between vertices that are there."""
-    count = max(0, min(count, 1 << 22))
+    """With dummy edges heavier than all real ones between vertices that are there, up to a whole group."""
+    count = max(0, count)
     ids = np.unique(np.concatenate([e.u, e.v]))
     at = np.arange(count)
     heavy = np.full(count, e.w.max() + 1)
@@ -177,13 +218,18 @@ def merged(a: Edges, b: Edges, prop: Property) -> Edges:
     return both.take(prop.keep(both))
 
 
-def over_time(batches: Iterator[Edges], prop: Property, policy: GroupPolicy, n: int | None, post: Callable[[Edges], object]) -> Iterator[tuple[int, object]]:
-    """Answers after each group, for callers that ask in mid-stream: the post-pass runs each time."""
-    f = Fold(prop, policy, n)
-    told = 0
+def over_time(batches: Iterator[Edges], prop: Property, policy: GroupPolicy, n: int | None, post: Callable[[Edges], object], overlap: bool = False) -> Iterator[tuple[int, int, object]]:
+    """(group, edges read, answer) after each group, for callers that ask in mid-stream: the post-pass runs each time."""
+    f, told = Fold(prop, policy, n, overlap), 0
     for e in batches:
-        f.add(e)
-        if len(f.groups) > told:
-            told = len(f.groups)
-            yield told, post(Edges.join(f.cert, *f.buffer))
-    yield len(f.groups) + 1, post(f.finish())
+        at = 0
+        while at < len(e):
+            step = max(1, f._size() - f.held)
+            f.add(e.slice(at, at + step))
+            at += step
+            f.settle()
+            if len(f.groups) > told:
+                told = len(f.groups)
+                yield told - 1, f.edges_read, post(f.cert)
+    if f.held:
+        yield told, f.edges_read, post(f.finish())

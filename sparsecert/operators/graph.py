@@ -18,8 +18,8 @@ from sparsecert.kernels import answers
 from sparsecert.kernels.certs import Edges, sides
 from sparsecert.kernels.fold import GroupPolicy, of
 from sparsecert.kernels.forest import compact, forest, labels_of
-from sparsecert.plans.batch import Cert, as_batch, as_edges, cert_of, clean, column, one_task
-from sparsecert.plans.relational import relational_components
+from sparsecert.plans.batch import Cert, as_batch, as_edges, cert_of, certs_by_key, clean, column, one_task, planned
+from sparsecert.plans.relational import relational_components, relational_sides
 
 VERDICT = "property string, k int, holds boolean, witness array<bigint>"
 
@@ -30,23 +30,36 @@ def all_vertices(edges: DataFrame, vertices: DataFrame | None = None) -> DataFra
     return (ends.union(vertices.select("v")) if vertices is not None else ends).distinct()
 
 
-def spanning_forest(edges: DataFrame, policy: GroupPolicy | None = None, parts: int | None = None) -> Cert:
-    return cert_of(edges, "components", policy=policy, parts=parts)
+def spanning_forest(edges: DataFrame, policy: GroupPolicy | None = None, **options) -> Cert:
+    return cert_of(edges, "components", policy=policy, **options)
 
 
-def components(edges: DataFrame, vertices: DataFrame | None = None, policy: GroupPolicy | None = None, parts: int | None = None, tier: str = "merge_tree") -> DataFrame:
-    """(v, component): the least vertex reachable; isolated vertices are their own."""
+def _with_given(found: DataFrame, vertices: DataFrame | None) -> DataFrame:
+    """found (v, ...) with rows for the given vertices it lacks; what is known of these is null."""
+    if vertices is None:
+        return found
+    return found.join(vertices.select("v").filter("v is not null").distinct(), "v", "full")
+
+
+def components(edges: DataFrame, vertices: DataFrame | None = None, tier: str | None = None, **options) -> DataFrame:
+    """(v, component): the least vertex reachable; isolated vertices are their own.
+
+    One pass: vertices that only loops or half-edges name come with the certificate. tier: see
+    CertEngine.run; the relational one labels by joins, and no task holds all vertices.
+    """
+    tier = tier or planned(edges).tier
     if tier == "relational":
-        found = relational_components(clean(edges))
+        ready = clean(edges, "mark")
+        found = relational_components(ready.filter("u <> v"))
+        found = found.join(ready.filter("u = v").select(F.col("u").alias("v")).distinct(), "v", "full")
     else:
 
         def kernel(e: Edges) -> pa.RecordBatch:
             ids, label = labels_of(e.u, e.v)
             return pa.RecordBatch.from_arrays([column(ids), column(label)], names=["v", "component"])
 
-        found = one_task(spanning_forest(edges, policy, parts).edges, kernel, "v bigint, component bigint")
-    labels = found.select(F.col("v").alias("_v"), "component")
-    return all_vertices(edges, vertices).join(labels, F.col("v") == F.col("_v"), "left").select("v", F.coalesce("component", "v").alias("component"))
+        found = one_task(spanning_forest(edges, tier=tier, marks=True, **options).edges, kernel, "v bigint, component bigint")
+    return _with_given(found, vertices).select("v", F.coalesce("component", "v").alias("component"))
 
 
 def component_sizes(edges: DataFrame, vertices: DataFrame | None = None, **options) -> DataFrame:
@@ -66,37 +79,47 @@ def same_component(edges: DataFrame, pairs: DataFrame, vertices: DataFrame | Non
     return pairs.join(x, "x", "left").join(y, "y", "left").select("x", "y", F.coalesce(F.col("_cx") == F.col("_cy"), F.col("x") == F.col("y")).alias("same"))
 
 
-def bipartite_cert(edges: DataFrame, policy: GroupPolicy | None = None, per_component: bool = False, parts: int | None = None) -> Cert:
-    return cert_of(edges, "bipartite_each" if per_component else "bipartite", policy=policy, parts=parts)
+def bipartite_cert(edges: DataFrame, policy: GroupPolicy | None = None, per_component: bool = False, **options) -> Cert:
+    return cert_of(edges, "bipartite_each" if per_component else "bipartite", policy=policy, **options)
 
 
-def bipartition(edges: DataFrame, vertices: DataFrame | None = None, per_component: bool = True, policy: GroupPolicy | None = None, parts: int | None = None) -> DataFrame:
+def bipartition(edges: DataFrame, vertices: DataFrame | None = None, per_component: bool = True, tier: str | None = None, **options) -> DataFrame:
     """(v, component, side, bipartite): side 0 holds the component's least vertex.
 
-    per_component: a component with an odd cycle has null sides; else any such component makes all sides null.
+    per_component: a component with an odd cycle has null sides; else any such component makes all
+    sides null. One pass; tier as in components.
     """
+    tier = tier or planned(edges).tier
+    if tier == "relational":
+        ready = clean(edges, "mark")
+        found = relational_sides(ready.filter("u <> v"))
+        if not per_component:  # one row goes to all
+            found = found.crossJoin(F.broadcast(found.agg(F.bool_or("odd").alias("any")))).withColumn("odd", F.col("any"))
+        odd = F.col("odd")
+        found = found.select("v", "component", F.when(~odd, F.col("side")).alias("side"), (~odd).alias("bipartite"))
+        found = found.join(ready.filter("u = v").select(F.col("u").alias("v")).distinct(), "v", "full")
+    else:
 
-    def kernel(e: Edges) -> pa.RecordBatch:
-        ids, a, b = compact(e.u, e.v)
-        comp, side = sides(len(ids), a, b)
-        odd = side == 2
-        bad = odd if per_component else np.full(len(ids), bool(odd.any()))
-        return pa.RecordBatch.from_arrays([column(ids), column(ids[comp]), pa.array(side.astype(np.int8), mask=bad), pa.array(~bad)], names=["v", "component", "side", "bipartite"])
-
-    found = one_task(bipartite_cert(edges, policy, per_component, parts).edges, kernel, "v bigint, component bigint, side tinyint, bipartite boolean").withColumnRenamed("v", "_v")
-    out = all_vertices(edges, vertices).join(found, F.col("v") == F.col("_v"), "left")
-    alone = F.col("component").isNull()
+        def kernel(e: Edges) -> pa.RecordBatch:
+            ids, a, b = compact(e.u, e.v)
+            comp, side = sides(len(ids), a, b)
+            odd = side == 2
+            bad = odd if per_component else np.full(len(ids), bool(odd.any()))
+            return pa.RecordBatch.from_arrays([column(ids), column(ids[comp]), pa.array(side.astype(np.int8), mask=bad), pa.array(~bad)], names=["v", "component", "side", "bipartite"])
+
+        found = one_task(bipartite_cert(edges, per_component=per_component, tier=tier, marks=True, **options).edges, kernel, "v bigint, component bigint, side tinyint, bipartite boolean")
+    out, alone = _with_given(found, vertices), F.col("component").isNull()
     return out.select("v", F.coalesce("component", "v").alias("component"), F.when(alone, F.lit(0)).otherwise(F.col("side")).cast("tinyint").alias("side"), F.coalesce("bipartite", F.lit(True)).alias("bipartite"))
 
 
-def odd_cycle(edges: DataFrame, policy: GroupPolicy | None = None, parts: int | None = None) -> DataFrame:
+def odd_cycle(edges: DataFrame, **options) -> DataFrame:
     """One row (property, k, holds, witness): holds if there is no odd cycle, else an odd cycle's vertices in order."""
 
     def kernel(e: Edges) -> pa.RecordBatch:
         cycle = answers.odd_cycle(e)
         return _verdict("bipartite", 0, not cycle, cycle)
 
-    return one_task(bipartite_cert(edges, policy, parts=parts).edges, kernel, VERDICT)
+    return one_task(bipartite_cert(edges, **options).edges, kernel, VERDICT)
 
 
 def is_bipartite(edges: DataFrame, **options) -> DataFrame:
@@ -125,14 +148,14 @@ def _verdict(name: str, k: int, holds: bool, witness) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([name]), pa.array([k], pa.int32()), pa.array([bool(holds)]), pa.array([None if holds else [int(x) for x in witness]], pa.list_(pa.int64()))], names=["property", "k", "holds", "witness"])
 
 
-def vertex_cert(edges: DataFrame, k: int, cert_kernel: str = "maxback", policy: GroupPolicy | None = None, parts: int | None = None) -> Cert:
+def vertex_cert(edges: DataFrame, k: int, cert_kernel: str = "maxback", **options) -> Cert:
     """At most k(n - 1) edges that keep min(vertex connectivity, k) of all pairs; copies of a pair are dropped in each merge."""
-    return cert_of(edges, "vertex", k, policy, parts=parts, kernel=cert_kernel)
+    return cert_of(edges, "vertex", k, kernel=cert_kernel, **options)
 
 
-def edge_cert(edges: DataFrame, k: int, cert_kernel: str = "maxback", policy: GroupPolicy | None = None, parts: int | None = None) -> Cert:
+def edge_cert(edges: DataFrame, k: int, cert_kernel: str = "maxback", **options) -> Cert:
     """At most k(n - 1) edges that keep min(edge connectivity, k) of all pairs, up to k copies of a pair among them."""
-    return cert_of(edges, "edge", k, policy, parts=parts, kernel=cert_kernel)
+    return cert_of(edges, "edge", k, kernel=cert_kernel, **options)
 
 
 def _marked(cert: DataFrame, vertices: DataFrame | None) -> DataFrame:
@@ -147,24 +170,24 @@ def is_k_vertex_connected(edges: DataFrame, k: int, vertices: DataFrame | None =
 
     Cost after the certificate: at most k^2 / 2 + n flows of k augmentations over kn edges.
     """
-    cert = vertex_cert(edges, k, **options).edges
+    cert = vertex_cert(edges, k, marks=True, **options).edges
 
     def kernel(e: Edges) -> pa.RecordBatch:
         ids = np.unique(np.concatenate([e.u, e.v])) if len(e) else np.empty(0, np.int64)
         return _verdict("vertex", k, *answers.k_vertex_connected(e, ids, k, strict))
 
-    return one_task(_marked(cert, all_vertices(edges, vertices)), kernel, VERDICT)
+    return one_task(_marked(cert, vertices), kernel, VERDICT)
 
 
 def is_k_edge_connected(edges: DataFrame, k: int, vertices: DataFrame | None = None, **options) -> DataFrame:
     """One row (property, k, holds, witness); the witness is one side of a cut of fewer than k edges."""
-    cert = edge_cert(edges, k, **options).edges
+    cert = edge_cert(edges, k, marks=True, **options).edges
 
     def kernel(e: Edges) -> pa.RecordBatch:
         ids = np.unique(np.concatenate([e.u, e.v])) if len(e) else np.empty(0, np.int64)
         return _verdict("edge", k, *answers.k_edge_connected(e, ids, k))
 
-    return one_task(_marked(cert, all_vertices(edges, vertices)), kernel, VERDICT)
+    return one_task(_marked(cert, vertices), kernel, VERDICT)
 
 
 def cut_vertices(edges: DataFrame, **options) -> DataFrame:
@@ -177,37 +200,35 @@ def bridges(edges: DataFrame, **options) -> DataFrame:
     return one_task(edge_cert(edges, 2, **options).edges, lambda e: as_batch(e.take(np.array(answers.low_points(e)[1], dtype=np.int64))), "u bigint, v bigint, w bigint, eid bigint").select("u", "v", "eid")
 
 
-def _by_pair(cert: DataFrame, pairs: DataFrame, k: int, value, most_edges: int = 20_000_000) -> DataFrame:
-    """Asks a certificate about pairs in many tasks; it is gathered once, and its size is checked first."""
-    size = cert.count()
-    if size > most_edges:
-        raise ValueError(f"a certificate of {size} edges is too large to send to all tasks")
-    table = cert.select("u", "v", "w", "eid").toArrow()
-    whole = cert.sparkSession.sparkContext.broadcast(tuple(table.column(c).to_numpy() for c in ("u", "v", "w", "eid")))
+def _by_pair(cert: DataFrame, pairs: DataFrame, k: int, asked: type) -> DataFrame:
+    """Asks a certificate about pairs: each of the shuffle's tasks gets a share of the pairs and the
+    certificate, which has at most k(n - 1) edges, and lays it out once. Nothing goes to the driver."""
+    blocks = int(cert.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = pairs.select(F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y")).withColumn("block", F.pmod(F.xxhash64("x", "y"), F.lit(blocks)))
+    sent = cert.select("u", "v", "w", "eid").withColumn("block", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        e = Edges(*whole.value)
-        for batch in batches:
-            xs, ys = batch.column("x").to_pylist(), batch.column("y").to_pylist()
-            got = [value(e, x, y, k)[0] for x, y in zip(xs, ys, strict=True)]
-            yield pa.RecordBatch.from_arrays([batch.column("x"), batch.column("y"), pa.array(got, pa.int32())], names=["x", "y", "value"])
+    def run(some: pa.Table, whole: pa.Table) -> pa.Table:
+        batches = whole.combine_chunks().to_batches()
+        graph = asked(as_edges(batches[0]) if batches else Edges.empty())
+        got = [graph.value(x, y, k)[0] for x, y in zip(some.column("x").to_pylist(), some.column("y").to_pylist(), strict=True)]
+        return pa.table({"x": some.column("x"), "y": some.column("y"), "value": pa.array(got, pa.int32())})
 
-    return pairs.select(F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y")).mapInArrow(run, "x bigint, y bigint, value int")
+    return dealt.groupBy("block").cogroup(sent.groupBy("block")).applyInArrow(run, "x bigint, y bigint, value int")
 
 
 def local_vertex_connectivity(edges: DataFrame, pairs: DataFrame, k: int, **options) -> DataFrame:
-    """(x, y, value): vertex-disjoint paths, at most k."""
-    return _by_pair(vertex_cert(edges, k, **options).edges, pairs, k, answers.local_vertex)
+    """(x, y, value): vertex-disjoint paths, at most k; an edge between the two is one of them."""
+    return _by_pair(vertex_cert(edges, k, **options).edges, pairs, k, answers.VertexAsked)
 
 
 def local_edge_connectivity(edges: DataFrame, pairs: DataFrame, k: int, **options) -> DataFrame:
     """(x, y, value): edge-disjoint paths, at most k."""
-    return _by_pair(edge_cert(edges, k, **options).edges, pairs, k, answers.local_edge)
+    return _by_pair(edge_cert(edges, k, **options).edges, pairs, k, answers.EdgeAsked)
 
 
 def k_edge_classes(edges: DataFrame, k: int, vertices: DataFrame | None = None, **options) -> DataFrame:
     """(v, class): vertices that are pairwise joined by k edge-disjoint paths; the class is its least vertex."""
-    cert = _marked(edge_cert(edges, k, **options).edges, all_vertices(edges, vertices))
+    cert = _marked(edge_cert(edges, k, marks=True, **options).edges, vertices)
 
     def kernel(e: Edges) -> pa.RecordBatch:
         ids, label = answers.edge_classes(e, None, k)
@@ -250,22 +271,19 @@ def lightest_per_pair(edges: DataFrame) -> DataFrame:
     return pairs.groupBy("u", "v").agg(F.min(F.struct("w", "eid")).alias("m")).select("u", "v", "m.w", "m.eid")
 
 
-def min_forest(edges: DataFrame, policy: GroupPolicy | None = None, kernel: str = "sort", sense: str = "min", n: int | None = None, parts: int | None = None, prefilter: bool = False, pad_tail: bool = False) -> DataFrame:
-    """Edges (u, v, w, eid) of the minimum (or maximum) spanning forest under the order (w, u, v, eid)."""
-    return cert_of(edges, f"{sense}_forest", policy=policy, n=n, parts=parts, kernel=kernel, prefilter=prefilter, pad_tail=pad_tail).edges
+def min_forest(edges: DataFrame, policy: GroupPolicy | None = None, kernel: str = "sort", sense: str = "min", **options) -> DataFrame:
+    """Edges (u, v, w, eid) of the minimum (or maximum) spanning forest under the order (w, u, v, eid).
+
+    options: n, parts, prefilter, pad_tail, and tier and overlap as in CertEngine.run.
+    """
+    return cert_of(edges, f"{sense}_forest", policy=policy, kernel=kernel, **options).edges
 
 
 def min_forest_by_component(edges: DataFrame, **options) -> DataFrame:
-    """Components first, then each one's forest by itself."""
+    """Components first, then each one's forest by itself, from the certificates that tasks make of what they read of it."""
     labels = components(edges, **options).withColumnRenamed("v", "_v")
-    prop = of("min_forest")
-
-    def solve(table: pa.Table) -> pa.Table:
-        batch = table.combine_chunks().to_batches()[0]
-        e = as_edges(batch)
-        return pa.Table.from_batches([as_batch(e.take(prop.keep(e)))])
-
-    return clean(edges).join(labels, F.col("u") == F.col("_v")).select("component", "u", "v", "w", "eid").groupBy("component").applyInArrow(solve, "u bigint, v bigint, w bigint, eid bigint")
+    placed = clean(edges).join(labels, F.col("u") == F.col("_v")).select("component", "u", "v", "w", "eid")
+    return certs_by_key(placed, "component", of("min_forest")).select("u", "v", "w", "eid")
 
 
 def min_tree(edges: DataFrame, vertices: DataFrame | None = None, **options) -> DataFrame:

@@ -88,11 +88,27 @@ def relational_components(edges: DataFrame, max_rounds: int = 60, thin: bool = T
     return ends.join(found, "v", "left").select("v", F.coalesce("component", "v").alias("component"))
 
 
+def relational_sides(edges: DataFrame) -> DataFrame:
+    """(v, component, odd, side) for each end of an edge, from the components of the double cover; side 0 holds a component's least vertex."""
+    arms = edges.select(F.explode(F.array(F.struct((2 * F.col("u")).alias("u"), (2 * F.col("v") + 1).alias("v")), F.struct((2 * F.col("u") + 1).alias("u"), (2 * F.col("v")).alias("v")))).alias("e")).select("e.u", "e.v")
+    pair = relational_components(arms).groupBy(F.shiftright("v", 1).alias("v")).agg(F.min("component").alias("low"), F.min_by("component", "v").alias("first"), F.count_distinct("component").alias("parts"))
+    return pair.select("v", F.shiftright("low", 1).alias("component"), (F.col("parts") < 2).alias("odd"), (F.col("first") % 2).cast("tinyint").alias("side"))
+
+
 def relational_bipartite(edges: DataFrame) -> DataFrame:
     """One row (holds): no vertex meets its own copy in the double cover."""
-    arms = edges.select(F.explode(F.array(F.struct((2 * F.col("u")).alias("u"), (2 * F.col("v") + 1).alias("v")), F.struct((2 * F.col("u") + 1).alias("u"), (2 * F.col("v")).alias("v")))).alias("e")).select("e.u", "e.v")
-    labels = relational_components(arms).withColumn("vertex", F.shiftright("v", 1))
-    return labels.groupBy("vertex").agg((F.count_distinct("component") == 2).alias("even")).agg(F.coalesce(F.bool_and("even"), F.lit(True)).alias("holds"))
+    return relational_sides(edges).agg(F.coalesce(~F.bool_or("odd"), F.lit(True)).alias("holds"))
+
+
+def relational_bipartite_cert(edges: DataFrame, per_component: bool = False) -> DataFrame:
+    """A spanning forest, and the edge of least number that closes an odd cycle with it (or one in each component)."""
+    forest = cut(relational_edge_cert(edges, 1).select("u", "v", "w", "eid"))
+    sides = cut(relational_sides(forest))
+    of = lambda x: sides.select(F.col("v").alias(x), F.col("component").alias(f"c{x}"), F.col("side").alias(f"s{x}"))
+    same = edges.filter("u <> v").join(of("u"), "u").join(of("v"), "v").filter("su = sv")
+    least = F.min(F.struct("eid", "u", "v", "w")).alias("e")
+    odd = (same.groupBy("cu").agg(least) if per_component else same.agg(least)).filter("e is not null").select("e.u", "e.v", "e.w", "e.eid")
+    return forest.union(odd)
 
 
 def relational_min_forest(edges: DataFrame, max_rounds: int = 60) -> DataFrame:

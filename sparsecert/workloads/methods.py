@@ -449,8 +449,8 @@ def _(s: SparkSession, d: str) -> DataFrame:
 def preserved(e: DataFrame) -> DataFrame:
     """Capped connectivities of all pairs, in the certificate and in the whole graph."""
     pairs, k = _pairs(e, False), 3
-    lam = g.local_edge_connectivity(e, pairs, k, policy=GroupPolicy.linear()).join(g._by_pair(clean(e), pairs, k, g.answers.local_edge).withColumnRenamed("value", "full"), ["x", "y"])
-    kap = g.local_vertex_connectivity(e, pairs, k, policy=GroupPolicy.linear()).join(g._by_pair(clean(e), pairs, k, g.answers.local_vertex).withColumnRenamed("value", "full"), ["x", "y"])
+    lam = g.local_edge_connectivity(e, pairs, k, policy=GroupPolicy.linear()).join(g._by_pair(clean(e), pairs, k, g.answers.EdgeAsked).withColumnRenamed("value", "full"), ["x", "y"])
+    kap = g.local_vertex_connectivity(e, pairs, k, policy=GroupPolicy.linear()).join(g._by_pair(clean(e), pairs, k, g.answers.VertexAsked).withColumnRenamed("value", "full"), ["x", "y"])
     return lam.agg(F.count(F.lit(1)).alias("pairs"), F.count_if(F.col("value") == F.col("full")).alias("same_lambda")).crossJoin(kap.agg(F.count_if(F.col("value") == F.col("full")).alias("same_kappa")))
 
 
