@@ -8,7 +8,7 @@ import pyarrow.parquet as pq
 import pytest
 
 from sparsecert.sources.graphs import KIND, graph
-from sparsecert.workloads import methods, streams, surroundings  # noqa: F401
+from sparsecert.workloads import measures, methods, streams, surroundings  # noqa: F401
 from tests import brute
 from tests.compare import SMALLEST, connection, rows_of, sorted_rows
 
