@@ -5,6 +5,7 @@ SELECT * FROM graph_components(TABLE(SELECT u, v FROM edges) WITH SINGLE PARTITI
 
 from __future__ import annotations
 
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -15,7 +16,8 @@ from pyspark.sql import types as T
 
 from sparsecert.functions.bounds import inv_ackermann
 from sparsecert.kernels import answers
-from sparsecert.kernels.certs import Edges, edge_cert, sides, sorted_forest, spanning_forest, vertex_cert
+from sparsecert.kernels.certs import Edges, sides, sorted_forest
+from sparsecert.kernels.fold import Fold, GroupPolicy, Property, of
 from sparsecert.kernels.forest import compact, forest, labels_of
 
 
@@ -24,31 +26,55 @@ def _edges(u, v, w=None) -> Edges:
     return Edges(u, v, np.zeros(len(u), np.int64) if w is None else np.asarray(w, dtype=np.int64), np.arange(len(u)))
 
 
-class _Gathered:
-    """Holds the ends (and weight) of a partition's rows; subclasses answer at the end."""
+class _Folded:
+    """Folds a partition's rows by groups as they come; subclasses say for what, and answer at the end.
 
-    width = 2
+    Rows are buffered as numbers in arrays and go to the fold a batch at a time, so what is held is a
+    certificate, a group and a batch.
+    """
 
-    def __init__(self, *options) -> None:
-        self.rows: list[tuple] = []
+    width, rows_a_batch = 2, 1 << 16
+
+    def prop(self) -> Property:
+        return of("components")
+
+    def __init__(self) -> None:
+        self.ends, self.fold, self.count, self.options = array("q"), None, 0, ()
 
     def eval(self, row, *options) -> None:
         self.options = options
-        if row[0] is not None and row[1] is not None and row[0] != row[1]:
-            self.rows.append(tuple(row[i] for i in range(self.width)))
+        if row[0] is None or row[1] is None or row[0] == row[1]:
+            return
+        self.ends.append(row[0])
+        self.ends.append(row[1])
+        self.ends.append(row[2] if self.width > 2 and row[2] is not None else 0)
+        if len(self.ends) >= 3 * self.rows_a_batch:
+            self._flush()
+
+    def _flush(self) -> None:
+        if self.fold is None:
+            self.fold = Fold(self.prop(), GroupPolicy.adaptive())
+        x = np.frombuffer(self.ends, dtype=np.int64).reshape(-1, 3) if len(self.ends) else np.empty((0, 3), np.int64)
+        self.fold.add(Edges(x[:, 0].copy(), x[:, 1].copy(), x[:, 2].copy(), np.arange(self.count, self.count + len(x))))
+        self.count += len(x)
+        self.ends = array("q")
 
     def edges(self) -> Edges:
-        return _edges(*zip(*self.rows, strict=True)) if self.rows else Edges.empty()
+        self._flush()
+        return self.fold.finish(resolve=True)
 
 
-class GraphComponents(_Gathered):
+class GraphComponents(_Folded):
     def terminate(self) -> Iterator[tuple]:
         e = self.edges()
         for v, c in zip(*labels_of(e.u, e.v), strict=True):
             yield int(v), int(c)
 
 
-class GraphSides(_Gathered):
+class GraphSides(_Folded):
+    def prop(self) -> Property:
+        return of("bipartite_each")
+
     def terminate(self) -> Iterator[tuple]:
         e = self.edges()
         ids, a, b = compact(e.u, e.v)
@@ -57,43 +83,56 @@ class GraphSides(_Gathered):
             yield int(v), int(c), None if s == 2 else int(s)
 
 
-class GraphForest(_Gathered):
+class GraphForest(_Folded):
     def terminate(self) -> Iterator[tuple]:
         e = self.edges()
-        for i in spanning_forest(e):
-            yield int(e.u[i]), int(e.v[i])
+        yield from zip(e.u.tolist(), e.v.tolist(), strict=True)
 
 
-class GraphMinForest(_Gathered):
+class GraphMinForest(_Folded):
     width = 3
 
+    def prop(self) -> Property:
+        return of("min_forest")
+
     def terminate(self) -> Iterator[tuple]:
         e = self.edges()
-        for i in sorted_forest(e):
-            yield int(e.u[i]), int(e.v[i]), int(e.w[i])
+        yield from zip(e.u.tolist(), e.v.tolist(), e.w.tolist(), strict=True)
+
 
+class GraphVertexCert(_Folded):
+    def prop(self) -> Property:
+        return of("vertex", int(self.options[0]) if self.options else 1)
 
-class GraphVertexCert(_Gathered):
     def terminate(self) -> Iterator[tuple]:
         e = self.edges()
-        for i in vertex_cert(e, int(self.options[0])) if len(e) else ():
-            yield int(e.u[i]), int(e.v[i])
+        yield from zip(e.u.tolist(), e.v.tolist(), strict=True)
 
 
-class GraphEdgeCert(_Gathered):
-    def terminate(self) -> Iterator[tuple]:
-        e = self.edges()
-        for i in edge_cert(e, int(self.options[0])) if len(e) else ():
-            yield int(e.u[i]), int(e.v[i])
+class GraphEdgeCert(GraphVertexCert):
+    def prop(self) -> Property:
+        return of("edge", int(self.options[0]) if self.options else 1)
+
+
+class GraphConnectivity(_Folded):
+    """Local connectivities of two vertices, at most k: options x, y, k. An edge certificate with k copies
+    of a pair answers for edges; vertices need one that drops copies, so both are kept."""
 
+    def prop(self) -> Property:
+        return of("edge", int(self.options[2]) if self.options else 1)
 
-class GraphConnectivity(_Gathered):
-    """Local connectivities of two vertices, at most k: options x, y, k."""
+    def _flush(self) -> None:
+        ends = self.ends
+        super()._flush()
+        if getattr(self, "apart", None) is None:
+            self.apart = Fold(of("vertex", self.fold.prop.k), GroupPolicy.adaptive())
+        x = np.frombuffer(ends, dtype=np.int64).reshape(-1, 3) if len(ends) else np.empty((0, 3), np.int64)
+        self.apart.add(Edges(x[:, 0].copy(), x[:, 1].copy(), x[:, 2].copy(), np.arange(len(x))))
 
     def terminate(self) -> Iterator[tuple]:
-        if hasattr(self, "options"):
-            e, (x, y, k) = self.edges(), map(int, self.options)
-            yield x, y, answers.local_vertex(e, x, y, k)[0], answers.local_edge(e, x, y, k)[0]
+        if self.options:
+            (x, y, k), e = map(int, self.options), self.edges()
+            yield x, y, answers.local_vertex(self.apart.finish(resolve=True), x, y, k)[0], answers.local_edge(e, x, y, k)[0]
 
 
 def component_count(u: pd.Series, v: pd.Series) -> int:

@@ -170,7 +170,7 @@ class Fold:
         if self.prop.prefilter:
             group = group.take(lighter_than_path(cert, group))
         merged = Edges.join(cert, group)
-        if tail and self.prop.pad_tail and len(merged):
+        if tail and self.prop.pad_tail and len(merged) and self.policy.kind != "whole":  # all in one group is a whole group
             merged, real = _padded(merged, self._size() - arrived), len(merged)
             kept = self.prop.keep(merged)
             kept = kept[kept < real]

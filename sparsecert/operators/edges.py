@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from sparsecert.plans.relational import cut
+
 
 def project_edges(df: DataFrame, u: Column, v: Column, w: Column | None = None) -> DataFrame:
     return df.select(u.cast("long").alias("u"), v.cast("long").alias("v"), (F.lit(1) if w is None else w).cast("long").alias("w"))
@@ -117,3 +119,16 @@ def interval_join(left: DataFrame, right: DataFrame, by: str, a: str, b: str, se
     x = left.withColumn("_bin", F.explode(F.array(F.floor(micros(a) / width), F.floor(micros(a) / width) + 1)))
     y = right.withColumn("_bin", F.floor(micros(b) / width))
     return x.join(y, [by, "_bin"]).filter((micros(b) > micros(a)) & (micros(b) - micros(a) <= width)).drop("_bin")
+
+
+def dictionary(df: DataFrame, column: str, parts: int | None = None) -> DataFrame:
+    """(column, id): the distinct values numbered from 0 in their order, without gaps; no two values share a number.
+
+    Values are range-sorted; a table of the ranges, one row each, gives the first number of each.
+    """
+    parts = parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = cut(df.select(column).filter(F.col(column).isNotNull()).distinct().repartitionByRange(parts, column).withColumn("_p", F.spark_partition_id()))
+    ahead = Window.orderBy("_q").rowsBetween(Window.unboundedPreceding, -1)
+    first = dealt.groupBy(F.col("_p").alias("_q")).agg(F.count(F.lit(1)).alias("_c")).select("_q", F.coalesce(F.sum("_c").over(ahead), F.lit(0)).alias("_first"))
+    local = dealt.withColumn("_n", F.row_number().over(Window.partitionBy("_p").orderBy(column)))
+    return local.join(first, F.col("_p") == F.col("_q")).select(column, (F.col("_first") + F.col("_n") - 1).alias("id"))

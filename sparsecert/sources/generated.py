@@ -42,3 +42,10 @@ def random_graph(spark: SparkSession, n: int, m: int, seed: int = 0) -> DataFram
     end = lambda salt: F.pmod(F.xxhash64(F.col("id"), F.lit(seed), F.lit(salt)), F.lit(n))
     df = spark.range(m).select(end(1).alias("a"), end(2).alias("b"), F.pmod(F.xxhash64(F.col("id"), F.lit(seed), F.lit(3)), F.lit(1000)).alias("w"), "id")
     return df.filter("a <> b").select(F.col("a").alias("u"), F.col("b").alias("v"), "w", F.col("id").alias("eid"), F.col("id").alias("seq"))
+
+
+def rate_edges(spark: SparkSession, vertices: int, per_batch: int) -> DataFrame:
+    """An endless stream of random edges, so many a trigger."""
+    rate = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", per_batch).option("numPartitions", 2).load()
+    end = lambda salt: F.pmod(F.xxhash64("value", F.lit(salt)), F.lit(vertices))
+    return rate.select(end(1).alias("u"), end(2).alias("v"), F.lit(1).cast("long").alias("w"), F.col("value").alias("eid"), F.col("value").alias("seq"))

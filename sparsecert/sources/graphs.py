@@ -1,11 +1,15 @@
 """Graphs on the given tables, as SQL that Spark and DuckDB both run where their dialects agree.
 
 A vertex is a kind code times 2^56 plus its key, so that keys of different tables never meet. Hashed
-keys of strings take 48 bits of their md5. Columns: u, v, w, eid; edges between unlike ends only.
+keys of strings take 56 bits of their md5: `hash_collisions` counts strings that meet, and
+`operators.edges.dictionary` numbers strings exactly where hashes won't do (some 10^8 distinct ones).
+Columns: u, v, w, eid; edges between unlike ends only.
 """
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -24,12 +28,12 @@ def vertex(kind: int, key: Column) -> Column:
 
 
 def hashed(text: Column) -> Column:
-    return F.conv(F.substring(F.md5(text.cast("binary")), 1, 12), 16, 10).cast("long")
+    return F.conv(F.substring(F.md5(text.cast("binary")), 1, 14), 16, 10).cast("long")
 
 
 def hashed_sql(text: str) -> str:
     """DuckDB's form of hashed."""
-    return f"CAST('0x' || substr(md5({text}), 1, 12) AS BIGINT)"
+    return f"CAST('0x' || substr(md5({text}), 1, 14) AS BIGINT)"
 
 
 _LINE_ID = "l_orderkey * 8 + l_linenumber"
@@ -44,7 +48,7 @@ COMMON_SQL = {
     "customer_order": f"SELECT {code(CUSTOMER, 'o_custkey')} AS u, {code(ORDER, 'o_orderkey')} AS v, CAST(round(o_totalprice * 100) AS BIGINT) AS w, o_orderkey AS eid FROM orders",
     "nation_trade": f"SELECT {code(NATION, 'least(c_nationkey, s_nationkey)')} AS u, {code(NATION, 'greatest(c_nationkey, s_nationkey)')} AS v, {_CENTS} AS w, {_LINE_ID} AS eid FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN supplier ON s_suppkey = l_suppkey WHERE c_nationkey <> s_nationkey",
     "premium_cust_supp": f"SELECT {code(CUSTOMER, 'o_custkey')} AS u, {code(SUPPLIER, 'l_suppkey')} AS v, {_CENTS} AS w, {_LINE_ID} AS eid FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_extendedprice > 100000 OR (l_returnflag = 'R' AND l_quantity >= 49)",
-    "conv_turn": f"SELECT {code(TURN, 'a.conv_id * 65536 + a.turn')} AS u, {code(TURN, 'b.conv_id * 65536 + b.turn')} AS v, CAST(1 AS BIGINT) AS w, a.conv_id * 65536 + a.turn AS eid FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1",
+    "conv_turn": f"SELECT {code(TURN, 'a.conv_id * 16777216 + a.turn')} AS u, {code(TURN, 'b.conv_id * 16777216 + b.turn')} AS v, CAST(1 AS BIGINT) AS w, a.conv_id * 16777216 + a.turn AS eid FROM conversations a JOIN conversations b ON a.conv_id = b.conv_id AND b.turn = a.turn + 1",
     "tiny_sparse": f"SELECT {code(SUPPLIER, 'l_suppkey')} AS u, {code(PART, 'l_partkey')} AS v, {_CENTS} AS w, {_LINE_ID} AS eid FROM lineitem WHERE l_discount = 0 AND l_tax = 0 AND l_quantity > 45",
     "key_tree": f"SELECT {code(NATION, 'n_nationkey')} AS u, {code(HOST, 'n_regionkey')} AS v, CAST(n_nationkey AS BIGINT) AS w, CAST(n_nationkey AS BIGINT) AS eid FROM nation",
 }
@@ -53,13 +57,19 @@ COMMON_SQL = {
 DUCK_SQL = COMMON_SQL | {
     "user_adjacent": f"SELECT {code(USER, 'least(a, b)')} AS u, {code(USER, 'greatest(a, b)')} AS v, w, eid FROM (SELECT user_id AS a, lead(user_id) OVER (ORDER BY ts, event_id) AS b, CAST(round(100 * value) AS BIGINT) AS w, event_id AS eid FROM events) WHERE a <> b",
     "user_type": f"SELECT {code(USER, 'user_id')} AS u, {code(TYPE, hashed_sql('event_type'))} AS v, CAST(round(100 * value) AS BIGINT) AS w, event_id AS eid FROM events",
-    "doc_line": f"SELECT {code(DOCUMENT, 'doc_id')} AS u, {code(LINE, hashed_sql('line'))} AS v, CAST(length(line) AS BIGINT) AS w, doc_id * 65536 + (ord - 1) AS eid FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS ord FROM documents) WHERE length(line) >= 20",
-    "embedding_pairs": f"SELECT {code(VECTOR, 'a.vec_id')} AS u, {code(VECTOR, 'b.vec_id')} AS v, CAST(round(1000000 * (1 - list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])))) AS BIGINT) AS w, a.vec_id * 1048576 + b.vec_id AS eid FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id",
+    "doc_line": f"SELECT {code(DOCUMENT, 'doc_id')} AS u, {code(LINE, hashed_sql('line'))} AS v, CAST(length(line) AS BIGINT) AS w, doc_id * 268435456 + (ord - 1) AS eid FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS ord FROM documents) WHERE length(line) >= 20",
+    "embedding_pairs": f"SELECT {code(VECTOR, 'a.vec_id')} AS u, {code(VECTOR, 'b.vec_id')} AS v, CAST(round(1000000 * (1 - list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])))) AS BIGINT) AS w, a.vec_id * 2147483648 + b.vec_id AS eid FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id",
     "page_host": f"SELECT {code(PAGE, 'page_id')} AS u, {code(HOST, hashed_sql(chr(39).join(['regexp_extract(url, ', '^[a-z]+://([^/?#]*)', ', 1)'])))} AS v, CAST(1 AS BIGINT) AS w, page_id AS eid FROM pages",
 }
 DUCK_SQL["small_user_slice"] = f"SELECT * FROM ({DUCK_SQL['user_adjacent']}) WHERE u < {code(USER, '14')} AND v < {code(USER, '14')}"
 
 
+def numbered(group: Column, place: Column, bits: int) -> Column:
+    """A number for a place in a group; an error where either is too large for it."""
+    fits = (place < (1 << bits)) & (group >= 0) & (group < (1 << (62 - bits)))
+    return F.when(fits, group.cast("long") * (1 << bits) + place).otherwise(F.raise_error(F.lit(f"a group has more than 2^{bits} places, or a number beyond 2^{62 - bits}")).cast("long"))
+
+
 def event_order(events: DataFrame) -> DataFrame:
     """Events with seq (place from 1 by ts, event_id) and next_user.
 
@@ -82,6 +92,42 @@ def cosine(a: Column, b: Column) -> Column:
     return dot(a, b) / (F.sqrt(dot(a, a)) * F.sqrt(dot(b, b)))
 
 
+def vector_pairs(vectors: DataFrame, block: int = 1024) -> DataFrame:
+    """(u, v, w, eid) of all pairs of vectors, which is what this graph is: quadratic by definition.
+
+    Vectors are dealt to blocks; each pair of blocks meets in one task, as a product of two arrays.
+    """
+    blocks = max(1, -(-vectors.count() // block))
+    placed = vectors.filter("embedding is not null").withColumn("b", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int"))
+    every = placed.withColumn("o", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    met = every.select(F.least("b", "o").alias("low"), F.greatest("b", "o").alias("high"), "b", "vec_id", "embedding")
+
+    def run(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks().sort_by("vec_id")
+        ids, mine, vectors_ = table.column("vec_id").to_numpy(), table.column("b").to_numpy(), table.column("embedding").combine_chunks()
+        low, high = table.column("low")[0].as_py(), table.column("high")[0].as_py()
+        x = vectors_.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(ids), -1)
+        size = np.sqrt((x * x).sum(axis=1))
+        at, to = np.flatnonzero(mine == low), np.flatnonzero(mine == high)
+        us, vs, ws = [], [], []
+        for lo in range(0, len(at), 128):
+            some = at[lo : lo + 128]
+            # einsum sums each product in the order of the components, like the SQL form
+            with np.errstate(divide="ignore", invalid="ignore"):
+                w = np.rint(1_000_000 * (1 - np.einsum("id,jd->ij", x[some], x[to]) / (size[some][:, None] * size[to][None])))
+            i, j = np.nonzero(some[:, None] < to[None] if low == high else np.ones(w.shape, dtype=bool))
+            us.append(ids[some[i]])
+            vs.append(ids[to[j]])
+            ws.append(w[i, j])
+        u, v, w = (np.concatenate(c) if c else np.empty(0) for c in (us, vs, ws))
+        u, v = np.minimum(u, v).astype(np.int64), np.maximum(u, v).astype(np.int64)
+        bad = ~np.isfinite(w)
+        weight = pa.array(np.where(bad, 0, w).astype(np.int64), mask=bad)
+        return pa.table({"u": pa.array(u + VECTOR * KIND), "v": pa.array(v + VECTOR * KIND), "w": weight, "eid": pa.array(u * 2147483648 + v)})
+
+    return met.groupBy("low", "high").applyInArrow(run, "u bigint, v bigint, w bigint, eid bigint")
+
+
 def _built(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     if name in ("user_adjacent", "small_user_slice"):
         e = event_order(load(spark, sf_dir, "events")).filter(F.col("user_id") != F.col("next_user"))
@@ -95,13 +141,9 @@ def _built(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         return e.select(vertex(USER, F.col("user_id")).alias("u"), vertex(TYPE, hashed(F.col("event_type"))).alias("v"), F.round(F.col("value") * 100).cast("long").alias("w"), F.col("event_id").alias("eid"))
     if name == "doc_line":
         lines = load(spark, sf_dir, "documents").select("doc_id", F.posexplode(F.split("text", "\n")).alias("ord", "line")).filter(F.length("line") >= 20)
-        return lines.select(vertex(DOCUMENT, F.col("doc_id")).alias("u"), vertex(LINE, hashed(F.col("line"))).alias("v"), F.length("line").cast("long").alias("w"), (F.col("doc_id") * 65536 + F.col("ord")).alias("eid"))
+        return lines.select(vertex(DOCUMENT, F.col("doc_id")).alias("u"), vertex(LINE, hashed(F.col("line"))).alias("v"), F.length("line").cast("long").alias("w"), numbered(F.col("doc_id"), F.col("ord"), 28).alias("eid"))
     if name == "embedding_pairs":
-        # all pairs are this graph's definition; the other side is one block of vectors at a time
-        e = load(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-        b = e.select(F.col("vec_id").alias("o_id"), F.col("embedding").alias("o_vec"))
-        pairs = e.join(b, F.col("vec_id") < F.col("o_id"))
-        return pairs.select(vertex(VECTOR, F.col("vec_id")).alias("u"), vertex(VECTOR, F.col("o_id")).alias("v"), F.round((1 - cosine(F.col("embedding"), F.col("o_vec"))) * 1000000).cast("long").alias("w"), (F.col("vec_id") * 1048576 + F.col("o_id")).alias("eid"))
+        return vector_pairs(load(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
     if name == "page_host":
         p = load(spark, sf_dir, "pages")
         host = F.regexp_extract("url", r"^[a-z]+://([^/?#]*)", 1)

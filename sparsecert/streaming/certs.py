@@ -12,7 +12,6 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
-import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle, StreamingQuery
@@ -20,7 +19,7 @@ from pyspark.sql.streaming.listener import StreamingQueryListener
 
 from sparsecert.kernels.certs import Edges
 from sparsecert.kernels.fold import GroupPolicy, Property, of
-from sparsecert.plans.batch import CERT, as_batch, as_edges, clean, local_certs
+from sparsecert.plans.batch import CERT, certs_by_key, clean, local_certs
 
 PAIR_SCHEMA = "u bigint, v bigint, w bigint, eid bigint"
 
@@ -102,20 +101,14 @@ def keyed_certs(edges: DataFrame, name: str, k: int = 1, r: int = 1024, blocks:
     return keyed.groupBy("block").transformWithStateInPandas(BlockCert(name, k, r), outputStructType=f"block int, {PAIR_SCHEMA}", outputMode="Update", timeMode="None")
 
 
-def pane_certs(edges: DataFrame, prop: Property, length: str = "1 day") -> DataFrame:
-    """(pane, u, v, w, eid): a certificate per tumbling window of ts, in batch form."""
+def paned(edges: DataFrame, length: str = "1 day") -> DataFrame:
+    """(pane, u, v, w, eid): edges with the start of their tumbling window of ts."""
+    return edges.withColumn("pane", F.window("ts", length)["start"]).filter("u <> v").select("pane", "u", "v", "w", "eid")
 
-    def solve(table: pa.Table) -> pa.Table:
-        pane = table.column("pane")[0]
-        batch = table.select(["u", "v", "w", "eid"]).combine_chunks().to_batches()[0]
-        e = as_edges(batch)
-        kept = e.take(prop.keep(e))
-        out = pa.Table.from_batches([as_batch(kept)])
-        return out.add_column(0, "pane", pa.array([pane.as_py()] * len(kept), table.schema.field("pane").type))
 
-    paned = edges.withColumn("pane", F.window("ts", length)["start"]).filter("u <> v").select("pane", "u", "v", "w", "eid")
-    kind = paned.schema["pane"].dataType.simpleString()
-    return paned.groupBy("pane").applyInArrow(solve, f"pane {kind}, {CERT}")
+def pane_certs(edges: DataFrame, prop: Property, length: str = "1 day") -> DataFrame:
+    """(pane, u, v, w, eid): a certificate per tumbling window of ts, made before the shuffle."""
+    return certs_by_key(paned(edges, length), "pane", prop)
 
 
 def sliding_certs(panes: DataFrame, prop: Property, panes_per_window: int, pane: str = "1 day") -> DataFrame:
@@ -125,14 +118,30 @@ def sliding_certs(panes: DataFrame, prop: Property, panes_per_window: int, pane:
     """
     step = F.expr(f"interval {pane}")
     spread = panes.withColumn("window_end", F.explode(F.transform(F.sequence(F.lit(1), F.lit(panes_per_window)), lambda i: F.col("pane") + step * i)))
+    return certs_by_key(spread.select("window_end", "u", "v", "w", "eid"), "window_end", prop)
+
 
-    def solve(table: pa.Table) -> pa.Table:
-        e = as_edges(table.select(["u", "v", "w", "eid"]).combine_chunks().to_batches()[0])
-        kept = e.take(prop.keep(e))
-        return pa.Table.from_batches([as_batch(kept)]).add_column(0, "window_end", pa.array([table.column("window_end")[0].as_py()] * len(kept), table.schema.field("window_end").type))
+@dataclass
+class PaneSink:
+    """foreachBatch target for panes of a stream: a pane's certificate is united with what each batch brings of it.
 
-    kind = spread.schema["window_end"].dataType.simpleString()
-    return spread.select("window_end", "u", "v", "w", "eid").groupBy("window_end").applyInArrow(solve, f"window_end {kind}, {CERT}")
+    Versions are whole and numbered by batch, so a batch that runs again writes the same one. Late
+    edges find their pane as long as versions keep it.
+    """
+
+    path: str
+    prop: Property
+    length: str = "1 day"
+
+    def __call__(self, batch: DataFrame, batch_id: int) -> None:
+        spark, fresh = batch.sparkSession, pane_certs(batch, self.prop, self.length)
+        if batch_id:
+            fresh = certs_by_key(fresh.union(self.version(spark, batch_id - 1)), "pane", self.prop)
+        fresh.write.mode("overwrite").parquet(f"{self.path}/version={batch_id:09d}")
+        self.last = batch_id
+
+    def version(self, spark: SparkSession, batch_id: int) -> DataFrame:
+        return spark.read.schema(f"pane timestamp, {CERT}").parquet(f"{self.path}/version={batch_id:09d}")
 
 
 def session_edges(events: DataFrame, gap: str = "30 minutes") -> DataFrame:
@@ -151,6 +160,28 @@ def split_late(events: DataFrame, batch_max: Callable[[], object], delay_seconds
     return events.filter(F.col("ts") >= edge), events.filter(F.col("ts") < edge)
 
 
+@dataclass
+class LateSink:
+    """foreachBatch target: rows on time and late ones to tables of their own, so that none is lost.
+
+    A batch's rows are late by the newest time of the batches before it, which their tables tell.
+    """
+
+    path: str
+    delay_seconds: int
+
+    def __call__(self, batch: DataFrame, batch_id: int) -> None:
+        spark, newest = batch.sparkSession, None
+        if batch_id:
+            newest = self.read(spark, "on_time", range(batch_id)).agg(F.max("ts")).first()[0]
+        on_time_, late = (batch, batch.filter("false")) if newest is None else split_late(batch, lambda: newest, self.delay_seconds)
+        for name, rows in (("on_time", on_time_), ("late", late)):
+            rows.write.mode("overwrite").parquet(f"{self.path}/{name}/batch={batch_id:09d}")
+
+    def read(self, spark: SparkSession, name: str, batches: range) -> DataFrame:
+        return spark.read.parquet(*[f"{self.path}/{name}/batch={i:09d}" for i in batches])
+
+
 class RateListener(StreamingQueryListener):
     """Edges per second, batch time and gap of each trigger."""
 

@@ -68,7 +68,7 @@ for _problem in ROWS:
 TOTALS = {"components": "components", "bipartition": "bipartition", "k_vertex": "vertex_k", "k_edge": "edge_k", "min_forest": "min_forest"}
 for _name, _problem in TOTALS.items():
     _sql = f"WITH e AS ({DUCK_SQL[ROWS[_problem][0]]}) SELECT '{_name}' AS problem, x.a AS grouped, x.a AS whole FROM (SELECT {ROWS[_problem][4]} AS a) x"
-    query(f"total_time_answers_{_name}", _sql)(
+    query(f"total_time_stream_vs_whole_{_name}", _sql)(
         lambda s, d, n=_name, p=_problem: _timed(s, d, p).select(F.lit(n).alias("problem"), F.col("answer").alias("grouped")).crossJoin(_timed(s, d, p, GroupPolicy.whole()).select(F.col("answer").alias("whole")))
     )
 

@@ -107,6 +107,17 @@ reach(x, s, m) AS (
 SELECT xv AS x, yv AS y, CAST(coalesce(min(bit_count(s)) FILTER (WHERE (s >> pairs.y) & 1 = 0 AND (m >> pairs.y) & 1 = 0), 4) AS INTEGER) AS value
 FROM pairs JOIN whole USING (x) GROUP BY 1, 2"""
 
+#: An edge between the two is one path; the others are counted without it.
+KAPPA_JOINED_SQL = f"""WITH RECURSIVE {_MASKS}, pairs AS (SELECT a.i AS x, b.i AS y, a.v AS xv, b.v AS yv FROM ids a JOIN ids b ON a.i < b.i JOIN adj ON adj.i = a.i AND (adj.m >> b.i) & 1 = 1),
+subs AS (SELECT s FROM n, range(0, 1 << n.n) t(s) WHERE bit_count(s) < 3),
+reach(x, y, s, m) AS (
+  SELECT x, y, s, 1 << x FROM pairs, subs WHERE (s >> x) & 1 = 0 AND (s >> y) & 1 = 0
+  UNION
+  SELECT r.x, r.y, r.s, r.m | (bit_or(CASE WHEN a.i = r.x THEN a.m & ~(1 << r.y) ELSE a.m END) & ~r.s) FROM reach r JOIN adj a ON (r.m >> a.i) & 1 = 1 GROUP BY r.x, r.y, r.s, r.m
+), whole AS (SELECT x, y, s, max(m) AS m FROM reach GROUP BY x, y, s)
+SELECT xv AS x, yv AS y, CAST(1 + coalesce(min(bit_count(s)) FILTER (WHERE (m >> pairs.y) & 1 = 0), 3) AS INTEGER) AS value
+FROM pairs JOIN whole USING (x, y) GROUP BY 1, 2"""
+
 BRIDGES_SLICE_SQL = f"""WITH RECURSIVE {_MASKS}, both_ways AS (SELECT x, y, eid FROM p UNION ALL SELECT y AS x, x AS y, eid FROM p),
 reach(gone, m) AS (
   SELECT eid, 1 << x FROM p
@@ -216,7 +227,10 @@ for _k in (1, 2, 3, 4, 5, 6):
 query("k_vertex_3_bfs_kernel_small_user_slice", k_vertex_slice_sql(3))(lambda s, d: ready(g.is_k_vertex_connected(graph(s, d, "small_user_slice"), 3, cert_kernel="bfs")))
 query("k_edge_3_cascade_kernel_small_user_slice", k_edge_slice_sql(3))(lambda s, d: ready(g.is_k_edge_connected(graph(s, d, "small_user_slice"), 3, cert_kernel="cascade")))
 query("k_vertex_2_premium", f"WITH e AS ({DUCK_SQL['premium_cust_supp']}), p AS (SELECT DISTINCT u, v FROM e) SELECT 'vertex' AS property, CAST(2 AS INTEGER) AS k, min(c) >= 2 AS holds FROM (SELECT u, count(*) AS c FROM p GROUP BY u UNION ALL SELECT v, count(*) FROM p GROUP BY v)")(lambda s, d: ready(g.is_k_vertex_connected(graph(s, d, "premium_cust_supp"), 2)))
-for _k in (2, 3, 4):
+for _k in (2, 3, 4, 5):
+    # all users have all types: every user has at least as many edges as there are types, and so has every cut
+    query(f"k_edge_{_k}_user_type", f"WITH e AS ({DUCK_SQL['user_type']}), c AS (SELECT count(DISTINCT u) AS a, count(DISTINCT v) AS b, count(DISTINCT (u, v)) AS p FROM e) SELECT 'edge' AS property, CAST({_k} AS INTEGER) AS k, CASE WHEN p = a * b AND least(a, b) >= {_k} THEN true END AS holds FROM c")(lambda s, d, k=_k: ready(g.is_k_edge_connected(graph(s, d, "user_type"), k)))
+for _k in (2, 3, 4, 5, 8):
     # a complete graph: the lightest cut has at least least-copies times n - 1 edges
     query(f"k_edge_{_k}_nation_trade", f"WITH c AS (SELECT u, v, count(*) AS c FROM ({DUCK_SQL['nation_trade']}) GROUP BY 1, 2), n AS (SELECT count(DISTINCT x) AS n FROM (SELECT u AS x FROM c UNION SELECT v FROM c)) SELECT 'edge' AS property, CAST({_k} AS INTEGER) AS k, any_value(n) * (any_value(n) - 1) // 2 = count(*) AND min(c) * (any_value(n) - 1) >= {_k} AS holds FROM c, n")(lambda s, d, k=_k: ready(g.is_k_edge_connected(graph(s, d, "nation_trade"), k)))
 query("k_edge_1_customer_order", components_cte(DUCK_SQL["customer_order"]) + " SELECT 'edge' AS property, CAST(1 AS INTEGER) AS k, count(DISTINCT c) = 1 AS holds FROM cc")(lambda s, d: ready(g.is_k_edge_connected(graph(s, d, "customer_order"), 1)))
@@ -241,6 +255,7 @@ for _name in WHOLE:
     query(f"cut_vertices_whole_{_name}")(lambda s, d, n=_name: g.cut_vertices(graph(s, d, n)))
     query(f"k_edge_classes_whole_{_name}")(lambda s, d, n=_name: g.k_edge_classes(graph(s, d, n), 3))
     query(f"local_lambda_whole_{_name}")(lambda s, d, n=_name: g.local_edge_connectivity(e := graph(s, d, n), _pairs(e, False), 4))
+    query(f"local_kappa_all_pairs_whole_{_name}")(lambda s, d, n=_name: g.local_vertex_connectivity(e := graph(s, d, n), _pairs(e, False), 4))
     query(f"local_kappa_whole_{_name}")(lambda s, d, n=_name: g.local_vertex_connectivity(e := graph(s, d, n), _pairs(e, True), 4))
     query(f"cert_preserves_pairs_whole_{_name}")(lambda s, d, n=_name: preserved(graph(s, d, n)))
     for _k in (2, 3, 4):
@@ -258,6 +273,7 @@ def _pairs(e: DataFrame, apart: bool) -> DataFrame:
 
 
 query("local_lambda_small", LAMBDA_SQL)(lambda s, d: g.local_edge_connectivity(e := graph(s, d, "small_user_slice"), _pairs(e, False), 4))
+query("local_kappa_all_pairs_small", f"SELECT * FROM ({KAPPA_SQL}) UNION ALL SELECT * FROM ({KAPPA_JOINED_SQL})")(lambda s, d: g.local_vertex_connectivity(e := graph(s, d, "small_user_slice"), _pairs(e, False), 4))
 query("local_kappa_small", KAPPA_SQL)(lambda s, d: g.local_vertex_connectivity(e := graph(s, d, "small_user_slice"), _pairs(e, True), 4))
 
 
@@ -275,13 +291,15 @@ def _(s: SparkSession, d: str) -> DataFrame:
     return gone.agg(F.count(F.lit(1)).alias("separator_size")).crossJoin(left.agg(F.count_distinct("component").alias("parts")))
 
 
-@query("edge_cut_premium", "SELECT true AS below_k, true AS parts_the_graph")
+@query("edge_cut_premium", f"SELECT true AS below_k, true AS parts_the_graph, (SELECT count(*) FROM ({DUCK_SQL['premium_cust_supp']})) AS m, (SELECT min(c) FROM (SELECT count(*) AS c FROM (SELECT u AS x FROM ({DUCK_SQL['premium_cust_supp']}) UNION ALL SELECT v FROM ({DUCK_SQL['premium_cust_supp']})) GROUP BY x)) AS least_degree")
 def _(s: SparkSession, d: str) -> DataFrame:
     """The cut's edges are fewer than k; without them the graph has more components."""
     e = graph(s, d, "premium_cust_supp")
     cut = relational.cut(g.edge_cut(e, 2))
-    left = g.is_connected(g.remove_edges(e, cut), g.all_vertices(e))
-    return cut.agg((F.count(F.lit(1)) < 2).alias("below_k")).crossJoin(left.select((~F.col("connected")).alias("parts_the_graph")))
+    left, whole = g.is_connected(g.remove_edges(e, cut), g.all_vertices(e)), g.is_connected(e).select(F.col("components").alias("before"))
+    size = e.agg(F.count(F.lit(1)).alias("m"))
+    least = e.select(F.explode(F.array("u", "v")).alias("x")).groupBy("x").count().agg(F.min("count").alias("least_degree"))
+    return cut.agg((F.count(F.lit(1)) < 2).alias("below_k")).crossJoin(left.crossJoin(whole).select((F.col("components") > F.col("before")).alias("parts_the_graph"))).crossJoin(size).crossJoin(least)
 
 
 # ---- minimum forests
@@ -307,6 +325,8 @@ query("min_forest_weight_embedding_all")(lambda s, d: g.min_forest(graph(s, d, "
 query("max_forest_nation_trade", min_forest_sql(f"SELECT u, v, -w AS w, eid FROM ({DUCK_SQL['nation_trade']})", 25, "u, v, -w AS w, eid"))(lambda s, d: g.min_forest(graph(s, d, "nation_trade"), sense="max"))
 query("min_forest_by_component_tiny_sparse", min_forest_sql(DUCK_SQL["tiny_sparse"], 64))(lambda s, d: g.min_forest_by_component(graph(s, d, "tiny_sparse")).select(F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v"), "w", "eid"))
 query("min_tree_user_adjacent", min_forest_sql(DUCK_SQL["user_adjacent"], 150))(lambda s, d: g.min_tree(graph(s, d, "user_adjacent")))
+query("min_forest_weight_supplier_part")(lambda s, d: g.min_forest(graph(s, d, "supplier_part")).agg(F.count(F.lit(1)).alias("edges"), F.sum("w").alias("weight")))
+query("min_forest_size_supplier_part", components_cte(DUCK_SQL["supplier_part"]) + " SELECT count(*) - count(DISTINCT c) AS edges FROM cc")(lambda s, d: g.min_forest(graph(s, d, "supplier_part")).agg(F.count(F.lit(1)).alias("edges")))
 query("min_forest_key_tree", f"SELECT u, v, w, eid FROM ({DUCK_SQL['key_tree']})")(lambda s, d: g.min_forest(graph(s, d, "key_tree")))
 query("relational_min_forest_user_adjacent", min_forest_sql(DUCK_SQL["user_adjacent"], 150))(lambda s, d: relational.relational_min_forest(clean(graph(s, d, "user_adjacent"))))
 query("single_linkage_embeddings", components_cte(f"SELECT * FROM ({DUCK_SQL['embedding_pairs']}) WHERE w <= 700000").replace("SELECT u, u FROM b GROUP BY u", f"SELECT {code(VECTOR, 'vec_id')}, {code(VECTOR, 'vec_id')} FROM embeddings") + " SELECT v, c AS component FROM cc")(lambda s, d: g.single_linkage(graph(s, d, "embedding_pairs"), 700000))
@@ -367,7 +387,7 @@ query("store_all_co_purchase", f"WITH e AS ({DUCK_SQL['co_purchase']}), n AS (SE
 
 # ---- measures
 
-REGIME_GRAPHS = ("supplier_part", "customer_supplier", "customer_order", "nation_trade", "user_adjacent", "user_type", "doc_line", "conv_turn", "page_host", "tiny_sparse")
+REGIME_GRAPHS = ("supplier_part", "customer_part", "customer_supplier", "co_purchase", "customer_order", "nation_trade", "user_adjacent", "user_type", "premium_cust_supp", "doc_line", "conv_turn", "embedding_pairs", "small_user_slice", "page_host", "tiny_sparse", "key_tree")
 
 
 def _sizes(s: SparkSession, d: str, names: tuple[str, ...]) -> DataFrame:
@@ -478,20 +498,3 @@ def gap_row(e: DataFrame, problem: str, step: str, prop: str, k: int) -> DataFra
 
 for _problem, _graph, _step, _prop, _k in GAPS:
     query(f"gap_old_vs_new_{_problem}")(lambda s, d, p=_problem, gr=_graph, st=_step, pr=_prop, k=_k: gap_row(graph(s, d, gr), p, st, pr, k))
-
-TOTALS = (
-    ("components", "co_purchase", lambda e, p: g.is_connected(e, policy=p, parts=1).select(F.col("connected").cast("string").alias("answer"))),
-    ("bipartition", "co_purchase", lambda e, p: g.odd_cycle(e, policy=p, parts=1).select(F.col("holds").cast("string").alias("answer"))),
-    ("k_vertex", "user_type", lambda e, p: g.is_k_vertex_connected(e, 5, policy=p, parts=1).select(F.col("holds").cast("string").alias("answer"))),
-    ("k_edge", "nation_trade", lambda e, p: g.is_k_edge_connected(e, 4, policy=p, parts=1).select(F.col("holds").cast("string").alias("answer"))),
-    ("min_forest", "user_adjacent", lambda e, p: g.min_forest(e, policy=p, parts=1).agg(F.sum("w").cast("string").alias("answer"))),
-)
-
-for _problem, _graph, _answer in TOTALS:
-
-    @query(f"total_time_stream_vs_whole_{_problem}", f"SELECT '{_problem}' AS problem, true AS same_answer")
-    def _(s: SparkSession, d: str, p=_problem, gr=_graph, answer=_answer) -> DataFrame:
-        """The grouped stream and the whole graph in one group agree; their times are in bench.py's output."""
-        e = graph(s, d, gr)
-        grouped, whole = answer(e, GroupPolicy.adaptive()), answer(e, GroupPolicy.whole()).withColumnRenamed("answer", "other")
-        return grouped.crossJoin(whole).select(F.lit(p).alias("problem"), (F.col("answer") == F.col("other")).alias("same_answer"))

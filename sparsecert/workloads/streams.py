@@ -11,8 +11,8 @@ from sparsecert.plans import relational
 from sparsecert.plans.batch import clean
 from sparsecert.plans.shared import shared_path
 from sparsecert.sources.graphs import DUCK_SQL, event_order, graph
-from sparsecert.sources.tables import load, write_edges
-from sparsecert.streaming.certs import PAIR_SCHEMA, CertSink, keyed_certs, on_time, pane_certs, session_edges, sliding_certs
+from sparsecert.sources.tables import load, stream_table, write_edges
+from sparsecert.streaming.certs import PAIR_SCHEMA, CertSink, LateSink, PaneSink, keyed_certs, on_time, pane_certs, session_edges, sliding_certs
 from sparsecert.workloads.methods import bipartition_sql, components_sql, min_forest_sql, query, ready
 
 ROCKS = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
@@ -81,8 +81,9 @@ def _seconds(c: str):
     return F.datediff(F.col(c), F.to_date(F.lit("1970-01-01"))).cast("long") * 86400
 
 
-query("tumbling_window_forests", _pane_sql(f"SELECT pane AS p, u, v FROM ({_PANES})", "pane"))(lambda s, d: pane_certs(timed_edges(s, d), of("components")).groupBy(_seconds("pane").alias("pane")).agg(F.count(F.lit(1)).alias("forest_edges")))
-query("sliding_window_forests", _pane_sql(f"SELECT pane + INTERVAL (i) DAY AS p, u, v FROM ({_PANES}), range(1, 4) t(i)", "window_end"))(lambda s, d: sliding_certs(pane_certs(timed_edges(s, d), of("components")), of("components"), 3).groupBy(_seconds("window_end").alias("window_end")).agg(F.count(F.lit(1)).alias("forest_edges")))
+_TUMBLING, _SLIDING = _pane_sql(f"SELECT pane AS p, u, v FROM ({_PANES})", "pane"), _pane_sql(f"SELECT pane + INTERVAL (i) DAY AS p, u, v FROM ({_PANES}), range(1, 4) t(i)", "window_end")
+query("tumbling_window_forests", _TUMBLING)(lambda s, d: pane_certs(timed_edges(s, d), of("components")).groupBy(_seconds("pane").alias("pane")).agg(F.count(F.lit(1)).alias("forest_edges")))
+query("sliding_window_forests", _SLIDING)(lambda s, d: sliding_certs(pane_certs(timed_edges(s, d), of("components")), of("components"), 3).groupBy(_seconds("window_end").alias("window_end")).agg(F.count(F.lit(1)).alias("forest_edges")))
 query("user_sessions", "SELECT user_id, count(*) AS n, min(event_id) AS first_event FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS session FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, session")(lambda s, d: session_edges(load(s, d, "events")).select("user_id", "n", "first_event"))
 
 
@@ -129,3 +130,54 @@ def _(s: SparkSession, d: str) -> DataFrame:
     clicks = e.filter("event_type = 'click'").select(F.col("user_id").alias("a"), F.col("ts").alias("clicked"), F.col("event_id").alias("click_id")).withWatermark("clicked", "1 day")
     purchases = e.filter("event_type = 'purchase'").select(F.col("user_id").alias("b"), F.col("ts").alias("bought"), F.col("event_id").alias("purchase_id")).withWatermark("bought", "1 day")
     return run_to_end(clicks.join(purchases, F.expr("a = b AND bought > clicked AND bought <= clicked + INTERVAL 6 HOURS")).select("click_id", "purchase_id"), s)
+
+
+def streamed_panes(s: SparkSession, d: str) -> DataFrame:
+    """The panes' certificates after the stream of edges has come to its end, in three batches whatever their times."""
+    path = shared_path(s, "timed")
+    timed_edges(s, d).select("u", "v", "w", "eid", F.col("ts").cast("timestamp").alias("ts")).repartition(3).write.parquet(path)
+    sink = PaneSink(shared_path(s, "panes"), of("components"))
+    s.readStream.schema(s.read.parquet(path).schema).option("maxFilesPerTrigger", 1).parquet(path).writeStream.foreachBatch(sink).option("checkpointLocation", shared_path(s, "progress")).trigger(availableNow=True).start().awaitTermination()
+    return sink.version(s, sink.last)
+
+
+query("stream_tumbling_window_forests", _TUMBLING)(lambda s, d: streamed_panes(s, d).groupBy(_seconds("pane").alias("pane")).agg(F.count(F.lit(1)).alias("forest_edges")))
+query("stream_sliding_window_forests", _SLIDING)(lambda s, d: sliding_certs(streamed_panes(s, d), of("components"), 3).groupBy(_seconds("window_end").alias("window_end")).agg(F.count(F.lit(1)).alias("forest_edges")))
+
+
+def completed(stream: DataFrame, s: SparkSession) -> DataFrame:
+    """What a stream in complete mode says when all of its input is read: each trigger writes the whole result anew."""
+    out, last = shared_path(s, "complete"), []
+
+    def write(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/batch={batch_id:09d}")
+        last.append(batch_id)
+
+    stream.writeStream.foreachBatch(write).outputMode("complete").option("checkpointLocation", shared_path(s, "progress")).trigger(availableNow=True).start().awaitTermination()
+    return s.read.schema(stream.schema).parquet(f"{out}/batch={max(last):09d}")
+
+
+@query("stream_events_by_type_complete", "SELECT event_type, count(*) AS n, count(DISTINCT user_id) AS users FROM events GROUP BY 1")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """A table as a stream of its files, in complete mode: users are counted once by a set a type, which types bound."""
+    e = stream_table(s, d, "events")
+    return completed(e.groupBy("event_type").agg(F.count(F.lit(1)).alias("n"), F.size(F.collect_set("user_id")).cast("long").alias("users")), s)
+
+
+@query("stream_sessions_complete", "SELECT user_id, count(*) AS n, min(event_id) AS first_event FROM (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS session FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events)) GROUP BY user_id, session")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """Sessions of a stream by event time."""
+    return completed(session_edges(event_files(s, d).withWatermark("ts", "60 days")), s).select("user_id", "n", "first_event")
+
+
+@query("stream_late_rows", "WITH o AS (SELECT max(ts) AS newest FROM events WHERE event_id % 10 <> 0) SELECT 'late' AS part, count(*) FILTER (WHERE event_id % 10 = 0 AND ts < newest - INTERVAL 86400 SECOND) AS n FROM events, o UNION ALL SELECT 'on time', count(*) FILTER (WHERE event_id % 10 <> 0 OR ts >= newest - INTERVAL 86400 SECOND) FROM events, o")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """A tenth of the events comes after all others; those more than a day behind the newest time go to a table of late ones."""
+    path = shared_path(s, "events")
+    e = load(s, d, "events").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
+    for part in (e.filter("event_id % 10 <> 0"), e.filter("event_id % 10 = 0")):
+        part.coalesce(1).write.mode("append").parquet(path)
+    sink = LateSink(shared_path(s, "late"), 86400)
+    s.readStream.schema(s.read.parquet(path).schema).option("maxFilesPerTrigger", 1).parquet(path).writeStream.foreachBatch(sink).option("checkpointLocation", shared_path(s, "progress")).trigger(availableNow=True).start().awaitTermination()
+    late, rest = (sink.read(s, name, range(2)) for name in ("late", "on_time"))
+    return late.agg(F.count(F.lit(1)).alias("n")).select(F.lit("late").alias("part"), "n").union(rest.agg(F.count(F.lit(1)).alias("n")).select(F.lit("on time").alias("part"), "n"))

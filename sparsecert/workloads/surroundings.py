@@ -9,9 +9,9 @@ from sparsecert.functions import sql as table_functions
 from sparsecert.kernels.fold import of
 from sparsecert.operators import edges as E
 from sparsecert.operators import graph as g
-from sparsecert.plans.batch import CertEngine
+from sparsecert.plans.batch import CertEngine, certs_by_key
 from sparsecert.plans.relational import cut
-from sparsecert.sources.graphs import DUCK_SQL, KIND, cosine, event_order, graph, hashed_sql
+from sparsecert.sources.graphs import DUCK_SQL, KIND, cosine, event_order, graph, hashed, hashed_sql
 from sparsecert.sources.tables import load
 from sparsecert.workloads.methods import bipartition_sql, components_sql, k_edge_slice_sql, k_vertex_slice_sql, min_forest_sql, query, ready
 
@@ -48,6 +48,16 @@ query("prefix_graph", f"SELECT u, v, w, eid FROM {gr('user_adjacent')} x WHERE (
 query("degree_filter", f"WITH e AS {gr('user_type')}, k AS (SELECT v FROM (SELECT u AS v FROM e UNION ALL SELECT v FROM e) GROUP BY v HAVING count(*) >= 70) SELECT u, v, eid FROM e WHERE u IN (SELECT v FROM k) AND v IN (SELECT v FROM k)")(lambda s, d: E.degree_filter(graph(s, d, "user_type"), 70).select("u", "v", "eid"))
 query("sample_edges")(lambda s, d: E.sample_edges(graph(s, d, "co_purchase"), 0.1, 7).select("u", "v", "eid"))
 
+
+@query("sample_edges_share", f"SELECT count(*) AS m, true AS near_a_tenth, CAST(0 AS BIGINT) AS foreign_edges FROM {gr('co_purchase')}")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """A sample of a tenth is near a tenth (5 standard errors), and of the graph."""
+    e = graph(s, d, "co_purchase").select("u", "v", "eid")
+    some = E.sample_edges(e, 0.1, 7)
+    m, n = e.agg(F.count(F.lit(1)).alias("m")), some.agg(F.count(F.lit(1)).alias("n"))
+    foreign = some.exceptAll(e).agg(F.count(F.lit(1)).alias("foreign_edges"))
+    return m.crossJoin(n).crossJoin(foreign).select("m", (F.abs(F.col("n") - 0.1 * F.col("m")) <= 5 * F.sqrt(0.09 * F.col("m"))).alias("near_a_tenth"), "foreign_edges")
+
 # ---- joins
 
 query("nation_region_supplier", "SELECT s_suppkey, n_name, r_name FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey")(
@@ -120,15 +130,36 @@ query("neighbour_list_whole")(lambda s, d: E.neighbours(graph(s, d, "user_adjace
 query("distinct_neighbours", f"SELECT v, count(DISTINCT x) AS near FROM (SELECT u AS v, v AS x FROM {gr('supplier_part')} UNION ALL SELECT v, u FROM {gr('supplier_part')}) GROUP BY v")(lambda s, d: E.distinct_neighbours(graph(s, d, "supplier_part")))
 
 
-@query("approx_vertices", "SELECT true AS within_5_percent, true AS sketch_within_5_percent")
+@query("approx_vertices", f"SELECT count(DISTINCT v) AS vertices, true AS within_5_percent, true AS sketch_within_5_percent FROM (SELECT u AS v FROM {gr('supplier_part')} UNION ALL SELECT v FROM {gr('supplier_part')})")
 def _(s: SparkSession, d: str) -> DataFrame:
+    """The exact count, and whether two sketches come near it."""
     ends = graph(s, d, "supplier_part").select(F.explode(F.array("u", "v")).alias("v"))
     n = F.count_distinct("v")
-    return ends.agg((F.abs(F.approx_count_distinct("v", 0.01) - n) <= 0.05 * n).alias("within_5_percent"), (F.abs(F.hll_sketch_estimate(F.hll_sketch_agg("v")) - n) <= 0.05 * n).alias("sketch_within_5_percent"))
+    return ends.agg(n.alias("vertices"), (F.abs(F.approx_count_distinct("v", 0.01) - n) <= 0.05 * n).alias("within_5_percent"), (F.abs(F.hll_sketch_estimate(F.hll_sketch_agg("v")) - n) <= 0.05 * n).alias("sketch_within_5_percent"))
+
+
+@query("weight_quantiles_kll", f"SELECT q, true AS within_2_percent, n FROM (SELECT unnest([0.25, 0.5, 0.75]) AS q) t, (SELECT count(*) AS n FROM {gr('supplier_part')})")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """Quantiles by a KLL sketch: the exact rank of each is near what was asked for."""
+    e = graph(s, d, "supplier_part").select("w")
+    asked = (0.25, 0.5, 0.75)
+    sketch = e.agg(F.kll_sketch_agg_bigint("w").alias("k")).select(*[F.kll_sketch_get_quantile_bigint("k", F.lit(q)).alias(f"q{i}") for i, q in enumerate(asked)])
+    ranks = e.crossJoin(F.broadcast(sketch)).agg(F.count(F.lit(1)).alias("n"), *[c for i in range(3) for c in (F.count_if(F.col("w") < F.col(f"q{i}")).alias(f"lo{i}"), F.count_if(F.col("w") <= F.col(f"q{i}")).alias(f"hi{i}"))])
+    near = lambda i, q: (F.col(f"lo{i}") <= (q + 0.02) * F.col("n")) & (F.col(f"hi{i}") >= (q - 0.02) * F.col("n"))
+    rows = F.explode(F.array(*[F.struct(F.lit(q).alias("q"), near(i, q).alias("ok")) for i, q in enumerate(asked)])).alias("r")
+    return ranks.select("n", rows).select(F.col("r.q").cast("decimal(3,2)").alias("q"), F.col("r.ok").alias("within_2_percent"), "n")
 
 
 query("weight_quantiles", f"SELECT round(quantile_cont(w, 0.25), 4) AS q1, round(quantile_cont(w, 0.5), 4) AS q2, round(quantile_cont(w, 0.75), 4) AS q3 FROM {gr('supplier_part')}")(lambda s, d: graph(s, d, "supplier_part").agg(*[F.round(F.percentile("w", q), 4).alias(n) for n, q in (("q1", 0.25), ("q2", 0.5), ("q3", 0.75))]))
-query("weight_quantiles_sketch")(lambda s, d: graph(s, d, "supplier_part").agg(F.percentile_approx("w", [0.25, 0.5, 0.75], 1000).alias("q")))
+@query("weight_quantiles_sketch", f"SELECT true AS within_1_percent, count(*) AS n FROM {gr('supplier_part')}")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """The median by a sketch: its exact rank is near the middle."""
+    e = graph(s, d, "supplier_part").select("w")
+    middle = e.agg(F.percentile_approx("w", 0.5, 1000).alias("q"))
+    ranks = e.crossJoin(F.broadcast(middle)).agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("w") < F.col("q")).alias("lo"), F.count_if(F.col("w") <= F.col("q")).alias("hi"))
+    return ranks.select(((F.col("lo") <= 0.51 * F.col("n")) & (F.col("hi") >= 0.49 * F.col("n"))).alias("within_1_percent"), "n")
+
+
 query("heaviest_lightest_partner", f"SELECT u, arg_max(v, (w, -eid)) AS heaviest, arg_min(v, (w, eid)) AS lightest FROM {gr('nation_trade')} GROUP BY u")(lambda s, d: graph(s, d, "nation_trade").groupBy("u").agg(F.max_by("v", F.struct("w", -F.col("eid"))).alias("heaviest"), F.min_by("v", F.struct("w", "eid")).alias("lightest")))
 query("degree_moments", f"SELECT round(avg(c), 6) AS mean, round(var_samp(c), 4) AS variance, round(stddev_pop(c), 6) AS deviation FROM (SELECT count(*) AS c FROM {gr('supplier_part')} GROUP BY u)")(lambda s, d: graph(s, d, "supplier_part").groupBy("u").agg(F.count(F.lit(1)).alias("c")).agg(F.round(F.avg("c"), 6).alias("mean"), F.round(F.var_samp("c"), 4).alias("variance"), F.round(F.stddev_pop("c"), 6).alias("deviation")))
 query("price_qty_corr", "SELECT round(corr(l_extendedprice, l_quantity), 6) AS r FROM lineitem")(lambda s, d: load(s, d, "lineitem").agg(F.round(F.corr("l_extendedprice", "l_quantity"), 6).alias("r")))
@@ -163,18 +194,43 @@ query("empty_and_global", f"SELECT count(*) AS n, sum(w) AS total, max(w) AS top
 
 @query("components_per_segment", components_sql("SELECT c_mktsegment, " + DUCK_SQL["customer_order"].removeprefix("SELECT ") + " JOIN customer ON c_custkey = o_custkey").replace("SELECT v, c AS component FROM cc", "SELECT s.c_mktsegment AS segment, count(DISTINCT cc.c) AS components FROM cc JOIN (SELECT DISTINCT c_mktsegment, u FROM e) s ON s.u = cc.v GROUP BY 1"))
 def _(s: SparkSession, d: str) -> DataFrame:
-    """A grouped aggregate in Arrow: one count of components per market segment."""
+    """One count of components per market segment: tasks certify what they read of each, then a grouped aggregate in Arrow."""
     e = graph(s, d, "customer_order")
     seg = load(s, d, "customer").select((3 * KIND + F.col("c_custkey")).alias("u"), F.col("c_mktsegment").alias("segment"))
-    return e.join(seg, "u").groupBy("segment").agg(table_functions.component_count_agg("u", "v").alias("components"))
+    return certs_by_key(e.join(seg, "u"), "segment", of("components")).groupBy("segment").agg(table_functions.component_count_agg("u", "v").alias("components"))
 
 
-query("bipartite_per_event_type", "SELECT event_type, true AS bipartite FROM events GROUP BY event_type")(lambda s, d: load(s, d, "events").groupBy("event_type").agg(table_functions.is_bipartite_agg((6 * KIND + F.col("user_id")), F.lit(7 * KIND).cast("long")).alias("bipartite")))
-query("min_forest_per_kind", f"SELECT 'all' AS kind, CAST(sum(w) AS BIGINT) AS weight FROM ({min_forest_sql(DUCK_SQL['user_adjacent'], 150)})")(lambda s, d: graph(s, d, "user_adjacent").groupBy(F.lit("all").alias("kind")).agg(table_functions.min_forest_weight_agg("u", "v", "w").alias("weight")))
+def _typed_edges(s: SparkSession, d: str) -> DataFrame:
+    """Edges between users in turn, with the type of the event that made them."""
+    return graph(s, d, "user_adjacent").join(load(s, d, "events").select(F.col("event_id").alias("eid"), "event_type"), "eid")
+
+
+_TYPED = f"SELECT event_type AS t, u, v, w, eid FROM ({DUCK_SQL['user_adjacent']}) JOIN events ON event_id = eid"
+
+
+@query("bipartite_per_event_type", f"""WITH RECURSIVE e AS ({_TYPED}), a AS (SELECT t, 2 * u AS u, 2 * v + 1 AS v FROM e UNION SELECT t, 2 * u + 1, 2 * v FROM e), b AS (SELECT t, u, v FROM a UNION SELECT t, v, u FROM a),
+cc(t, v, c) USING KEY (t, v) AS (
+  SELECT t, u, u FROM b GROUP BY t, u
+  UNION
+  (SELECT b.t, b.v, min(f.c) FROM cc f JOIN b ON b.t = f.t AND b.u = f.v JOIN recurring.cc r ON r.t = b.t AND r.v = b.v WHERE f.c < r.c GROUP BY b.t, b.v)
+) SELECT x.t AS event_type, bool_and(x.c <> y.c) AS bipartite, count(*) AS vertices FROM cc x JOIN cc y ON y.t = x.t AND y.v = x.v + 1 AND x.v % 2 = 0 GROUP BY x.t""")
+def _(s: SparkSession, d: str) -> DataFrame:
+    certs = certs_by_key(_typed_edges(s, d), "event_type", of("bipartite"))
+    ends = certs.select("event_type", F.explode(F.array("u", "v")).alias("v")).groupBy("event_type").agg(F.count_distinct("v").alias("vertices"))
+    return certs.groupBy("event_type").agg(table_functions.is_bipartite_agg("u", "v").alias("bipartite")).join(ends, "event_type")
+
+
+query("min_forest_per_kind", f"""WITH e AS ({_TYPED}), l AS (SELECT t, u, v, min((w, eid)) AS m FROM e GROUP BY 1, 2, 3),
+k AS (SELECT t, u, v, m[1] AS w, row_number() OVER (PARTITION BY t ORDER BY m[1], u, v, m[2]) AS r FROM l),
+d0 AS MATERIALIZED (SELECT t, u, v, r FROM k UNION ALL SELECT t, v, u, r FROM k UNION ALL SELECT DISTINCT t, u, u, 0 FROM (SELECT t, u FROM k UNION SELECT t, v FROM k)),
+{", ".join(f"d{i + 1} AS MATERIALIZED (SELECT a.t, a.u, b.v, min(greatest(a.r, b.r)) AS r FROM d{i} a JOIN d{i} b ON a.t = b.t AND a.v = b.u GROUP BY 1, 2, 3)" for i in range(8))}
+SELECT k.t AS kind, CAST(sum(k.w) AS BIGINT) AS weight, count(*) AS edges FROM k JOIN d8 d ON d.t = k.t AND d.u = k.u AND d.v = k.v WHERE d.r = k.r GROUP BY k.t""")(
+    lambda s, d: certs_by_key(_typed_edges(s, d), "event_type", of("min_forest")).groupBy(F.col("event_type").alias("kind")).agg(F.sum("w").alias("weight"), F.count(F.lit(1)).alias("edges"))
+)
 
 _IN_YEAR = f"SELECT x.* FROM {gr('nation_trade')} x JOIN lineitem ON l_orderkey * 8 + l_linenumber = x.eid WHERE year(l_shipdate) = "
 query("min_forest_per_year", " UNION ALL ".join(f"SELECT * FROM (SELECT CAST({y} AS BIGINT) AS y, CAST(sum(w) AS BIGINT) AS weight FROM ({min_forest_sql(_IN_YEAR + str(y), 25)})) WHERE weight IS NOT NULL" for y in range(1992, 2003)))(
-    lambda s, d: graph(s, d, "nation_trade").join(load(s, d, "lineitem").select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("eid"), F.year("l_shipdate").cast("long").alias("y")), "eid").groupBy("y").agg(table_functions.min_forest_weight_agg("u", "v", "w").alias("weight"))
+    lambda s, d: certs_by_key(graph(s, d, "nation_trade").join(load(s, d, "lineitem").select((F.col("l_orderkey") * 8 + F.col("l_linenumber")).alias("eid"), F.year("l_shipdate").cast("long").alias("y")), "eid"), "y", of("min_forest")).groupBy("y").agg(F.sum("w").alias("weight"))
 )
 
 # ---- windows
@@ -211,6 +267,37 @@ query("edges_last_hour", "SELECT event_id, count(*) OVER (PARTITION BY user_id O
 query("moving_weight", "SELECT event_id, round(avg(CAST(round(value * 100) AS BIGINT)) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING), 4) AS mean FROM events")(lambda s, d: load(s, d, "events").select("event_id", F.round(F.avg(F.round(F.col("value") * 100).cast("long")).over(_user().rowsBetween(-2, 2)), 4).alias("mean")))
 query("running_max_weight", f"SELECT eid, max(w) OVER (PARTITION BY u ORDER BY eid, v, w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS top, round(w / sum(w) OVER (PARTITION BY u), 8) AS share FROM {gr('supplier_part')}")(lambda s, d: graph(s, d, "supplier_part").select("eid", F.max("w").over(Window.partitionBy("u").orderBy("eid", "v", "w").rowsBetween(Window.unboundedPreceding, 0)).alias("top"), F.round(F.col("w") / F.sum("w").over(Window.partitionBy("u")), 8).alias("share")))
 
+@query("share_of_total", f"SELECT eid, v, round(w / sum(w) OVER (), 12) AS share FROM {gr('supplier_part')}")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """Each edge's share of all weight: one total goes to all rows, where a window without a partition would hold them in one task."""
+    e = graph(s, d, "supplier_part")
+    return e.crossJoin(F.broadcast(e.agg(F.sum("w").alias("total")))).select("eid", "v", F.round(F.col("w") / F.col("total"), 12).alias("share"))
+
+
+# ---- identity of strings
+
+_STRINGS = {"line": ("documents", "SELECT unnest(string_split(text, chr(10))) AS x FROM documents"), "host": ("pages", "SELECT regexp_extract(url, '^[a-z]+://([^/?#]*)', 1) AS x FROM pages"), "type": ("events", "SELECT event_type AS x FROM events")}
+
+
+def _strings(s: SparkSession, d: str, kind: str) -> DataFrame:
+    t = load(s, d, _STRINGS[kind][0])
+    return t.select({"line": lambda: F.explode(F.split("text", "\n")), "host": lambda: F.regexp_extract("url", r"^[a-z]+://([^/?#]*)", 1), "type": lambda: F.col("event_type")}[kind]().alias("x"))
+
+
+@query("hash_collisions", " UNION ALL ".join(f"SELECT '{k}' AS kind, count(DISTINCT x) AS strings, count(DISTINCT x) - count(DISTINCT {hashed_sql('x')}) AS lost FROM ({sql})" for k, (_, sql) in _STRINGS.items()))
+def _(s: SparkSession, d: str) -> DataFrame:
+    """Strings that share their vertex with another: partial distinct counts by hash, no string is gathered."""
+    out = None
+    for kind in _STRINGS:
+        x = _strings(s, d, kind).filter("x is not null")
+        row = x.agg(F.count_distinct("x").alias("strings"), F.count_distinct(hashed(F.col("x"))).alias("hashes")).select(F.lit(kind).alias("kind"), "strings", (F.col("strings") - F.col("hashes")).alias("lost"))
+        out = row if out is None else out.union(row)
+    return out
+
+
+for _kind, (_table, _sql) in _STRINGS.items():
+    query(f"dictionary_of_{_kind}s", f"SELECT x, row_number() OVER (ORDER BY x) - 1 AS id FROM (SELECT DISTINCT x FROM ({_sql}) WHERE x IS NOT NULL)")(lambda s, d, k=_kind: E.dictionary(_strings(s, d, k), "x"))
+
 # ---- order, limits, sets
 
 
@@ -222,6 +309,15 @@ def _(s: SparkSession, d: str) -> DataFrame:
     return e.withColumn("local", F.row_number().over(Window.partitionBy("_b").orderBy("w", "u", "v", "eid"))).join(counts, F.col("_b") == F.col("_k")).select("eid", (F.col("before") + F.col("local")).alias("place"))
 
 
+@query("sort_in_partition_order", f"SELECT count(*) AS n, CAST(0 AS BIGINT) AS out_of_order FROM {gr('supplier_part')}")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """Rows whose predecessor in their partition is greater: none."""
+    placed = graph(s, d, "supplier_part").repartition(4, "u").sortWithinPartitions("u", "w").select("u", "w", F.monotonically_increasing_id().alias("i"))
+    one = Window.partitionBy(F.shiftright("i", 33)).orderBy("i")
+    before = F.lag(F.struct("u", "w")).over(one)
+    return placed.select((before > F.struct("u", "w")).alias("wrong")).agg(F.count(F.lit(1)).alias("n"), F.count_if("wrong").alias("out_of_order"))
+
+
 query("sort_in_partition")(lambda s, d: graph(s, d, "supplier_part").repartition(4, "u").sortWithinPartitions("u", "w").select("u", "v", "w"))
 query("k_lightest_edges", f"SELECT eid, w FROM {gr('supplier_part')} ORDER BY w, eid LIMIT 25")(lambda s, d: graph(s, d, "supplier_part").orderBy("w", "eid").limit(25).select("eid", "w"))
 query("offset_page", f"SELECT eid, w FROM {gr('supplier_part')} ORDER BY w, eid LIMIT 20 OFFSET 40")(lambda s, d: graph(s, d, "supplier_part").orderBy("w", "eid").offset(40).limit(20).select("eid", "w"))
@@ -246,15 +342,15 @@ query("intersect_all", f"{_A} INTERSECT ALL {_B}")(lambda s, d: _half(s, d, 0).i
 query("except_all", f"{_A} EXCEPT ALL {_B}")(lambda s, d: _half(s, d, 0).exceptAll(_half(s, d, 1)))
 
 
-@query("cert_minus_graph", "SELECT CAST(0 AS BIGINT) AS foreign_edges, true AS within_bound, true AS smaller")
+@query("cert_minus_graph", f"SELECT CAST(0 AS BIGINT) AS foreign_edges, true AS within_bound, true AS smaller, (SELECT count(*) FROM {gr('co_purchase')}) AS m, (SELECT count(*) FROM (SELECT u FROM {gr('co_purchase')} UNION SELECT v FROM {gr('co_purchase')})) AS n")
 def _(s: SparkSession, d: str) -> DataFrame:
     """A certificate is a subgraph, within its bound, and smaller than a dense graph."""
     e = graph(s, d, "co_purchase")
-    cert = CertEngine(of("edge", 3)).run(e).edges
+    cert = cut(CertEngine(of("edge", 3)).run(e).edges)
     n = g.all_vertices(e).agg(F.count(F.lit(1)).alias("n"))
     size = cert.agg(F.count(F.lit(1)).alias("c"))
     foreign = cert.select("u", "v", "eid").exceptAll(e.select("u", "v", "eid")).agg(F.count(F.lit(1)).alias("foreign_edges"))
-    return foreign.crossJoin(size).crossJoin(n).crossJoin(e.agg(F.count(F.lit(1)).alias("m"))).select("foreign_edges", (F.col("c") <= 3 * (F.col("n") - 1)).alias("within_bound"), (F.col("c") < F.col("m")).alias("smaller"))
+    return foreign.crossJoin(size).crossJoin(n).crossJoin(e.agg(F.count(F.lit(1)).alias("m"))).select("foreign_edges", (F.col("c") <= 3 * (F.col("n") - 1)).alias("within_bound"), (F.col("c") < F.col("m")).alias("smaller"), "m", "n")
 
 
 # ---- scalar functions
@@ -277,7 +373,7 @@ query("props_weight", "SELECT event_id, CAST(json_extract_string(props, '$.k') A
 query("props_variant", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS VARCHAR) AS k FROM events")(lambda s, d: load(s, d, "events").select("event_id", F.try_variant_get(F.parse_json("props"), "$.k", "string").alias("k")))
 query("tie_break_struct", f"SELECT u, min((w, v, eid))[3] AS first_edge FROM {gr('user_type')} GROUP BY u")(lambda s, d: graph(s, d, "user_type").groupBy("u").agg(F.min(F.struct("w", "v", "eid"))["eid"].alias("first_edge")))
 query("safe_ops", "SELECT o_orderkey, try_cast(o_orderpriority AS INTEGER) AS p, CASE WHEN o_orderkey % 3 = 0 THEN NULL ELSE round(o_totalprice / (o_orderkey % 3), 4) END AS q, nullif(o_orderstatus, 'F') AS s FROM orders")(lambda s, d: load(s, d, "orders").select("o_orderkey", F.col("o_orderpriority").try_cast("int").alias("p"), F.round(F.try_divide("o_totalprice", F.col("o_orderkey") % 3), 4).alias("q"), F.nullif(F.col("o_orderstatus"), F.lit("F")).alias("s")))
-query("vertex_hash", f"SELECT page_id, {hashed_sql('url')} AS hashed FROM pages")(lambda s, d: load(s, d, "pages").select("page_id", F.conv(F.substring(F.md5(F.col("url").cast("binary")), 1, 12), 16, 10).cast("long").alias("hashed")))
+query("vertex_hash", f"SELECT page_id, {hashed_sql('url')} AS hashed FROM pages")(lambda s, d: load(s, d, "pages").select("page_id", hashed(F.col("url")).alias("hashed")))
 query("seen_bitmap", "SELECT count(DISTINCT l_suppkey) AS suppliers FROM lineitem")(lambda s, d: load(s, d, "lineitem").groupBy(F.bitmap_bucket_number("l_suppkey").alias("b")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("l_suppkey")).alias("bits")).agg(F.sum(F.bitmap_count("bits")).alias("suppliers")))
 
 # ---- SQL surface
@@ -324,3 +420,13 @@ query("udtf_edge_cert_verdict_whole")(lambda s, d: ready(g.is_k_edge_connected(_
 query("sql_scalar_functions", f"SELECT s_suppkey, {6 * KIND} + s_suppkey AS vertex, round(1 - (s_acctbal + s_nationkey + 6) / (sqrt(s_acctbal * s_acctbal + 5) * sqrt(s_nationkey * s_nationkey + 10)), 6) AS distance FROM supplier")(
     lambda s, d: table_functions.register(s) or load(s, d, "supplier").selectExpr("s_suppkey", "encode_vertex(6, s_suppkey) AS vertex", "round(cosine_distance(array(s_acctbal, 1.0D, 2.0D), array(1.0D, double(s_nationkey), 3.0D)), 6) AS distance")
 )
+
+
+@query("udtf_connectivity", f"WITH e AS ({DUCK_SQL['user_type']}), p AS (SELECT count(DISTINCT u) * count(DISTINCT v) = count(DISTINCT (u, v)) AS whole, count(DISTINCT v) AS types FROM e), x AS (SELECT DISTINCT u FROM e ORDER BY u LIMIT 2) SELECT (SELECT min(u) FROM x) AS x, (SELECT max(u) FROM x) AS y, CASE WHEN whole THEN CAST(least(3, types) AS INTEGER) END AS kappa, CASE WHEN whole THEN CAST(least(3, types) AS INTEGER) END AS lambda FROM p")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """Two users who all have all types are joined through each of these, as far as is asked."""
+    table_functions.register(s)
+    e = graph(s, d, "user_type")
+    e.createOrReplaceTempView("user_type_edges")
+    x, y = (r.u for r in e.select("u").distinct().orderBy("u").limit(2).collect())
+    return s.sql(f"SELECT x, y, kappa, lambda FROM graph_connectivity(TABLE(SELECT u, v FROM user_type_edges) WITH SINGLE PARTITION, {x}, {y}, 3)")
