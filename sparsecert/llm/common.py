@@ -9,7 +9,6 @@ from collections.abc import Iterator
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -55,7 +54,3 @@ def slices(batches: Iterator[pa.RecordBatch], column: str, rows: int = 2048, mos
         if batch.num_rows > start:
             yield batch.slice(start)
 
-
-def text_bytes(column: str = "text"):
-    """The text as UTF-8 bytes, null as empty."""
-    return F.coalesce(F.col(column), F.lit("")).cast("binary")

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sparsecert.llm.bitfilter import bitmap, flagged, without
-from sparsecert.llm.common import load, slices, staged, text_bytes
+from sparsecert.llm.common import load, slices, staged
 
 #: The characters that equality ignores, and the prime that hashes are taken modulo.
 BLANKS = b" \t\n\x0b\x0c\r"
@@ -63,14 +63,15 @@ def normalised(data: bytes) -> bytes:
     return data.translate(None, BLANKS)
 
 
-def _fingerprints(seed: int, longest: int):
+def _fingerprints(seed: int, longest: int, text: str):
     """Adds _f1, _f2, _len, _sha; they are null for texts of more bytes than longest."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hasher = Fingerprint(seed)
-        for batch in slices(batches, "_bytes"):
+        for batch in slices(batches, text):
             low, high, length, sha = [], [], [], []
-            for data in batch.column("_bytes").to_pylist():
+            for value in batch.column(text).cast(pa.binary()):  # one copy at a time
+                data = value.as_py() or b""
                 if len(data) > longest:
                     for column in (low, high, length, sha):
                         column.append(None)
@@ -81,10 +82,7 @@ def _fingerprints(seed: int, longest: int):
                 high.append(c << 31 | d)
                 length.append(len(data))
                 sha.append(hashlib.sha256(data).hexdigest())
-            rest = [c for c in batch.schema.names if c != "_bytes"]
-            yield pa.RecordBatch.from_arrays(
-                [*[batch.column(c) for c in rest], pa.array(low, pa.int64()), pa.array(high, pa.int64()), pa.array(length, pa.int64()), pa.array(sha, pa.string())], names=[*rest, "_f1", "_f2", "_len", "_sha"]
-            )
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(low, pa.int64()), pa.array(high, pa.int64()), pa.array(length, pa.int64()), pa.array(sha, pa.string())], names=[*batch.schema.names, "_f1", "_f2", "_len", "_sha"])
 
     return run
 
@@ -132,7 +130,7 @@ def with_fingerprints(df: DataFrame, text: str, seed: int, longest: int = LONG,
     apart; a text's fingerprint is the same either way.
     """
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema.fields) + ", _f1 bigint, _f2 bigint, _len bigint, _sha string"
-    work = staged(df.withColumn("_bytes", text_bytes(text)).mapInArrow(_fingerprints(seed, longest), schema), "prints")
+    work = staged(df.mapInArrow(_fingerprints(seed, longest, text), schema), "prints")
     long = work.filter("_sha is null")
     if long.isEmpty():
         return work

@@ -199,17 +199,19 @@ def shingle_weights(texts: DataFrame) -> np.ndarray:
     return 1.0 + DAMPING * np.log((1.0 + n) / (1.0 + np.minimum(df, n))) / math.log(1.0 + n)
 
 
-def _signed(weights, names: list[str]):
+def _signed(weights, text: str):
+    """Adds _bands: the keys of a text's bands, null for blank texts."""
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler, sampler, idf = Shingler(), Sampler(), weights.value
-        for batch in slices(batches, "_bytes", most_bytes=SLICE_BYTES):
-            owner, shingles, counts = shingler.of(batch.column("_bytes").to_pylist())
+        for batch in slices(batches, text, most_bytes=SLICE_BYTES):
+            owner, shingles, counts = shingler.of([t or b"" for t in batch.column(text).cast(pa.binary()).to_pylist()])
             keys: list[list[int] | None] = [None] * batch.num_rows
             if len(owner):
                 starts = np.flatnonzero(np.concatenate([[True], owner[1:] != owner[:-1]]))
                 for i, row in zip(owner[starts].tolist(), band_keys(sampler.signatures(starts, shingles, levels(shingles, counts, idf))).tolist(), strict=True):
                     keys[i] = row
-            yield pa.RecordBatch.from_arrays([*[batch.column(c) for c in names], pa.array(keys, pa.list_(pa.int64()))], names=[*names, "_bands"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(keys, pa.list_(pa.int64()))], names=[*batch.schema.names, "_bands"])
 
     return run
 
@@ -334,10 +336,9 @@ def near_classes(docs: DataFrame, text: str, threshold: float = THRESHOLD) -> tu
     spark = docs.sparkSession
     body = F.coalesce(F.col(text), F.lit("")).cast("binary")
     weights = spark.sparkContext.broadcast(shingle_weights(docs.select(body.alias("_bytes"))))
-    keyed = docs.withColumn("_row", F.monotonically_increasing_id()).withColumn("_sha", F.unhex(F.sha2(body, 256))).withColumn("_bytes", body)
-    names = [c for c in keyed.columns if c != "_bytes"]
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in keyed.schema.fields if f.name != "_bytes"), "_bands array<bigint>"])
-    work = staged(keyed.mapInArrow(_signed(weights, names), schema), "signed")
+    keyed = docs.withColumn("_row", F.monotonically_increasing_id()).withColumn("_sha", F.unhex(F.sha2(body, 256)))
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in keyed.schema.fields), "_bands array<bigint>"])
+    work = staged(keyed.mapInArrow(_signed(weights, text), schema), "signed")
 
     # equal texts are one class: its least row stands for it; blank texts have no shingle and no class
     solid = work.select("_row", "_sha", F.col("_bands").isNotNull().alias("solid")).filter("solid")
