@@ -102,7 +102,7 @@ def bipartition(edges: DataFrame, vertices: DataFrame | None = None, per_compone
 
         def kernel(e: Edges) -> pa.RecordBatch:
             ids, a, b = compact(e.u, e.v)
-            comp, side = sides(len(ids), a, b)
+            comp, side = sides(len(ids), a[a != b], b[a != b])  # a loop only marks its vertex
             odd = side == 2
             bad = odd if per_component else np.full(len(ids), bool(odd.any()))
             return pa.RecordBatch.from_arrays([column(ids), column(ids[comp]), pa.array(side.astype(np.int8), mask=bad), pa.array(~bad)], names=["v", "component", "side", "bipartite"])
