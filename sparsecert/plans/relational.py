@@ -15,7 +15,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from sparsecert.kernels.forest import forest_of
+from sparsecert.kernels.forest import forest_of, labels_of
 
 
 def ensure_checkpoints(spark: SparkSession) -> None:
@@ -88,6 +88,30 @@ def relational_components(edges: DataFrame, max_rounds: int = 60, thin: bool = T
     return ends.join(found, "v", "left").select("v", F.coalesce("component", "v").alias("component"))
 
 
+def linked_components(edges: DataFrame, most_edges: int = 4_000_000) -> DataFrame:
+    """(v, component) for the ends of edges between unlike ends, each in a component of two or more.
+
+    Tasks keep forests of what they read; if these are most_edges at most they meet in one task, which
+    needs no rounds, else they are joined by rounds.
+    """
+    thin = cut(thinned(edges))
+    if thin.count() > most_edges:
+        return relational_components(thin, thin=False)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        u, v = np.empty(0, np.int64), np.empty(0, np.int64)
+        for batch in batches:
+            u, v = np.concatenate([u, batch.column(0).to_numpy()]), np.concatenate([v, batch.column(1).to_numpy()])
+            if len(u) >= 1 << 20:
+                keep = forest_of(u, v)
+                u, v = u[keep], v[keep]
+        ids, label = labels_of(u, v)
+        for i in range(0, len(ids), 1 << 16):
+            yield pa.RecordBatch.from_arrays([pa.array(ids[i : i + (1 << 16)]), pa.array(label[i : i + (1 << 16)])], names=["v", "component"])
+
+    return thin.repartition(1).mapInArrow(run, "v bigint, component bigint")
+
+
 def relational_sides(edges: DataFrame) -> DataFrame:
     """(v, component, odd, side) for each end of an edge, from the components of the double cover; side 0 holds a component's least vertex."""
     arms = edges.select(F.explode(F.array(F.struct((2 * F.col("u")).alias("u"), (2 * F.col("v") + 1).alias("v")), F.struct((2 * F.col("u") + 1).alias("u"), (2 * F.col("v")).alias("v")))).alias("e")).select("e.u", "e.v")
