@@ -49,8 +49,9 @@ def unit_rows(column: pa.Array, dim: int, single: bool) -> np.ndarray:
     """Vectors of equal length as unit rows of doubles. column: their bytes, of single or double components."""
     flat = np.frombuffer(b"".join(column.to_pylist()), dtype=np.float32 if single else np.float64).astype(np.float64)
     x = flat.reshape(len(column), dim)
-    x = x / np.abs(x).max(axis=1, keepdims=True)
-    return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
+    if not single:  # squares of singles fit doubles
+        x = x / np.abs(x).max(axis=1, keepdims=True)
+    return x / np.sqrt(np.einsum("nd,nd->n", x, x))[:, None]
 
 
 def _packed(single: bool):
@@ -60,15 +61,16 @@ def _packed(single: bool):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             column = batch.column("vector")
-            offsets, held = column.offsets.to_numpy(), column.values
-            holes = held.is_null().to_numpy(zero_copy_only=False) if held.null_count else None
-            flat, out = held.fill_null(0).to_numpy(zero_copy_only=False).astype(kind, copy=False), []
-            there = column.is_valid().to_numpy(zero_copy_only=False)
-            for i in range(len(column)):
-                x = flat[offsets[i] : offsets[i + 1]]
-                fine = there[i] and len(x) and not (holes is not None and holes[offsets[i] : offsets[i + 1]].any()) and np.isfinite(x).all() and x.any()
-                out.append(x.tobytes() if fine else None)
-            yield pa.RecordBatch.from_arrays([batch.column("row"), batch.column("vec_id"), pa.array(out, pa.binary())], names=["row", "vec_id", "bytes"])
+            offsets, held = column.offsets.to_numpy().astype(np.int64), column.values
+            flat = np.ascontiguousarray(held.fill_null(0).to_numpy(zero_copy_only=False), dtype=kind)
+            bad = ~np.isfinite(flat)
+            if held.null_count:
+                bad |= held.is_null().to_numpy(zero_copy_only=False)
+            among = lambda mark, at=offsets: np.diff(np.concatenate([[0], np.cumsum(mark)])[at])
+            fine = column.is_valid().to_numpy(zero_copy_only=False) & (among(bad) == 0) & (among(flat != 0) > 0)
+            mask = pa.py_buffer(np.packbits(fine, bitorder="little").tobytes())
+            out = pa.Array.from_buffers(pa.large_binary(), len(column), [mask, pa.py_buffer(offsets * flat.itemsize), pa.py_buffer(flat)])
+            yield pa.RecordBatch.from_arrays([batch.column("row"), batch.column("vec_id"), out.cast(pa.binary())], names=["row", "vec_id", "bytes"])
 
     return run
 
@@ -103,9 +105,10 @@ def _keys(passes: range, seed: int, single: bool):
     return run
 
 
-def _linked(x: np.ndarray, y: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray]:
-    """Pairs that reach the threshold in double precision; products of single precision leave out those far below it."""
-    i, j = np.nonzero(x.astype(np.float32) @ y.astype(np.float32).T >= np.float32(threshold - 1e-3))
+def _linked(x: np.ndarray, y: np.ndarray, threshold: float, rough: tuple[np.ndarray, np.ndarray] | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs that reach the threshold in double precision; products of single precision (of `rough`) leave out those far below it."""
+    a, b = rough or (x.astype(np.float32), y.astype(np.float32))
+    i, j = np.divmod(np.flatnonzero((a @ b.T).ravel() >= np.float32(threshold - 1e-3)), len(y))
     sure = np.concatenate([np.einsum("nd,nd->n", x[i[k : k + 65536]], y[j[k : k + 65536]]) for k in range(0, len(i), 65536)]) >= threshold if len(i) else np.empty(0, bool)
     return i[sure], j[sure]
 
@@ -185,10 +188,10 @@ def pairs_within(rows: pa.RecordBatch, fresh: int, window: int, threshold: float
     for dim in np.unique(dims):
         at = np.flatnonzero(dims == dim)
         x = unit_rows(rows.column("bytes").take(pa.array(at)), int(dim), single)
-        first = int(np.searchsorted(at, fresh))
-        for lo in range(first, len(at), 256):
-            hi, back = min(lo + 256, len(at)), max(0, lo - window)
-            i, j = _linked(x[lo:hi], x[back:hi], threshold)
+        first, rough = int(np.searchsorted(at, fresh)), x.astype(np.float32)
+        for lo in range(first, len(at), 128):
+            hi, back = min(lo + 128, len(at)), max(0, lo - window)
+            i, j = _linked(x[lo:hi], x[back:hi], threshold, (rough[lo:hi], rough[back:hi]))
             i, j = i + lo, j + back
             keep = j < i
             us.append(ids[at[i[keep]]])
