@@ -59,32 +59,68 @@ def _narrow(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "source", word_count(F.col("text")).alias("size"), F.xxhash64(F.col("text")).alias("_tie"), "_row")
 
 
-def _mixed(narrow: DataFrame, weights: tuple[int, ...], share: float, most_epochs: int) -> DataFrame:
-    keyed = narrow.withColumn("_source", F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n"))).withColumn("_key", F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")).cast("binary")))
+#: The order within a source: by a hash of the id, then so that only rows alike in id and text are level.
+ORDER = ["_key", "doc_id", "size", "_tie"]
+
+
+def _source(source: Column) -> Column:
+    return F.coalesce(F.concat(F.lit("s"), source), F.lit("n"))
+
+
+def _key(doc_id: Column) -> Column:
+    return F.md5(F.coalesce(doc_id.cast("string"), F.lit("null")).cast("binary"))
+
+
+def _placed(narrow: DataFrame, weights: tuple[int, ...], share: float, most_epochs: int) -> DataFrame:
+    """narrow with _before, its source's size and target, the whole epochs, and the rest of the budget in words."""
+    keyed = narrow.withColumn("_source", _source(F.col("source"))).withColumn("_key", _key(F.col("doc_id")))
     targets = source_targets(keyed.groupBy("source").agg(F.sum("size").alias("source_size")), weights, share, most_epochs)
-    targets = targets.select(F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n")).alias("_of"), "source_size", "target")
-    placed = prefix_before(keyed, "_source", ["_key", "doc_id", "size", "_tie", "_row"], F.col("size"), "_before", narrow.count())
-    joined = placed.join(targets, F.col("_source") == F.col("_of"))
+    targets = targets.select(_source(F.col("source")).alias("_of"), "source_size", "target")
+    placed = prefix_before(keyed, "_source", [*ORDER, "_row"], F.col("size"), "_before", narrow.count())
     goal = F.floor(F.col("target") + 0.5)
     epochs = F.when(F.col("source_size") > 0, F.floor(goal / F.greatest(F.col("source_size"), F.lit(1)))).otherwise(F.lit(0))
-    rest = goal - epochs * F.col("source_size")
-    part = F.greatest(F.lit(0), F.least(F.col("size"), rest - F.col("_before")))
-    taken = (epochs * F.col("size") + part).cast("long")
-    return joined.select("doc_id", "size", "source_size", "target", taken.alias("taken"), "_row")
+    joined = placed.join(targets, F.col("_source") == F.col("_of")).withColumn("_epochs", epochs)
+    return joined.withColumn("_rest", goal - F.col("_epochs") * F.col("source_size"))
+
+
+def _mixed(narrow: DataFrame, weights: tuple[int, ...], share: float, most_epochs: int) -> DataFrame:
+    part = F.greatest(F.lit(0), F.least(F.col("size"), F.col("_rest") - F.col("_before")))
+    taken = (F.col("_epochs") * F.col("size") + part).cast("long")
+    return _placed(narrow, weights, share, most_epochs).select("doc_id", "size", "source_size", "target", taken.alias("taken"), "_row")
+
+
+def _cuts(narrow: DataFrame, weights: tuple[int, ...], share: float, most_epochs: int) -> DataFrame:
+    """A row per source: its whole epochs, where in the order its budget ends, and how many words the
+    document there gives. Rows that are level there, copies of one document, give as many each."""
+    placed = staged(_placed(narrow, weights, share, most_epochs), "placed")
+    at = placed.filter((F.col("_before") < F.col("_rest")) & (F.col("_rest") <= F.col("_before") + F.col("size")))
+    at = at.select(F.col("_source").alias("_cut_source"), F.struct(*ORDER).alias("_cut"))
+    level = placed.join(at, (F.col("_source") == F.col("_cut_source")) & F.struct(*ORDER).eqNullSafe(F.col("_cut")))
+    level = level.groupBy("_source").agg(F.first("_cut").alias("_cut"), F.floor((F.first("_rest") - F.min("_before")) / F.count(F.lit(1))).alias("_share"))
+    sources = placed.groupBy("_source").agg(F.first("_epochs").alias("_epochs"))
+    return sources.join(level, "_source", "left").select(F.col("_source").alias("_mix_source"), F.struct("_epochs", "_cut", "_share").alias("_mix_cut"))
 
 
 def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = 1.5, most_epochs: int = 2) -> DataFrame:
     """The mix itself, with docs' columns: a row per document and epoch, the last one cut to its words.
 
-    A document whose last epoch is taken in part appears with its first words, parted by a space.
+    A document whose last epoch is taken in part appears with its first words, parted by a space. The
+    texts are neither copied nor shuffled: a row per source tells where the order is cut. Where
+    copies of one document (same id, same text) stand at the cut, they give the same number of words
+    each, which may leave fewer words of the budget than there are copies.
     """
-    work = staged(docs.withColumn("_row", F.monotonically_increasing_id()), "mixdocs")
-    decided = _mixed(staged(_narrow(work), "mix"), weights, share, most_epochs).select(F.col("_row").alias("_r"), F.col("size").alias("_size"), F.col("taken").alias("_taken")).filter("_taken > 0")
-    joined = work.join(decided, F.col("_row") == F.col("_r"))
-    copies = joined.withColumn("_epoch", F.explode(F.sequence(F.lit(0), F.floor((F.col("_taken") - 1) / F.col("_size")).cast("int"))))
-    words = F.least(F.col("_size"), F.col("_taken") - F.col("_epoch") * F.col("_size")).cast("int")
-    cut = F.array_join(F.slice(F.filter(F.split(F.col("text"), r"[\x20\x09-\x0D]+"), lambda w: w != ""), F.lit(1), words), " ")
-    return copies.withColumn("text", F.when(words < F.col("_size"), cut).otherwise(F.col("text"))).select(*docs.columns)
+    size = word_count(F.col("text"))
+    cuts = staged(_cuts(staged(_narrow(docs.withColumn("_row", F.monotonically_increasing_id())), "mix"), weights, share, most_epochs), "cuts")
+    place = F.struct(_key(F.col("doc_id")).alias("_key"), F.col("doc_id"), size.alias("size"), F.xxhash64(F.col("text")).alias("_tie"))
+    work = docs.select("*", place.alias("_mix_place"), _source(F.col("source")).alias("_mix_of"))
+    joined = work.join(cuts, F.col("_mix_of") == F.col("_mix_source"))
+    words, cut = F.col("_mix_place.size"), F.col("_mix_cut._cut")
+    part = F.when(cut.isNull(), F.lit(0)).when(F.col("_mix_place") < cut, words).when(F.col("_mix_place").eqNullSafe(cut), F.col("_mix_cut._share")).otherwise(F.lit(0))
+    taken = joined.withColumn("_mix_taken", F.col("_mix_cut._epochs") * words + part).filter("_mix_taken > 0")
+    copies = taken.withColumn("_mix_epoch", F.explode(F.sequence(F.lit(0), F.floor((F.col("_mix_taken") - 1) / words).cast("int"))))
+    left = F.least(words, F.col("_mix_taken") - F.col("_mix_epoch") * words).cast("int")
+    first = F.array_join(F.slice(F.filter(F.split(F.col("text"), r"[\x20\x09-\x0D]+"), lambda w: w != ""), F.lit(1), left), " ")
+    return copies.withColumn("text", F.when(left < words, first).otherwise(F.col("text"))).select(*docs.columns)
 
 
 def op7_hash_prefix_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from sparsecert.llm.bitfilter import bitmap, flagged, without
 from sparsecert.llm.common import load, slices, staged
-from sparsecert.plans.relational import relational_components
+from sparsecert.plans.relational import linked_components
 
 WORDS = 5
 THRESHOLD = 0.8
@@ -35,6 +35,7 @@ DAMPING = 0.5
 SLOTS = 4096
 HUBS = 16
 CHUNK = 128
+MEET_BYTES = 4 << 20  # of texts on each side of a later comparison's task
 SLICE_BYTES = 1 << 20
 
 BLANK = np.zeros(256, dtype=bool)
@@ -286,7 +287,7 @@ def candidate_groups(firsts: DataFrame) -> DataFrame:
     bands = staged(firsts.select("rep", F.posexplode("keys").alias("band", "key")), "bands")
     buckets = bands.groupBy("band", "key").agg(F.min("rep").alias("head"), F.count(F.lit(1)).alias("n")).filter("n > 1").select("band", "key", "head")
     edges = bands.join(buckets, ["band", "key"]).filter("rep <> head").select(F.col("rep").alias("u"), F.col("head").alias("v"))
-    groups = staged(relational_components(staged(edges.distinct(), "pairs")).select(F.col("v").alias("rep"), F.col("component").alias("sg")), "groups")
+    groups = staged(linked_components(edges).select(F.col("v").alias("rep"), F.col("component").alias("sg")), "groups")
     return staged(groups.join(groups.groupBy("sg").agg(F.count(F.lit(1)).alias("members")), "sg"), "sized")
 
 
@@ -309,21 +310,21 @@ def text_links(texts: DataFrame, weights, threshold: float) -> DataFrame:
     met = met.withColumn("chunk", F.explode(F.when(F.col("hub"), F.sequence(F.lit(0), F.col("chunks") - 1)).otherwise(F.array("chunk"))))
     first = staged(small.union(_compare(met, ["sg", "chunk"], weights, threshold)), "links")
 
-    joined = relational_components(first).select(F.col("v").alias("_v"), F.col("component").alias("_c"))
-    placed = staged(large.select("rep", "sg").join(joined, F.col("rep") == F.col("_v"), "left").select("rep", "sg", F.coalesce("_c", "rep").alias("_c")), "placed")
-    parts = placed.groupBy("sg", "_c").agg(F.count(F.lit(1)).alias("n"))
-    main = parts.groupBy("sg").agg(F.max(F.struct("n", "_c"))["_c"].alias("_main"), F.sum("n").alias("_all"), F.max("n").alias("_most")).filter("_all > _most")
-    split = staged(main.withColumn("blocks", F.ceil((F.col("_all") - F.col("_most")) / CHUNK).cast("int")), "split")
+    joined = linked_components(first).select(F.col("v").alias("_v"), F.col("component").alias("_c"))
+    placed = staged(large.select("rep", "sg", F.octet_length("_bytes").cast("long").alias("size")).join(joined, F.col("rep") == F.col("_v"), "left").select("rep", "sg", "size", F.coalesce("_c", "rep").alias("_c")), "placed")
+    parts = placed.groupBy("sg", "_c").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("bytes"))
+    main = parts.groupBy("sg").agg(F.max(F.struct("n", "_c", "bytes")).alias("_main"), F.sum("n").alias("_all"), F.sum("bytes").alias("_bytes")).filter("_all > _main.n")
+    split = staged(main.select("sg", F.col("_main._c").alias("_main"), F.ceil((F.col("_bytes") - F.col("_main.bytes")) / MEET_BYTES).cast("int").alias("blocks")), "split")
     if split.isEmpty():
         return first
-    state = staged(placed.join(split, "sg").select("rep", "_c", "_main", "blocks"), "state")
+    state = staged(placed.join(split, "sg").select("rep", "_c", "_main", F.greatest("blocks", F.lit(1)).alias("blocks"), "size"), "state")
     rows = large.drop("component", "chunk", "chunks").join(state, "rep").withColumn("component", F.col("_c"))
     # texts that share no band with one outside can't meet it, so they aren't dealt again
     touched = rows.filter("_c <> _main").select("sg", F.posexplode("keys").alias("band", "key")).distinct()
-    near = rows.select("sg", "rep", F.posexplode("keys").alias("band", "key")).join(touched, ["sg", "band", "key"], "left_semi")
-    near = staged(near.select("sg", "rep").distinct(), "near")
-    dealt = near.join(near.groupBy("sg").agg(F.ceil(F.count(F.lit(1)) / CHUNK).cast("int").alias("chunks")), "sg").select("rep", "chunks")
-    rows = rows.join(dealt, "rep").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int"))
+    near = rows.select("sg", "rep", "size", F.posexplode("keys").alias("band", "key")).join(touched, ["sg", "band", "key"], "left_semi")
+    near = staged(near.select("sg", "rep", "size").distinct(), "near")
+    dealt = near.join(near.groupBy("sg").agg(F.greatest(F.ceil(F.sum("size") / MEET_BYTES), F.lit(1)).cast("int").alias("chunks")), "sg").select("rep", "chunks")
+    rows = rows.drop("size").join(dealt, "rep").withColumn("chunk", F.pmod(F.xxhash64("rep"), F.col("chunks")).cast("int"))
     outside = rows.filter("_c <> _main").withColumn("block", F.pmod(F.xxhash64("rep", F.lit(3)), F.col("blocks")).cast("int")).withColumn("hub", F.lit(True))
     outside = outside.withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
     every = rows.withColumn("hub", F.lit(False)).withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
@@ -350,9 +351,9 @@ def near_classes(docs: DataFrame, text: str, threshold: float = THRESHOLD) -> tu
     groups = candidate_groups(firsts)
     texts = flagged(work.select(F.col("_row").alias("rep"), F.col("_bands").alias("keys"), body.alias("_bytes")), "rep", bitmap(groups, "rep")).filter("_maybe").drop("_maybe")
     texts = staged(texts.join(groups, "rep"), "texts")
-    found = relational_components(staged(text_links(texts, weights, threshold), "found"))
+    found = linked_components(staged(text_links(texts, weights, threshold), "found"))
     whole = staged(found.select("v", "component").union(copies.select(F.col("_row").alias("v"), F.col("rep").alias("component"))), "joined")
-    final = relational_components(whole.select(F.col("v").alias("u"), F.col("component").alias("v")))
+    final = linked_components(whole.select(F.col("v").alias("u"), F.col("component").alias("v")))
     return work, staged(final.select(F.col("v").alias("_row"), "component"), "classes")
 
 

@@ -70,6 +70,21 @@ def test_mixed_documents_repeat_and_cut(spark):
     assert "Python" not in mixed_documents(docs)._jdf.queryExecution().toString()
 
 
+def test_mixed_documents_agree_with_the_mix(spark):
+    """Words by id are those that mix takes, null ids and sources included; copies at the cut share what is left."""
+    rows = [(i if i % 13 else None, " ".join([f"w{i}"] * (1 + i * 7 % 50)), "en", f"s{i % 4}" if i % 9 else None, 1) for i in range(200)]
+    docs = documents(spark, rows)
+    want, got = {}, {}
+    for r in dicts(mix(docs)):
+        want[r["doc_id"]] = want.get(r["doc_id"], 0) + r["taken"]
+    for r in dicts(mixed_documents(docs)):
+        got[r["doc_id"]] = got.get(r["doc_id"], 0) + len(r["text"].split())
+    assert got == {i: n for i, n in want.items() if n}
+    copies = documents(spark, [(7, "a b c d e", "en", "s", 1)] * 30 + [(8, "f g h", "en", "t", 1)] * 3)
+    words = sum(len(r["text"].split()) for r in dicts(mixed_documents(copies)))
+    assert 0 <= 1.5 * (150 + 9) - words <= 33
+
+
 def test_no_text_at_all(spark):
     got = dicts(mix(documents(spark, [(1, None, None, None, None), (2, "", None, "a", 0)])))
     assert [r["taken"] for r in got] == [0, 0]

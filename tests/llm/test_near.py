@@ -76,6 +76,52 @@ def test_a_group_larger_than_a_task(spark, monkeypatch):
     assert {got[100 + i] for i in range(20)} == {100}
 
 
+def test_texts_outside_the_main_component_meet_all_in_blocks(spark, monkeypatch):
+    """With blocks of a few texts; links are those of all pairs whose weighted similarity reaches the threshold."""
+    monkeypatch.setattr(neardup, "CHUNK", 8)
+    monkeypatch.setattr(neardup, "HUBS", 2)
+    monkeypatch.setattr(neardup, "MEET_BYTES", 4000)
+    base = prose(1, 200)
+    families = [base, " ".join([*base.split()[:150], *prose(2, 50).split()]), " ".join([*base.split()[:140], *prose(3, 60).split()])]
+    rows = [(100 * f + i, edited(t, i), "en", "a", 1) for f, t in enumerate(families) for i in range(25)]
+    got = {r["doc_id"]: r["class_id"] for r in dicts(near_duplicates(documents(spark, rows)))}
+    assert [{got[100 * f + i] for i in range(25)} for f in range(3)] == [{0}, {100}, {200}]
+
+
+def test_links_at_the_threshold_against_all_pairs(spark):
+    """Classes are the components of all pairs of 0.8 or more under the operator's own weights, found by brute force."""
+    from sparsecert.llm.neardup import GRID, levels, shingle_weights, similarity
+
+    draw = np.random.default_rng(17)
+    rows = []
+    for f in range(30):
+        words = prose(900 + f, 120).split()
+        rows.append((100 * f, " ".join(words), "en", "a", 1))
+        for i in range(1, 5):  # each copy has more places changed: similarities from 0.95 down to 0.5
+            other = list(words)
+            for at in draw.choice(120, int(draw.integers(1, 7)), replace=False):
+                other[at] = f"new{f}x{i}x{at}"
+            rows.append((100 * f + i, " ".join(other), "en", "a", 1))
+    docs = documents(spark, rows)
+    got = {r["doc_id"]: r["class_id"] for r in dicts(near_duplicates(docs))}
+    weights = shingle_weights(docs.select(neardup.F.col("text").cast("binary").alias("_bytes")))
+    owner, shingles, counts = Shingler().of([t.encode() for _, t, *_ in rows])
+    sets = [(shingles[owner == n], GRID ** levels(shingles[owner == n], counts[owner == n], weights).astype(float)) for n in range(len(rows))]
+    label = list(range(len(rows)))
+    found = lost = 0
+    for a, b in itertools.combinations(range(len(rows)), 2):
+        if similarity(sets[a], sets[b]) >= neardup.THRESHOLD:
+            found += 1
+            lost += got[rows[a][0]] != got[rows[b][0]]
+            old, new = max(label[a], label[b]), min(label[a], label[b])
+            label = [new if x == old else x for x in label]
+    assert found > 40
+    assert lost <= 0.02 * found
+    for a, b in itertools.combinations(range(len(rows)), 2):
+        if got[rows[a][0]] == got[rows[b][0]]:
+            assert label[a] == label[b], "no class joins what no chain of links joins"
+
+
 def test_odd_documents(spark):
     got = dicts(near_duplicates(documents(spark)))
     assert len(got) == len(DOCUMENTS)
