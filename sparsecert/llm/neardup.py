@@ -49,33 +49,50 @@ def _mixed(h: np.ndarray) -> np.ndarray:
     return h ^ (h >> np.uint64(32))
 
 
+PRIME = 0x100000001B3
+STRETCH = 1 << 18  # bytes whose signs are hashed at a time: some 70 bytes of arrays a sign
+
+
 class Shingler:
-    """Distinct shingles of a list of texts, by whole-array steps."""
+    """Distinct shingles of a list of texts, by whole-array steps over stretches of bounded size."""
 
     def __init__(self, words: int = WORDS):
         self.words = words
-        self.powers = np.multiply.accumulate(np.full(64, 0x100000001B3, dtype=np.uint64))
+        self.powers = np.multiply.accumulate(np.full(STRETCH, PRIME, dtype=np.uint64))
         self.steps = _mixed(np.arange(1, words + 1, dtype=np.uint64) * _MIX) | np.uint64(1)
 
-    def _power(self, most: int) -> np.ndarray:
-        if most > len(self.powers):
-            self.powers = np.multiply.accumulate(np.full(2 * most, 0x100000001B3, dtype=np.uint64))
-        return self.powers
+    def word_hashes(self, data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Hash and first place of each word. A word that a stretch's end cuts is hashed in parts, each shifted by the length before it."""
+        hashes, places, open_ = [np.empty(0, np.uint64)], [np.empty(0, np.int64)], 0
+        for low in range(0, len(data), STRETCH):
+            part = data[low : low + STRETCH]
+            solid = ~BLANK[part]
+            edge = np.diff(np.concatenate([[False], solid, [False]]).view(np.int8))
+            starts, ends = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+            if not len(starts):
+                open_ = 0
+                continue
+            at = np.flatnonzero(solid)
+            lengths = ends - starts
+            first = np.concatenate([[0], np.cumsum(lengths)[:-1]])
+            place = np.arange(len(at)) - np.repeat(first, lengths)
+            h = np.add.reduceat((part[at].astype(np.uint64) + np.uint64(1)) * self.powers[place], first)
+            goes_on = int(bool(open_) and starts[0] == 0)
+            if goes_on:
+                begun = next(x for x in reversed(hashes) if len(x))
+                begun[-1] = np.uint64((int(begun[-1]) + int(h[0]) * pow(PRIME, open_, 1 << 64)) & ((1 << 64) - 1))
+            open_ = (int(lengths[-1]) + (open_ if goes_on and len(starts) == 1 else 0)) if ends[-1] == len(part) else 0
+            hashes.append(h[goes_on:])
+            places.append(starts[goes_on:] + low)
+        return _mixed(np.concatenate(hashes)), np.concatenate(places)
 
     def of(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(text's place, shingle, count), by text, then shingle. Texts of fewer words have one shingle, blank ones none."""
         data = np.frombuffer(b" ".join([*texts, b""]), dtype=np.uint8)
         none = np.empty(0, dtype=np.int64), np.empty(0, dtype=np.uint64), np.empty(0, dtype=np.int64)
-        solid = ~BLANK[data]
-        edge = np.diff(np.concatenate([[False], solid, [False]]).view(np.int8))
-        starts, ends = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+        word, starts = self.word_hashes(data)
         if not len(starts):
             return none
-        at = np.flatnonzero(solid)
-        lengths = ends - starts
-        first = np.concatenate([[0], np.cumsum(lengths)[:-1]])
-        place = np.arange(len(at)) - np.repeat(first, lengths)
-        word = _mixed(np.add.reduceat((data[at].astype(np.uint64) + np.uint64(1)) * self._power(int(lengths.max()))[place], first))
         borders = np.cumsum([len(t) + 1 for t in texts])
         owner = np.searchsorted(borders, starts, side="right")
         n = self.words

@@ -31,6 +31,23 @@ def test_shingles_are_those_of_words():
     assert Shingler().of([b"q q q q q q q"])[2].tolist() == [3]
 
 
+def test_words_cut_by_a_stretch_have_one_hash(monkeypatch):
+    """With stretches of a few signs every text is cut; hashes and places are those of whole words."""
+    draw = np.random.default_rng(6)
+    monkeypatch.setattr(neardup, "STRETCH", 1 << 12)
+    whole = Shingler()
+    for size in (1, 2, 3, 7, 64):
+        monkeypatch.setattr(neardup, "STRETCH", size)
+        part = Shingler()
+        for _ in range(40):
+            data = np.frombuffer(bytes(draw.choice(list(b"ab \n"), int(draw.integers(0, 90)))), dtype=np.uint8)
+            monkeypatch.setattr(neardup, "STRETCH", 1 << 12)
+            want = whole.word_hashes(data)
+            monkeypatch.setattr(neardup, "STRETCH", size)
+            got = part.word_hashes(data)
+            assert all(np.array_equal(x, y) for x, y in zip(got, want, strict=True))
+
+
 def test_signatures_agree_as_often_as_weighted_sets_do():
     draw = np.random.default_rng(0)
     sampler = Sampler(hashes=512)
