@@ -5,7 +5,6 @@ All of them are strong certificates of their property: they may be united, and c
 
 from __future__ import annotations
 
-from collections import deque
 from collections.abc import Callable
 from dataclasses import dataclass
 from heapq import heapify, heappop, heappush
@@ -133,26 +132,49 @@ def max_back(e: Edges, k: int) -> np.ndarray:
     return np.flatnonzero((index >= 1) & (index <= k))
 
 
+WIDE = 64  # vertices of a layer from which whole arrays are faster than a loop
+
+
+def breadth_forest(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """Places of a breadth-first forest's edges, from the least vertex of each component, layer by layer.
+
+    A vertex is reached from the first of the layer before it, in that layer's order, so this is what
+    scanning the vertices one by one in that order gives.
+    """
+    ends, others, place = np.concatenate([a, b]), np.concatenate([b, a]), np.tile(np.arange(len(a)), 2)
+    order = np.argsort(ends, kind="stable")
+    others, place = others[order], place[order]
+    offsets = np.concatenate([[0], np.cumsum(np.bincount(ends, minlength=n))])
+    seen, got = np.zeros(n, dtype=bool), []
+    layer = np.unique(forest(n, a, b)[1])
+    seen[layer] = True
+    while len(layer):
+        if len(layer) < WIDE:
+            fresh = []
+            for x in layer.tolist():
+                for i in range(offsets[x], offsets[x + 1]):
+                    y = others[i]
+                    if not seen[y]:
+                        seen[y] = True
+                        fresh.append(y)
+                        got.append(place[i : i + 1])
+            layer = np.array(fresh, dtype=np.int64)
+            continue
+        sizes = offsets[layer + 1] - offsets[layer]
+        at = np.arange(sizes.sum()) + np.repeat(offsets[layer] - np.concatenate([[0], np.cumsum(sizes)[:-1]]), sizes)
+        at = at[~seen[others[at]]]
+        layer, first = np.unique(others[at], return_index=True)
+        seen[layer] = True
+        got.append(place[at[first]])
+    return np.concatenate(got) if got else np.empty(0, np.int64)
+
+
 def breadth_forests(e: Edges, k: int) -> np.ndarray:
     """k times a breadth-first forest of what the ones before left."""
     ids, a, b = compact(e.u, e.v)
     left, kept = np.flatnonzero(a != b), []
     for _ in range(k):
-        offsets, others, place = adjacency(len(ids), a[left], b[left])
-        seen, got = [False] * len(ids), []
-        for root in range(len(ids)):
-            if seen[root]:
-                continue
-            seen[root] = True
-            line = deque([root])
-            while line:
-                x = line.popleft()
-                for i in range(offsets[x], offsets[x + 1]):
-                    if not seen[others[i]]:
-                        seen[others[i]] = True
-                        got.append(place[i])
-                        line.append(others[i])
-        kept.append(left[np.array(got, dtype=np.int64)])
+        kept.append(left[breadth_forest(len(ids), a[left], b[left])])
         left = np.setdiff1d(left, kept[-1], assume_unique=True)
     return np.sort(np.concatenate(kept)) if kept else np.empty(0, np.int64)
 
@@ -168,17 +190,20 @@ def cascade(e: Edges, k: int) -> np.ndarray:
     return np.sort(np.concatenate(kept)) if kept else np.empty(0, np.int64)
 
 
-VERTEX_KERNELS: dict[str, Callable[[Edges, int], np.ndarray]] = {"maxback": max_back, "bfs": breadth_forests}
-EDGE_KERNELS: dict[str, Callable[[Edges, int], np.ndarray]] = {"maxback": max_back, "bfs": breadth_forests, "cascade": cascade}
+#: Edges from which forests on whole arrays, the faster kernel then, are taken for edge connectivity where no kernel is asked for.
+LARGE = 1 << 14
+
+VERTEX_KERNELS: dict[str, Callable[[Edges, int], np.ndarray]] = {"maxback": max_back, "bfs": breadth_forests, "auto": max_back}
+EDGE_KERNELS: dict[str, Callable[[Edges, int], np.ndarray]] = {"maxback": max_back, "bfs": breadth_forests, "cascade": cascade, "auto": lambda e, k: (max_back if len(e) < LARGE else cascade)(e, k)}
 
 
-def vertex_cert(e: Edges, k: int, kernel: str = "maxback") -> np.ndarray:
+def vertex_cert(e: Edges, k: int, kernel: str = "auto") -> np.ndarray:
     """Keeps min(vertex connectivity, k) of all pairs. Copies of a pair are dropped first: they would crowd out needed edges."""
     first = first_copies(e)
     return first[VERTEX_KERNELS[kernel](e.take(first), k)]
 
 
-def edge_cert(e: Edges, k: int, kernel: str = "maxback") -> np.ndarray:
+def edge_cert(e: Edges, k: int, kernel: str = "auto") -> np.ndarray:
     """Keeps min(edge connectivity, k) of all pairs; copies count, more than k of a pair can't."""
     some = capped_copies(e, k)
     return some[EDGE_KERNELS[kernel](e.take(some), k)]

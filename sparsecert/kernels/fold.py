@@ -63,7 +63,7 @@ class Property:
 
     name: str
     k: int = 1
-    kernel: str = "maxback"
+    kernel: str = "auto"
     tail: str = "append"
     prefilter: bool = False
     pad_tail: bool = False
@@ -91,7 +91,7 @@ class Property:
 
 def of(name: str, k: int = 1, **options) -> Property:
     forests = name in ("min_forest", "max_forest")
-    return Property(name, k, options.pop("kernel", "sort" if forests else "maxback"), options.pop("tail", "resolve" if forests else "append"), **options)
+    return Property(name, k, options.pop("kernel", "sort" if forests else "auto"), options.pop("tail", "resolve" if forests else "append"), **options)
 
 
 #: Vertices that are assumed until the first group has told how many there are.

@@ -148,12 +148,12 @@ def _verdict(name: str, k: int, holds: bool, witness) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array([name]), pa.array([k], pa.int32()), pa.array([bool(holds)]), pa.array([None if holds else [int(x) for x in witness]], pa.list_(pa.int64()))], names=["property", "k", "holds", "witness"])
 
 
-def vertex_cert(edges: DataFrame, k: int, cert_kernel: str = "maxback", **options) -> Cert:
+def vertex_cert(edges: DataFrame, k: int, cert_kernel: str = "auto", **options) -> Cert:
     """At most k(n - 1) edges that keep min(vertex connectivity, k) of all pairs; copies of a pair are dropped in each merge."""
     return cert_of(edges, "vertex", k, kernel=cert_kernel, **options)
 
 
-def edge_cert(edges: DataFrame, k: int, cert_kernel: str = "maxback", **options) -> Cert:
+def edge_cert(edges: DataFrame, k: int, cert_kernel: str = "auto", **options) -> Cert:
     """At most k(n - 1) edges that keep min(edge connectivity, k) of all pairs, up to k copies of a pair among them."""
     return cert_of(edges, "edge", k, kernel=cert_kernel, **options)
 
