@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from sparsecert.kernels.fold import GroupPolicy, of
 from sparsecert.operators import graph as g
 from sparsecert.operators import measures as me
-from sparsecert.plans.batch import CertEngine
+from sparsecert.plans.batch import CertEngine, map_tasks, tree_widths
 from sparsecert.sources.graphs import DUCK_SQL, KIND, USER, code, graph
 from sparsecert.sources.tables import load
 from sparsecert.workloads.methods import (
@@ -101,6 +101,13 @@ def _(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(n, me.passes(a, e)) for n, a, e in _answers(s, d)], "answer string, passes bigint")
 
 
+@query("plan_costs_of_answers")
+def _(s: SparkSession, d: str) -> DataFrame:
+    """What an answer's plan costs: scans, shuffles, and levels of the merge tree at this session's number of tasks."""
+    rows = [(n, me.scans(a), me.shuffles(a), len(tree_widths(map_tasks(e)))) for n, a, e in _answers(s, d)]
+    return s.createDataFrame(rows, "answer string, scans bigint, shuffles bigint, tree_levels bigint")
+
+
 # ---- overlap of solving and arriving
 
 for _name, _options in (("overlap", {"overlap": True, "policy": GroupPolicy.linear(), "n": 150}),):
