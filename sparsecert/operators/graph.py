@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from sparsecert.kernels import answers
 from sparsecert.kernels.certs import Edges, sides
-from sparsecert.kernels.fold import GroupPolicy, of
+from sparsecert.kernels.fold import Fold, GroupPolicy, of
 from sparsecert.kernels.forest import compact, forest, labels_of
 from sparsecert.plans.batch import Cert, as_batch, as_edges, cert_of, certs_by_key, clean, column, one_task, planned
 from sparsecert.plans.relational import relational_components, relational_sides
@@ -126,17 +126,23 @@ def is_bipartite(edges: DataFrame, **options) -> DataFrame:
     return odd_cycle(edges, **options).select("holds")
 
 
-def stop_when_odd(edges: DataFrame) -> DataFrame:
-    """The verdict alone: each task stops solving once it has seen an odd cycle, which no later edge can undo."""
+def stop_when_odd(edges: DataFrame, policy: GroupPolicy | None = None) -> DataFrame:
+    """The verdict alone: each task stops solving once a group has shown an odd cycle, which no later edge can undo."""
+    policy = policy or GroupPolicy.adaptive()
+
+    def is_odd(cert: Edges) -> bool:
+        ids, a, b = compact(cert.u, cert.v)
+        return bool((sides(len(ids), a, b)[1] == 2).any())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        prop, cert, odd = of("bipartite"), Edges.empty(), False
+        fold, told, odd = Fold(of("bipartite"), policy), 0, False
         for batch in batches:
-            if not odd:
-                both = Edges.join(cert, as_edges(batch))
-                cert = both.take(prop.keep(both))
-                ids, a, b = compact(cert.u, cert.v)
-                odd = bool((sides(len(ids), a, b)[1] == 2).any())
+            if odd:
+                continue
+            fold.add(as_edges(batch))
+            if len(fold.groups) > told:
+                told, odd = len(fold.groups), is_odd(fold.cert)
+        cert = fold.cert if odd else fold.finish(resolve=True)
         if len(cert):
             yield as_batch(cert)
 
