@@ -228,8 +228,24 @@ def local_vertex_connectivity(edges: DataFrame, pairs: DataFrame, k: int, **opti
 
 
 def local_edge_connectivity(edges: DataFrame, pairs: DataFrame, k: int, **options) -> DataFrame:
-    """(x, y, value): edge-disjoint paths, at most k."""
-    return _by_pair(edge_cert(edges, k, **options).edges, pairs, k, answers.EdgeAsked)
+    """(x, y, value): edge-disjoint paths, at most k.
+
+    j such paths are what classes of vertices share, and the classes of j + 1 part those of j. So one
+    flow a vertex and level labels the vertices of the certificate, and any number of pairs is
+    answered by joins on the labels.
+    """
+    cert = edge_cert(edges, k, **options).edges
+
+    def kernel(e: Edges) -> pa.RecordBatch:
+        ids = np.unique(np.concatenate([e.u, e.v]))
+        levels = np.stack([answers.edge_classes(e, None, j)[1] for j in range(1, k + 1)], axis=1) if len(ids) else np.empty((0, k), np.int64)
+        return pa.RecordBatch.from_arrays([column(ids), pa.array(levels.tolist(), pa.list_(pa.int64()))], names=["v", "classes"])
+
+    labels = one_task(cert, kernel, "v bigint, classes array<bigint>")
+    ends = [labels.select(F.col("v").alias(n), F.col("classes").alias(f"_{n}")) for n in ("x", "y")]
+    asked = pairs.select(F.col("x").cast("long").alias("x"), F.col("y").cast("long").alias("y"))
+    shared = F.aggregate(F.zip_with("_x", "_y", lambda a, b: (a == b).cast("int")), F.lit(0), lambda s, c: s + c)
+    return asked.join(ends[0], "x", "left").join(ends[1], "y", "left").select("x", "y", F.coalesce(shared, F.lit(0)).cast("int").alias("value"))
 
 
 def k_edge_classes(edges: DataFrame, k: int, vertices: DataFrame | None = None, **options) -> DataFrame:

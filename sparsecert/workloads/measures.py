@@ -12,7 +12,7 @@ from sparsecert.plans.batch import CertEngine, map_tasks, tree_widths
 from sparsecert.sources.graphs import DUCK_SQL, KIND, USER, code, graph
 from sparsecert.sources.tables import load
 from sparsecert.workloads.methods import (
-    POLICIES, _LOG, bipartition_sql, components_cte, components_sql, k_vertex_slice_sql, min_forest_sql, preserved, query, ready, tradeoff,
+    POLICIES, _LOG, bipartition_sql, components_cte, components_sql, k_vertex_slice_sql, min_forest_sql, query, ready, tradeoff,
 )
 
 # ---- the table of problems, row by row: a graph, a certificate, a post-pass, and SQL for what it says
@@ -242,6 +242,3 @@ def _(s: SparkSession, d: str) -> DataFrame:
         row = both[0].withColumnRenamed("components", "of_graph").crossJoin(both[1].withColumnRenamed("components", "of_cert")).select(F.lit(i).alias("other"), "of_graph", "of_cert")
         out = row if out is None else out.union(row)
     return out
-
-
-query("cert_preserves_pairs_user_type")(lambda s, d: preserved(graph(s, d, "user_type")))

@@ -244,6 +244,8 @@ query("cut_vertices_conv_turn", f"WITH e AS ({DUCK_SQL['conv_turn']}) SELECT v F
 
 #: The questions that SQL answers on 14 users by trying all cuts, on whole graphs; there that is too slow, so these have no SQL.
 WHOLE = ("user_adjacent", "premium_cust_supp")
+#: Vertex flows of all pairs: on graphs of some hundred vertices at sf0.01.
+PAIRWISE = ("user_adjacent", "user_type")
 
 for _name in WHOLE:
     for _k in (1, 2, 3, 4, 5, 6):
@@ -255,9 +257,6 @@ for _name in WHOLE:
     query(f"cut_vertices_whole_{_name}")(lambda s, d, n=_name: g.cut_vertices(graph(s, d, n)))
     query(f"k_edge_classes_whole_{_name}")(lambda s, d, n=_name: g.k_edge_classes(graph(s, d, n), 3))
     query(f"local_lambda_whole_{_name}")(lambda s, d, n=_name: g.local_edge_connectivity(e := graph(s, d, n), _pairs(e, False), 4))
-    query(f"local_kappa_all_pairs_whole_{_name}")(lambda s, d, n=_name: g.local_vertex_connectivity(e := graph(s, d, n), _pairs(e, False), 4))
-    query(f"local_kappa_whole_{_name}")(lambda s, d, n=_name: g.local_vertex_connectivity(e := graph(s, d, n), _pairs(e, True), 4))
-    query(f"cert_preserves_pairs_whole_{_name}")(lambda s, d, n=_name: preserved(graph(s, d, n)))
     for _k in (2, 3, 4):
         query(f"per_edge_vertex_{_k}_whole_{_name}")(lambda s, d, n=_name, k=_k: ready(g.is_k_vertex_connected(per_edge.per_edge_vertex_cert(graph(s, d, n), k), k)))
         for _kernel in ("cascade", "flow"):
@@ -265,6 +264,11 @@ for _name in WHOLE:
     query(f"whole_k_vertex_3_{_name}")(lambda s, d, n=_name: ready(per_edge.whole_k_vertex(graph(s, d, n), 3)))
     query(f"whole_k_edge_3_{_name}")(lambda s, d, n=_name: ready(per_edge.whole_k_edge(graph(s, d, n), 3)))
 
+for _name in PAIRWISE:
+    query(f"local_kappa_all_pairs_whole_{_name}")(lambda s, d, n=_name: g.local_vertex_connectivity(e := graph(s, d, n), _pairs(e, False), 4))
+    query(f"local_kappa_whole_{_name}")(lambda s, d, n=_name: g.local_vertex_connectivity(e := graph(s, d, n), _pairs(e, True), 4))
+    query(f"cert_preserves_pairs_whole_{_name}")(lambda s, d, n=_name: preserved(graph(s, d, n)))
+
 
 def _pairs(e: DataFrame, apart: bool) -> DataFrame:
     ids = g.all_vertices(e)
