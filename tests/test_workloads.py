@@ -7,6 +7,8 @@ import pyarrow as pa
 import pyarrow.parquet as pq
 import pytest
 
+from sparsecert.kernels.answers import EdgeAsked
+from sparsecert.kernels.certs import Edges
 from sparsecert.sources.graphs import KIND, graph
 from sparsecert.workloads import measures, methods, streams, surroundings  # noqa: F401
 from tests import brute
@@ -73,8 +75,11 @@ def test_questions_on_whole_graphs(spark):
     """All users take part, not the first 14 alone; values by trying all vertex sets below 4."""
     edges = [(r.u, r.v) for r in graph(spark, SMALLEST, "user_adjacent").select("u", "v").collect()]
     users = sorted({x for e in edges for x in e})
-    got = methods.QUERIES["local_lambda_whole_user_adjacent"](spark, SMALLEST).collect()
-    assert len(users) > 14 and {(r.x, r.y) for r in got} == set(itertools.combinations(users, 2))
+    got = {r.v: r[1:] for r in methods.QUERIES["local_lambda_whole_user_adjacent"](spark, SMALLEST).collect()}
+    assert len(users) > 14 and sorted(got) == users
+    asked = EdgeAsked(Edges(*(np.array(x, dtype=np.int64) for x in zip(*((u, v, 0, i) for i, (u, v) in enumerate(edges)), strict=True))))
+    for x, y in itertools.combinations(users, 2):
+        assert sum(a == b for a, b in zip(got[x], got[y], strict=True)) == asked.value(x, y, 4)[0]
     simple = sorted({tuple(sorted(e)) for e in edges})
     apart = set(itertools.combinations(users, 2)) - set(simple)
     kappa = {(r.x, r.y): r.value for r in methods.QUERIES["local_kappa_whole_user_adjacent"](spark, SMALLEST).collect()}
