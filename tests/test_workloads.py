@@ -13,6 +13,7 @@ from sparsecert.sources.graphs import KIND, graph
 from sparsecert.workloads import measures, methods, streams, surroundings  # noqa: F401
 from tests import brute
 from tests.compare import SMALLEST, connection, rows_of, sorted_rows
+from tests.test_classes import told_by_rows
 
 #: One of each family; `python -m tests.compare` runs all of them at any scale.
 SOME = [
@@ -83,8 +84,8 @@ def test_questions_on_whole_graphs(spark):
     simple = sorted({tuple(sorted(e)) for e in edges})
     apart = set(itertools.combinations(users, 2)) - set(simple)
     rows = methods.QUERIES["local_kappa_whole_user_adjacent"](spark, SMALLEST).collect()
-    level = {r.x: r.value for r in rows if r.y is None}
-    kappa = {(r.x, r.y): r.value for r in rows if r.y is not None} | {(x, y): min(level[x], level[y]) for x, y in apart if x in level and y in level}
+    assert {r.x for r in rows if r.y is None} == set(users) and all((r.x, r.y) in apart for r in rows if r.y is not None)
+    kappa = {p: value for p, value in told_by_rows(rows, users).items() if p in apart}
     assert kappa == {(x, y): brute.local_vertex(users, simple, x, y, 4) for x, y in apart}
     assert methods.QUERIES["k_vertex_3_whole_user_adjacent"](spark, SMALLEST).first().holds == brute.k_vertex(users, simple, 3)
     near = {r.v: r.near for r in methods.QUERIES["neighbour_list_whole"](spark, SMALLEST).collect()}
