@@ -101,3 +101,16 @@ def test_reach_has_no_bound_of_depth(spark, tmp_path):
     got = sorted(r.v for r in methods.QUERIES["recursive_reach"](spark, str(tmp_path)).collect())
     assert got == sorted({KIND + a for a, _ in rows[:-1]} | {2 * KIND + b for _, b in rows[:-1]})
     assert len(got) == 18
+
+
+def test_edges_of_a_per_edge_method_are_fed_once(spark, monkeypatch):
+    """The planner's pass that counts vertices of a large input ran the method as often again."""
+    from sparsecert.plans import batch
+
+    want = {(k, n): methods.QUERIES[f"k_edge_{k}_whole_{n}"](spark, SMALLEST).first().holds for k in (3, 4) for n in ("premium_cust_supp", "user_adjacent")}
+
+    def none(*_, **__):
+        raise AssertionError("the planner was asked")
+
+    monkeypatch.setattr(batch, "planned", none)
+    assert {(k, n): methods.QUERIES[f"per_edge_edge_{k}_flow_whole_{n}"](spark, SMALLEST).first().holds for k, n in want} == want
